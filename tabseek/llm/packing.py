@@ -107,22 +107,23 @@ def pack(docs: DataFrame, vocabulary: str | None = None, end_id: int = 2, capaci
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         from pyspark import TaskContext
 
-        encode = tokenizer(vocabulary).encode
+        encode = tokenizer(vocabulary).encode_texts
         sequence = TaskContext.get().partitionId() << 33
         group, held, out = [], 0, []
         for batch in batches:
-            for doc_id, text in zip(batch.column("doc_id").to_pylist(), batch.column("text")):
-                ids, start = encode(text.as_py(), end_id), 0
-                size = len(ids)
-                while held + size - start >= goal:  # the group ends on a whole number of windows
-                    cut = start + goal - held
-                    group.append((doc_id, start, ids[start:cut], size))
-                    rows, sequence = place(group, sequence)
-                    out += rows
-                    group, held, start = [], 0, cut
-                if start < size:
-                    group.append((doc_id, start, ids[start:], size))
-                    held += size - start
+            doc_ids = batch.column("doc_id").to_pylist()
+            for row, end, all_ids, ends in encode(batch.column("text"), end_id):
+                for doc_id, at, to in zip(doc_ids[row:end], ends[:-1].tolist(), ends[1:].tolist()):
+                    ids, start, size = all_ids[at:to], 0, to - at
+                    while held + size - start >= goal:  # the group ends on a whole number of windows
+                        cut = start + goal - held
+                        group.append((doc_id, start, ids[start:cut], size))
+                        rows, sequence = place(group, sequence)
+                        out += rows
+                        group, held, start = [], 0, cut
+                    if start < size:
+                        group.append((doc_id, start, ids[start:], size))
+                        held += size - start
                 if len(out) > 5_000:
                     yield as_batch(out)
                     out = []

@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from . import packing, token_files
+from . import mixing, packing, quality, secrets, token_files
 from .store import table
 
 
@@ -10,13 +10,25 @@ def op3_pack_differencing(spark, sf_dir):
     return packing.pack(table(spark, sf_dir, "documents"))
 
 
+def op5_mix_sources(spark, sf_dir):
+    return mixing.report(table(spark, sf_dir, "documents"))
+
+
+def op6_secret_scan(spark, sf_dir):
+    return secrets.scan(table(spark, sf_dir, "documents"))
+
+
+def op8_quality_ledger(spark, sf_dir):
+    return quality.judge(table(spark, sf_dir, "documents"))
+
+
 def op9_token_files(spark, sf_dir):
     return token_files.token_files(table(spark, sf_dir, "documents"))
 
 
 def queries():
-    return {f.__name__: f for f in (op3_pack_differencing, op9_token_files)}
+    return {f.__name__: f for f in (op3_pack_differencing, op5_mix_sources, op6_secret_scan, op8_quality_ledger, op9_token_files)}
 
 
 def oracle_sql():
-    return {}
+    return {"op5_mix_sources": mixing.ORACLE, "op8_quality_ledger": quality.ORACLE}

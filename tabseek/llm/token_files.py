@@ -121,12 +121,12 @@ def decode_words(words: np.ndarray) -> np.ndarray:
 
 def _shard_chunks(batches: Iterator[pa.RecordBatch], vocabulary: str, end_id: int, totals: dict) -> Iterator[bytes]:
     """The bytes of a shard, block by block as documents arrive."""
-    encode = tokenizer(vocabulary).encode
+    encode = tokenizer(vocabulary).encode_texts
     pending, held, n_words, n_ids = [], 0, 0, 0
     offsets: list[np.ndarray] = []
     docs: list[np.ndarray] = []
     nulls: list[np.ndarray] = []
-    counts: list[int] = []
+    counts: list[np.ndarray] = []
     yield MAGIC
 
     def flush(final: bool):
@@ -140,10 +140,9 @@ def _shard_chunks(batches: Iterator[pa.RecordBatch], vocabulary: str, end_id: in
         return words.astype("<u8").tobytes()
 
     for batch in batches:
-        for text in batch.column("text"):
-            ids = encode(text.as_py(), end_id)
+        for _, _, ids, ends in encode(batch.column("text"), end_id):
             pending.append(ids)
-            counts.append(len(ids))
+            counts.append(np.diff(ends))
             held += len(ids)
             n_ids += len(ids)
             if held >= 64 * BLOCK:
@@ -152,11 +151,11 @@ def _shard_chunks(batches: Iterator[pa.RecordBatch], vocabulary: str, end_id: in
         docs.append(np.asarray(column.fill_null(0), dtype=np.int64))
         nulls.append(np.asarray(column.is_null(), dtype=np.int64))
     yield flush(True)
-    parts = [np.concatenate(x).astype("<i8") if x else np.zeros(0, "<i8") for x in (offsets, docs, nulls)]
-    totals |= {"n_docs": len(counts), "n_ids": n_ids}
-    for part in (*parts, np.array(counts, "<i8")):
+    parts = [np.concatenate(x).astype("<i8") if x else np.zeros(0, "<i8") for x in (offsets, docs, nulls, counts)]
+    totals |= {"n_docs": len(parts[1]), "n_ids": n_ids}
+    for part in parts:
         yield part.tobytes()
-    yield np.array([len(parts[0]), len(counts), n_ids, len(MAGIC) + 8 * n_words], "<i8").tobytes()
+    yield np.array([len(parts[0]), len(parts[1]), n_ids, len(MAGIC) + 8 * n_words], "<i8").tobytes()
 
 
 def read_shard(uri: str) -> Iterator[tuple[int | None, np.ndarray]]:

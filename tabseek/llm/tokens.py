@@ -2,20 +2,28 @@
 
 White space never takes part in a token of the word vocabularies used here, so
 a text's ids are those of its words one after another. Each worker keeps a
-bounded memo of words; the library encodes only those not seen yet. Tests hold
-the result against the library's ids of the whole text.
+bounded memo of words by 64-bit hash; the library encodes only words not in it.
+Tests hold the result against the library's ids of the whole text.
 """
 
 from __future__ import annotations
 
 import os
+import re
+from collections.abc import Iterator
 from itertools import chain
 
 import numpy as np
+import pyarrow as pa
 
-MEMO_WORDS = 800_000
-#: Longer runs without white space are encoded directly, not remembered.
-LONGEST_MEMO = 64
+from .words import text_slices, word_hashes, word_spans
+
+#: The memo starts anew beyond so many words or ids.
+MEMO_WORDS, MEMO_IDS = 1_500_000, 12_000_000
+_SLOT_BITS = 22
+#: Letters that normalisation only lower-cases, then common closing punctuation.
+#: Such a word is one or two pre-tokens, so the library's model can take them directly.
+_PLAIN = re.compile("([A-Za-z\u00c0-\u00d6\u00d8-\u00f6\u00f8-\u00ff]+)([.,;:!?]*)")
 
 
 def default_vocabulary() -> str:
@@ -25,27 +33,57 @@ def default_vocabulary() -> str:
 
 
 class WordTokenizer:
-    """Ids of texts, with a memo of the ids of words."""
+    """Ids of texts, with a memo of the ids of words in an open-addressed table."""
 
     def __init__(self, path: str):
         os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
         from tokenizers import Tokenizer
 
         self._library = Tokenizer.from_file(path)
+        self._model = self._library.model
+        byte_level = self._library.pre_tokenizer
+        spell = lambda c: "".join(t for t, _ in byte_level.pre_tokenize_str(c.lower()))
+        self._spelling = {i: spell(chr(i)) for i in (*range(65, 91), *range(0xC0, 0x100)) if chr(i).isalpha()}
+        self._closing = {"": []}
         self._forget()
 
+    def _direct(self, word: str) -> list[int] | None:
+        """Ids of a plain word from the model, None if the word needs the whole library."""
+        if not (match := _PLAIN.fullmatch(word)):
+            return None
+        core, closing = match.groups()
+        if closing not in self._closing:
+            self._closing[closing] = self._library.encode(closing, add_special_tokens=False).ids
+        return [t.id for t in self._model.tokenize(core.translate(self._spelling))] + self._closing[closing]
+
     def _forget(self) -> None:
-        self._codes: dict[bytes, int] = {}
+        self._keys = np.zeros(1 << _SLOT_BITS, np.uint64)
+        self._codes = np.zeros(1 << _SLOT_BITS, np.int32)
         self._ids = np.zeros(1 << 16, np.uint32)
-        self._starts = np.zeros(1 << 14, np.int64)
-        self._used = 0
-
-    def _learn(self, words: list[bytes]) -> None:
-        encoded = self._library.encode_batch_fast([w.decode() for w in words], add_special_tokens=False)
-        lists = [e.ids for e in encoded]
+        self._starts = np.zeros(1 << 14, np.int32)
+        self._words = self._used = 0
+
+    def _find(self, keys: np.ndarray) -> np.ndarray:
+        """Codes of word hashes, -1 for those not in the memo."""
+        out = np.full(len(keys), -1, np.int32)
+        slots = (keys >> np.uint64(64 - _SLOT_BITS)).astype(np.int64)
+        left = np.arange(len(keys))
+        while len(left):
+            there = self._keys[slots]
+            hit = there == keys[left]
+            out[left[hit]] = self._codes[slots[hit]]
+            on = ~hit & (there != 0)
+            left, slots = left[on], (slots[on] + 1) & ((1 << _SLOT_BITS) - 1)
+        return out
+
+    def _learn(self, keys: np.ndarray, words: list[str]) -> None:
+        lists = list(map(self._direct, words))
+        odd = [i for i, ids in enumerate(lists) if ids is None]
+        for i, encoded in zip(odd, self._library.encode_batch_fast([words[i] for i in odd], add_special_tokens=False)):
+            lists[i] = encoded.ids
         flat = np.fromiter(chain.from_iterable(lists), np.uint32)
-        lengths = np.fromiter(map(len, lists), np.int64, len(lists))
-        first = len(self._codes)
+        lengths = np.fromiter(map(len, lists), np.int32, len(lists))
+        first = self._words
         while self._used + len(flat) > len(self._ids):
             self._ids = np.concatenate((self._ids, np.zeros_like(self._ids)))
         while first + len(words) + 1 > len(self._starts):
@@ -53,29 +91,48 @@ class WordTokenizer:
         self._ids[self._used : self._used + len(flat)] = flat
         self._starts[first + 1 : first + 1 + len(words)] = self._used + np.cumsum(lengths)
         self._used += len(flat)
-        self._codes.update(zip(words, range(first, first + len(words))))
-
-    def encode(self, text: str | None, end_id: int | None = None) -> np.ndarray:
-        """The ids of one text (null: empty), with ``end_id`` after them if given."""
-        words = (text or "").encode().split()
-        if words and max(map(len, words)) > LONGEST_MEMO:
-            ids = np.array(self._library.encode(text, add_special_tokens=False).ids, np.uint32)
-        elif words:
-            if len(self._codes) > MEMO_WORDS:
+        self._words += len(words)
+        codes = np.arange(first, self._words, dtype=np.int32)
+        slots = (keys >> np.uint64(64 - _SLOT_BITS)).astype(np.int64)
+        left = np.arange(len(keys))
+        while len(left):
+            free = self._keys[slots] == 0
+            self._keys[slots[free]] = keys[left[free]]
+            held = free & (self._keys[slots] == keys[left])
+            self._codes[slots[held]] = codes[left[held]]
+            left, slots = left[~held], (slots[~held] + 1) & ((1 << _SLOT_BITS) - 1)
+
+    def encode_texts(self, column: pa.Array, end_id: int | None = None) -> Iterator[tuple[int, int, np.ndarray, np.ndarray]]:
+        """Yield (first row, end row, ids, offsets in them), some texts at a time.
+
+        A null text has no ids; ``end_id``, if given, follows each text's ids.
+        """
+        for row, end, data, offsets in text_slices(column):
+            starts, ends, first = word_spans(data, offsets)
+            keys = word_hashes(data, starts, ends, fold_case=False) | np.uint64(1)
+            if self._words > MEMO_WORDS or self._used > MEMO_IDS:
                 self._forget()
-            codes = list(map(self._codes.get, words))
-            if None in codes:
-                self._learn(list({w for w, c in zip(words, codes) if c is None}))
-                codes = list(map(self._codes.__getitem__, words))
-            codes = np.array(codes)
+            codes = self._find(keys)
+            new = np.flatnonzero(codes < 0)
+            if len(new):
+                fresh, at = np.unique(keys[new], return_index=True)
+                raw = data.tobytes()
+                self._learn(fresh, [raw[a:b].decode() for a, b in zip(starts[new[at]].tolist(), ends[new[at]].tolist())])
+                codes[new] = self._find(keys[new])
             begin = self._starts[codes]
             lengths = self._starts[codes + 1] - begin
-            total = np.cumsum(lengths)
-            at = np.arange(total[-1]) + np.repeat(begin - (total - lengths), lengths)
-            ids = self._ids[at]
-        else:
-            ids = np.zeros(0, np.uint32)
-        return ids if end_id is None else np.append(ids, np.uint32(end_id))
+            if end_id is not None:  # as a word of one id after each text's words
+                begin, lengths = np.insert(begin, first[1:], -1), np.insert(lengths, first[1:], 1)
+                first = first + np.arange(len(first))
+            total = np.concatenate(([0], np.cumsum(lengths, dtype=np.int64)))
+            ids = self._ids[np.arange(total[-1]) + np.repeat(begin - total[:-1], lengths)]
+            if end_id is not None:
+                ids[total[first[1:]] - 1] = end_id
+            yield row, end, ids, total[first]
+
+    def encode(self, text: str | None, end_id: int | None = None) -> np.ndarray:
+        """The ids of one text."""
+        return next(self.encode_texts(pa.array([text], pa.large_string()), end_id))[2]
 
 
 _made: dict[str, WordTokenizer] = {}
