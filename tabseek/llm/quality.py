@@ -13,7 +13,7 @@ exploded or shuffled.
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame, functions as F
+from pyspark.sql import DataFrame, functions as F
 
 WORD = r"[^\x20\x09-\x0D]+"
 _SPACES = " \t\n\x0b\f\r"
@@ -21,14 +21,14 @@ _SYMBOLS = "#*$%&|<>"
 _WINDOW = 3
 
 #: Bits in order. The first two are the base rules.
-RULES: dict[str, Column] = {
-    "too_few_words": F.col("n_words") < 50,
-    "repeated_windows": 100 * F.col("n_repeat_words") > 50 * F.col("n_words"),
-    "symbols": 10 * F.col("n_symbols") > F.col("n_words"),
-    "duplicate_lines": (F.col("n_dup_lines") >= 3) & (10 * F.col("n_dup_lines") > 3 * F.col("n_lines")),
-    "short_words": F.col("word_chars") < 2 * F.col("n_words"),
-    "long_words": F.col("word_chars") > 20 * F.col("n_words"),
-    "too_many_words": F.col("n_words") > 100_000,
+RULES = {
+    "too_few_words": "n_words < 50",
+    "repeated_windows": "100 * n_repeat_words > 50 * n_words",
+    "symbols": "10 * n_symbols > n_words",
+    "duplicate_lines": "n_dup_lines >= 3 AND 10 * n_dup_lines > 3 * n_lines",
+    "short_words": "word_chars < 2 * n_words",
+    "long_words": "word_chars > 20 * n_words",
+    "too_many_words": "n_words > 100000",
 }
 BIT = {name: 1 << i for i, name in enumerate(RULES)}
 BASE_MASK = BIT["too_few_words"] | BIT["repeated_windows"]
@@ -86,7 +86,7 @@ def ledger(docs: DataFrame) -> DataFrame:
     """``docs`` with measurements and ``fail_bits``: bit i is set if rule i fails."""
     bits = F.lit(0).cast("long")
     for name, failed in RULES.items():
-        bits = bits.bitwiseOR(F.when(failed, BIT[name]).otherwise(0).cast("long"))
+        bits = bits.bitwiseOR(F.when(F.expr(failed), BIT[name]).otherwise(0).cast("long"))
     return measure(docs).withColumn("fail_bits", bits)
 
 
