@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from . import mixing, packing, quality, secrets, token_files
+from . import mixing, packing, quality, secrets, token_files, toxicity, warc
 from .store import table
 
 
@@ -18,6 +18,10 @@ def op6_secret_scan(spark, sf_dir):
     return secrets.scan(table(spark, sf_dir, "documents"))
 
 
+def op7_toxicity_machine(spark, sf_dir):
+    return toxicity.report(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
+
+
 def op8_quality_ledger(spark, sf_dir):
     return quality.judge(table(spark, sf_dir, "documents"))
 
@@ -26,9 +30,13 @@ def op9_token_files(spark, sf_dir):
     return token_files.token_files(table(spark, sf_dir, "documents"))
 
 
+def op10_warc_round_trip(spark, sf_dir):
+    return warc.round_trip(table(spark, sf_dir, "pages"))
+
+
 def queries():
-    return {f.__name__: f for f in (op3_pack_differencing, op5_mix_sources, op6_secret_scan, op8_quality_ledger, op9_token_files)}
+    return {f.__name__: f for f in (op3_pack_differencing, op5_mix_sources, op6_secret_scan, op7_toxicity_machine, op8_quality_ledger, op9_token_files, op10_warc_round_trip)}
 
 
 def oracle_sql():
-    return {"op5_mix_sources": mixing.ORACLE, "op8_quality_ledger": quality.ORACLE}
+    return {"op5_mix_sources": mixing.ORACLE, "op8_quality_ledger": quality.ORACLE, "op10_warc_round_trip": warc.ORACLE}
