@@ -87,7 +87,7 @@ class Model:
 NOTHING_LEARNT = Model(np.zeros(0, np.int64), -30.0, np.zeros(0), np.zeros((0, FACTORS)))
 
 
-def fit(rows: np.ndarray, terms: np.ndarray, labels: np.ndarray, max_terms: int = 20_000, epochs: int = 12, rate: float = 0.2, ridge: float = 1e-4, batch: int = 128, seed: int = 11) -> Model:
+def fit(rows: np.ndarray, terms: np.ndarray, labels: np.ndarray, max_terms: int = 20_000, min_steps: int = 1500, epochs: int = 12, rate: float = 0.3, ridge: float = 1e-4, batch: int = 128, seed: int = 11) -> Model:
     """Fit on (row, term) pairs, sorted by row, and the rows' labels by adaptive-step gradient descent."""
     n, positive = len(labels), int(labels.sum())
     if positive in (0, n):
@@ -110,7 +110,7 @@ def fit(rows: np.ndarray, terms: np.ndarray, labels: np.ndarray, max_terms: int
     gw, gv, gb = np.full(len(chosen), 1e-2), np.full(v.shape, 1e-2), 1e-2
     # weight the labels alike whatever the sample holds of each
     worth = np.where(labels == 1, n / (2 * positive), n / (2 * (n - positive)))
-    for _ in range(epochs):
+    for _ in range(max(epochs, -(-min_steps * batch // n))):
         order = random.permutation(n)
         for start in range(0, n, batch):
             docs = order[start : start + batch]
