@@ -2,14 +2,23 @@
 
 from __future__ import annotations
 
-from . import mixing, packing, quality, secrets, token_files, toxicity, warc
+from . import ann, licenses, mixing, packing, quality, secrets, token_files, toxicity, warc
 from .store import table
 
 
+def op1_collision_neighbours(spark, sf_dir):
+    vectors = table(spark, sf_dir, "embeddings")
+    return ann.nearest(vectors, vectors.where("vec_id % 20 = 0"))
+
+
 def op3_pack_differencing(spark, sf_dir):
     return packing.pack(table(spark, sf_dir, "documents"))
 
 
+def op4_license_scan(spark, sf_dir):
+    return licenses.scan(licenses.document_paths(table(spark, sf_dir, "documents")))
+
+
 def op5_mix_sources(spark, sf_dir):
     return mixing.report(table(spark, sf_dir, "documents"))
 
@@ -35,8 +44,8 @@ def op10_warc_round_trip(spark, sf_dir):
 
 
 def queries():
-    return {f.__name__: f for f in (op3_pack_differencing, op5_mix_sources, op6_secret_scan, op7_toxicity_machine, op8_quality_ledger, op9_token_files, op10_warc_round_trip)}
+    return {f.__name__: f for f in (op1_collision_neighbours, op3_pack_differencing, op4_license_scan, op5_mix_sources, op6_secret_scan, op7_toxicity_machine, op8_quality_ledger, op9_token_files, op10_warc_round_trip)}
 
 
 def oracle_sql():
-    return {"op5_mix_sources": mixing.ORACLE, "op8_quality_ledger": quality.ORACLE, "op10_warc_round_trip": warc.ORACLE}
+    return {"op4_license_scan": licenses.oracle(), "op5_mix_sources": mixing.ORACLE, "op8_quality_ledger": quality.ORACLE, "op10_warc_round_trip": warc.ORACLE}
