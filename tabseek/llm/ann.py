@@ -5,7 +5,8 @@ query's window on a direction is centred on the query's own projection; it is
 widened step by step (virtual rehashing), and a vector collides on a direction
 when the window reaches it. Vectors that collide on at least ``threshold`` of
 the directions are verified by their exact inner product; widening ends when
-``budget`` of the block and k more have been verified, or the whole block.
+``budget`` of the block (in a small one ``least`` vectors) and k more have been
+verified, or the whole block.
 
 Largest inner product becomes least distance by one more coordinate that brings
 all vectors of a block to the same length; a query has 0 there.
@@ -37,55 +38,110 @@ def usable(vectors: DataFrame) -> DataFrame:
     return vectors.select(F.col("vec_id").cast("long").alias("vec_id"), F.col("embedding").cast("array<double>").alias("embedding")).where(F.col("vec_id").isNotNull() & F.col("embedding").isNotNull() & ~bad & F.exists("embedding", lambda x: x != 0))
 
 
+def add_up(sets: list[np.ndarray]) -> list[np.ndarray]:
+    """Bit-sliced counts of bitsets: item i of the result holds bit i of every count."""
+    out, level = [], sets
+    while level:
+        carries = []
+        while len(level) > 1:
+            if len(level) == 2:
+                x, y = level.pop(), level.pop()
+                carries.append(x & y)
+                level.append(x ^ y)
+            else:
+                x, y, z = level.pop(), level.pop(), level.pop()
+                half = x ^ y
+                carries.append((x & y) | (half & z))
+                level.append(half ^ z)
+        out.append(level[0])
+        level = carries
+    return out
+
+
+def at_least(counts: list[np.ndarray], need: int) -> np.ndarray:
+    """The bitset of those whose bit-sliced count is ``need`` or more."""
+    above, equal = np.zeros_like(counts[0]), ~np.zeros_like(counts[0])
+    for i in range(max(len(counts), need.bit_length()) - 1, -1, -1):
+        bit = counts[i] if i < len(counts) else np.zeros_like(counts[0])
+        if need >> i & 1:
+            equal = equal & bit
+        else:
+            above |= equal & bit
+            equal = equal & ~bit
+    return above | equal
+
+
 class ProjectionIndex:
-    """Sorted projections of one block of vectors."""
+    """Sorted projections of one block of vectors.
+
+    Each sorted array is cut into ``cells`` runs of equal size. For every cut the
+    bitset of the vectors before it is kept, so that the vectors in a window of
+    whole cells are the difference of two bitsets, and the collisions of all
+    directions are added up 64 vectors at a time.
+    """
 
-    def __init__(self, vectors: np.ndarray, projections: int = 96, seed: int = 5):
-        self.vectors = vectors
+    def __init__(self, vectors: np.ndarray, projections: int = 96, cells: int = 64, seed: int = 5):
+        n = len(vectors)
+        self.vectors, self.single = vectors, vectors.astype(np.float32)
         squared = (vectors * vectors).sum(1)
-        longest = squared.max(initial=0.0)
-        self.scale = np.sqrt(longest) or 1.0
-        lifted = np.sqrt(np.maximum(longest - squared, 0))
+        self.longest = float(np.sqrt(squared.max(initial=0.0))) or 1.0
+        lifted = np.sqrt(np.maximum(self.longest**2 - squared, 0))
         self.directions = np.random.default_rng(seed).normal(size=(vectors.shape[1] + 1, projections))
-        projected = (vectors @ self.directions[:-1] + lifted[:, None] * self.directions[-1]) / self.scale
-        self.order = np.argsort(projected, axis=0, kind="stable").astype(np.int32).T.copy()
-        self.sorted = np.take_along_axis(projected, self.order.T.astype(np.int64), 0).T.copy()
-
-    def search(self, query: np.ndarray, own: np.ndarray, ids: np.ndarray, k: int, threshold: float, budget: float, first: float, factor: float) -> tuple[np.ndarray, np.ndarray]:
-        """(places, scores) of the k best verified vectors; ``own`` masks rows that are no candidates."""
-        m, n = self.order.shape
-        length = np.linalg.norm(query)
-        centre = (query / length) @ self.directions[:-1]  # the order of inner products ignores the query's length
-        counts = np.zeros(n, np.uint8)
-        low = np.array([np.searchsorted(row, c) for row, c in zip(self.sorted, centre)])
-        high = low.copy()
-        need, half = int(np.ceil(threshold * m)), first
-        wanted = min(n, int(budget * n) + k + int(own.sum()))
-        while True:
-            for i in range(m):
-                row, order = self.sorted[i], self.order[i]
-                to_low, to_high = np.searchsorted(row, (centre[i] - half, centre[i] + half), side="left")
-                if to_low < low[i]:
-                    counts[order[to_low : low[i]]] += 1
-                    low[i] = to_low
-                if to_high > high[i]:
-                    counts[order[high[i] : to_high]] += 1
-                    high[i] = to_high
-            found = np.flatnonzero(counts >= need)
-            if len(found) >= wanted or (low == 0).all() and (high == n).all():
-                break
-            half *= factor
-        found = found[~own[found]]
+        projected = (vectors @ self.directions[:-1] + lifted[:, None] * self.directions[-1]) / self.longest
+        cells = min(cells, n)
+        self.words = -(-n // 64)
+        cuts = np.arange(cells + 1) * n // cells
+        self.edges = np.full((projections, cells + 1), np.inf)
+        self.before = np.zeros((projections, cells + 1, self.words * 8), np.uint8)
+        rank = np.empty(n, np.int64)
+        for i in range(projections):
+            order = np.argsort(projected[:, i], kind="stable")
+            self.edges[i, :cells] = projected[order[cuts[:-1]], i]
+            rank[order] = np.arange(n)
+            self.before[i, :, : -(-n // 8)] = np.packbits(rank[None, :] < cuts[:, None], axis=1, bitorder="little")
+        self.before = self.before.view(np.uint64)
+
+    def _windows(self, centres: np.ndarray, half: np.ndarray) -> list[np.ndarray]:
+        """Per direction, the bitsets of the vectors in each query's window."""
+        out = []
+        for edges, before, centre in zip(self.edges, self.before, centres.T):
+            low = np.maximum(np.searchsorted(edges, centre - half, side="right") - 1, 0)
+            high = np.maximum(np.searchsorted(edges, centre + half, side="left"), low)
+            out.append(before[low] ^ before[high])
+        return out
+
+    def search(self, queries: np.ndarray, query_ids: np.ndarray, ids: np.ndarray, k: int, threshold: float, budget: float, least: int, first: float, factor: float, group: int = 8):
+        """Yield (query id, places, scores) of the k best verified vectors of each query."""
+        n, need = len(ids), int(np.ceil(threshold * len(self.edges)))
+        wanted = min(n, max(int(budget * n), least) + k + 1)
+        lengths = np.linalg.norm(queries, axis=1)
+        centres = (queries / lengths[:, None]) @ self.directions[:-1]  # the order of inner products ignores the query's length
+        for start in range(0, len(queries), group):
+            live = np.arange(start, min(start + group, len(queries)))
+            half = np.full(len(live), first)
+            while len(live):
+                hit = at_least(add_up(self._windows(centres[live], half)), need)
+                everything = half > 64.0  # wider than any projection of unit vectors can be
+                enough = (np.bitwise_count(hit).sum(1) >= wanted) | everything
+                for q, bits, all_of_them in zip(live[enough], hit[enough], everything[enough]):
+                    found = np.arange(n) if all_of_them else np.flatnonzero(np.unpackbits(bits.view(np.uint8), bitorder="little")[:n])
+                    found = found[ids[found] != query_ids[q]]
+                    if not all_of_them and len(found) < min(k, n - np.count_nonzero(ids == query_ids[q])):
+                        found = np.flatnonzero(ids != query_ids[q])  # many rows of the query's own id
+                    yield query_ids[q], *self._verify(queries[q], lengths[q], found, ids, k)
+                live, half = live[~enough], half[~enough] * factor
+
+    def _verify(self, query: np.ndarray, length: float, found: np.ndarray, ids: np.ndarray, k: int) -> tuple[np.ndarray, np.ndarray]:
+        if len(found) > k:  # single precision sorts out what is clearly worse
+            rough = self.single[found] @ query.astype(np.float32)
+            kth = np.partition(rough, len(found) - k)[len(found) - k]
+            found = found[rough >= kth - 1e-4 * length * self.longest]
         scores = self.vectors[found] @ query
-        if len(found) > k:
-            kth = np.partition(scores, len(found) - k)[len(found) - k]
-            keep = scores >= kth
-            found, scores = found[keep], scores[keep]
         best = np.lexsort((ids[found], -scores))[:k]
         return found[best], scores[best]
 
 
-def nearest(vectors: DataFrame, queries: DataFrame, k: int = 20, projections: int = 96, threshold: float = 0.65, budget: float = 0.35, first: float = 0.8, factor: float = 1.15, index_block: int = INDEX_BLOCK, query_block: int = QUERY_BLOCK) -> DataFrame:
+def nearest(vectors: DataFrame, queries: DataFrame, k: int = 20, projections: int = 96, threshold: float = 0.65, budget: float = 0.25, least: int = 400, first: float = 0.9, factor: float = 1.12, index_block: int = INDEX_BLOCK, query_block: int = QUERY_BLOCK) -> DataFrame:
     """The k nearest found of every query (vec_id, embedding): query_id, rank, vec_id, score."""
     vectors, queries = usable(vectors), usable(queries)
     n_index = max(1, -(-vectors.count() // index_block))
@@ -107,10 +163,8 @@ def nearest(vectors: DataFrame, queries: DataFrame, k: int = 20, projections: in
             ids, data = matrix(left)
             index = ProjectionIndex(data, projections)
             asked_ids, asked_data = matrix(right)
-            rows = []
-            for query_id, query in zip(asked_ids, asked_data):
-                places, scores = index.search(query, ids == query_id, ids, k, threshold, budget, first, factor)
-                rows.append((np.full(len(places), query_id), ids[places], scores))
+            found = list(index.search(asked_data, asked_ids, ids, k, threshold, budget, least, first, factor))
+            rows = [(np.full(len(places), q), ids[places], scores) for q, places, scores in found]
             columns = [np.concatenate(c) for c in zip(*rows)]
         else:
             columns = [*out[0], out[1][0]]
