@@ -21,7 +21,7 @@ similarity reaches the threshold. The result names each document's component.
    near copies cost one comparison a member.
 5. What remains are members of one entry in different components: all pairs of
    those are held against size and a parity sketch, whose distance bounds the
-   overlap, in blocks of bounded size; survivors are verified.
+   overlap, large entries in blocks of bounded size; survivors are verified.
 
 Verification is exact on the sets' hashes. Nothing but the bitmaps, whose size
 is fixed, comes to the driver or is broadcast.
@@ -45,11 +45,12 @@ WIDTH = 3
 #: Two sets link when DEN * intersection >= NUM * union.
 NUM, DEN = 90, 100
 #: A shingle is frequent when more documents than this have it near their start in hash order.
-FREQUENT = 40
+FREQUENT = 10
 BITMAP_BITS = 24
-SKETCH_WORDS = 16
 #: Members of one entry that are held against each other in one block.
 BLOCK = 1024
+#: Entries of so many members or fewer give their pairs as rows.
+SMALL = 16
 _M = np.uint64(0x9E3779B97F4A7C15)
 
 
@@ -82,10 +83,25 @@ def misses(n: int) -> int:
     return n - (NUM * n + DEN - 1) // DEN
 
 
+def sketch_words(n):
+    """64-bit words in the sketch of a set of size n: two bits a shingle or more, a power of two."""
+    return 1 << np.maximum(np.ceil(np.log2(np.maximum(n, 1) / 32.0)), 0).astype(np.int64)
+
+
 def sketch(tokens: np.ndarray) -> bytes:
-    """Parities of hashed positions: each shingle in one set only moves one bit at most."""
-    bits = np.bincount((tokens & np.uint64(64 * SKETCH_WORDS - 1)).astype(np.int64), minlength=64 * SKETCH_WORDS) & 1
-    return np.packbits(bits.astype(np.uint8)).tobytes()
+    """Parities of hashed positions: a shingle that one of two sets lacks moves one bit at most.
+
+    Sizes are powers of two and positions nest, so that a sketch folds to half its size.
+    """
+    bits = 64 * int(sketch_words(len(tokens)))
+    odd = np.bincount((tokens & np.uint64(bits - 1)).astype(np.int64), minlength=bits) & 1
+    return np.packbits(odd.astype(np.uint8)).tobytes()
+
+
+def may_link(n, m, apart):
+    """Whether sets of sizes n and m can link whose sketches differ in ``apart`` bits."""
+    most = (n + m - apart) // 2
+    return DEN * most >= NUM * (n + m - most)
 
 
 def _longs(values) -> pa.Array:
@@ -192,6 +208,26 @@ def index_entries(docs: DataFrame, bitmap: np.ndarray) -> DataFrame:
     return docs.mapInArrow(run, "entry long, set_id long")
 
 
+def _unlike(pairs: DataFrame, sets: DataFrame) -> DataFrame:
+    """``pairs`` without those whose sketches show that they can't link."""
+
+    def run(batches):
+        for batch in batches:
+            keep = []
+            for n, m, x, y in zip(*(batch.column(c).to_pylist() for c in ("n", "m", "x", "y"))):
+                x, y = (np.frombuffer(v, np.uint64)[None, :] for v in (x, y))
+                while x.shape[1] > y.shape[1]:
+                    x = _fold(x)
+                while y.shape[1] > x.shape[1]:
+                    y = _fold(y)
+                keep.append(bool(may_link(n, m, int(np.bitwise_count(x ^ y).sum()))))
+            yield batch.filter(pa.array(keep, pa.bool_())).select(["a", "b"])
+
+    left = sets.select(F.col("id").alias("a"), "n", F.col("sketch").alias("x"))
+    right = sets.select(F.col("id").alias("b"), F.col("n").alias("m"), F.col("sketch").alias("y"))
+    return pairs.join(left, "a").join(right, "b").mapInArrow(run, "a long, b long")
+
+
 def linked(pairs: DataFrame, docs: DataFrame) -> DataFrame:
     """The (a, b) of ``pairs`` (doc_ids) whose sets link, by exact intersection.
 
@@ -266,29 +302,48 @@ def components(edges: DataFrame) -> DataFrame:
     return now.select(F.col("u").alias("id"), F.col("v").alias("component")).unionByName(now.select(F.col("v").alias("id"), F.col("v").alias("component")).distinct())
 
 
-def _block_pairs(batches, popcount=np.bitwise_count):
-    """Candidate (a, b) from rows sorted by block: sizes fit, labels differ, sketches allow the overlap."""
+def _fold(bits: np.ndarray) -> np.ndarray:
+    half = bits.shape[1] // 2
+    return bits[:, :half] ^ bits[:, half:]
+
+
+def _group_pairs(ids, label, n, part, raw, two_parts: bool) -> set[tuple[int, int]]:
+    """Pairs of one block that may link: sketches of one size directly, of twice the size folded."""
+    found, size = set(), sketch_words(n)
+    for s in np.unique(size):
+        own, larger = np.flatnonzero(size == s), np.flatnonzero(size == 2 * s)
+        bits = np.frombuffer(b"".join(raw[i] for i in own), np.uint64).reshape(-1, s)
+        if len(larger):
+            bits = np.concatenate((bits, _fold(np.frombuffer(b"".join(raw[i] for i in larger), np.uint64).reshape(-1, 2 * s))))
+        at = np.concatenate((own, larger))
+        for k in range(len(own)):
+            rest = at[k + 1 :]
+            ok = label[rest] != label[own[k]]
+            if two_parts:  # pairs inside a part come in that part's own block
+                ok &= part[rest] != part[own[k]]
+            ok &= DEN * np.minimum(n[rest], n[own[k]]) >= NUM * np.maximum(n[rest], n[own[k]])
+            near = np.flatnonzero(ok)
+            if len(near):
+                apart = np.bitwise_count(bits[k + 1 + near] ^ bits[k]).sum(1).astype(np.int64)
+                for o in near[may_link(n[rest[near]], n[own[k]], apart)]:
+                    a, b = int(ids[own[k]]), int(ids[rest[o]])
+                    found.add((min(a, b), max(a, b)))
+    return found
+
+
+def _block_pairs(batches):
+    """Candidate (a, b) from rows sorted by block."""
     held = None
 
     def emit(table: pa.Table):
         keys = np.stack([table.column(c).to_numpy() for c in ("entry", "i", "j")])
         cuts = np.flatnonzero((keys[:, 1:] != keys[:, :-1]).any(0)) + 1
-        ids, label, n, part = (table.column(c).to_numpy() for c in ("id", "label", "n", "part"))
-        bits = np.frombuffer(b"".join(table.column("sketch").to_pylist()), np.uint64).reshape(-1, SKETCH_WORDS)
-        pairs = []
-        for s, e in zip(np.concatenate(([0], cuts)), np.concatenate((cuts, [len(ids)]))):
-            for k in range(s, e - 1):
-                rest = slice(k + 1, e)
-                total = n[k] + n[rest]
-                apart = popcount(bits[rest] ^ bits[k]).sum(1)
-                most = (total - apart) // 2
-                ok = (label[rest] != label[k]) & (DEN * most >= NUM * (total - most))
-                if keys[1, k] != keys[2, k]:  # a block of two parts: pairs inside a part come in its own block
-                    ok &= part[rest] != part[k]
-                for o in np.flatnonzero(ok):
-                    a, b = int(ids[k]), int(ids[k + 1 + o])
-                    pairs.append((min(a, b), max(a, b)))
-        a, b = zip(*set(pairs)) if pairs else ((), ())
+        columns = [table.column(c).to_numpy() for c in ("id", "label", "n", "part")]
+        raw = table.column("sketch").to_pylist()
+        pairs = set()
+        for s, e in zip([0, *cuts.tolist()], [*cuts.tolist(), table.num_rows]):
+            pairs |= _group_pairs(*(c[s:e] for c in columns), raw[s:e], keys[1, s] != keys[2, s])
+        a, b = zip(*pairs) if pairs else ((), ())
         return pa.RecordBatch.from_arrays([_longs(a), _longs(b)], ["a", "b"])
 
     for batch in batches:
@@ -326,15 +381,22 @@ def join(docs: DataFrame, frequent: int = FREQUENT) -> DataFrame:
     fits = f"{DEN} * least(n, m) >= {NUM} * greatest(n, m)"
     star = members.join(leads.select("entry", F.col("lead.weight").alias("weight"), F.col("lead.id").alias("lead"), F.col("lead.n").alias("m")), "entry").where(f"id <> lead AND {fits}")
     first = star.groupBy("id").agg(F.max(F.struct("weight", "lead")).alias("best")).select(F.least("id", "best.lead").alias("a"), F.greatest("id", "best.lead").alias("b")).distinct()
-    known = materialise(linked(materialise(first, "star-pairs"), docs), "star-links")
+    known = materialise(linked(materialise(_unlike(first, sets), "star-pairs"), docs), "star-links")
     labels = materialise(components(known), "star-components")
     # entries whose members are not all of one component
     labelled = materialise(members.join(labels, "id", "left").select("entry", "id", "n", F.coalesce("component", "id").alias("label")), "labelled")
-    mixed = labelled.groupBy("entry").agg(F.min("label").alias("lo"), F.max("label").alias("hi"), F.count("*").alias("size")).where("lo <> hi").select("entry", F.ceil(F.col("size") / BLOCK).cast("int").alias("parts"))
-    part = F.pmod(F.hash("id"), F.col("parts"))
-    blocks = labelled.join(mixed, "entry").join(sets.select("id", "sketch"), "id").withColumn("part", part).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("parts") - 1)))
+    mixed = labelled.groupBy("entry").agg(F.min("label").alias("lo"), F.max("label").alias("hi"), F.count("*").alias("size")).where("lo <> hi").select("entry", "size")
+    left = labelled.join(mixed, "entry")
+    # small entries: pairs, each of which meets in many entries, are made distinct before sketches join them
+    x = left.where(F.col("size") <= SMALL).select("entry", F.col("id").alias("a"), "n", F.col("label").alias("label_a"))
+    y = x.select("entry", F.col("a").alias("b"), F.col("n").alias("m"), F.col("label_a").alias("label_b"))
+    few = _unlike(x.join(y, "entry").where(f"a < b AND label_a <> label_b AND {fits}").select("a", "b").distinct(), sets)
+    # large ones: blocks of bounded size, from which only survivors come
+    parts = F.ceil(F.col("size") / BLOCK).cast("int")
+    blocks = left.where(F.col("size") > SMALL).join(sets.select("id", "sketch"), "id").withColumn("part", F.pmod(F.hash("id"), parts)).withColumn("other", F.explode(F.sequence(F.lit(0), parts - 1)))
     blocks = blocks.select("entry", F.least("part", "other").alias("i"), F.greatest("part", "other").alias("j"), "part", "id", "label", "n", "sketch")
-    rest = blocks.repartition("entry", "i", "j").sortWithinPartitions("entry", "i", "j").mapInArrow(_block_pairs, "a long, b long").distinct()
+    many = blocks.repartition("entry", "i", "j").sortWithinPartitions("entry", "i", "j").mapInArrow(_block_pairs, "a long, b long")
+    rest = few.unionByName(many).distinct()
     more = linked(materialise(rest, "block-pairs"), docs)
     final = components(known.unionByName(more))
     named = sets.join(final, "id", "left").select("set_id", F.coalesce("component", "id").alias("component"), "n_copies")
