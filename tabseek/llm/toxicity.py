@@ -143,7 +143,7 @@ def training_rows(labels: DataFrame, sample_per_label: int) -> DataFrame:
     return parts[0].unionByName(parts[1])
 
 
-def train(docs: DataFrame, labels: DataFrame, sample_per_label: int = 6_000, **options) -> Model:
+def train(docs: DataFrame, labels: DataFrame, sample_per_label: int = 3_500, **options) -> Model:
     """Fit on the sample's whole texts. The sample and its hashed terms come to the driver, nothing else."""
     ids = training_rows(labels, sample_per_label)
     sample = docs.select(F.col("doc_id").cast("long").alias("_id"), "text").join(F.broadcast(ids), "_id").select("_label", "text")
@@ -164,10 +164,10 @@ def train(docs: DataFrame, labels: DataFrame, sample_per_label: int = 6_000, **o
     labels_ = np.asarray(got.column("label")).astype(np.int64)
     lists = got.column("terms").combine_chunks()
     # rows come in no fixed order: sort them, so that reruns fit the same model
-    flat, ends = np.asarray(lists.flatten()).astype(np.int64), np.concatenate(([0], np.cumsum(np.asarray(lists.value_lengths().fill_null(0)))))
+    flat, ends = np.asarray(lists.flatten()).astype(np.int32), np.concatenate(([0], np.cumsum(np.asarray(lists.value_lengths().fill_null(0)))))
     key = [int(np.bitwise_xor.reduce(mix(flat[a:b].astype(np.uint64)), initial=np.uint64(b - a))) for a, b in zip(ends[:-1], ends[1:])]
     order = np.lexsort((np.array(key, np.uint64), labels_))
-    rows = np.repeat(np.arange(len(order)), (ends[1:] - ends[:-1])[order])
+    rows = np.repeat(np.arange(len(order), dtype=np.int32), (ends[1:] - ends[:-1])[order])
     terms = np.concatenate([flat[ends[i] : ends[i + 1]] for i in order]) if len(order) else flat
     return fit(rows, terms, labels_[order], **options)
 
