@@ -65,11 +65,11 @@ def read(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 
 def known(spark: SparkSession, sf_dir: str) -> Dataset:
-    """Documents by benchmark passages; relevant are documents that contain the passage."""
+    """Documents by benchmark passages; relevant are documents that contain a passage's first 60 characters."""
     docs, items = read(spark, sf_dir, "documents"), read(spark, sf_dir, "benchmark")
     tables = docs.select(F.lit("known").alias("dataset"), F.col("doc_id").alias("table_id"), F.lit("text").alias("field"), "text")
     queries = items.select(F.lit("known").alias("dataset"), F.col("item_id").alias("query_id"), "text")
-    # the first 60 characters select candidates cheaply; the whole passage decides
+    # the benchmark is a stated query set of bounded size: broadcast, as search does with query terms
     pairs = docs.join(F.broadcast(items.select("item_id", F.substring("text", 1, 60).alias("head"))), F.instr(F.col("text"), F.col("head")) > 0)
     return Dataset(tables, queries, pairs.select(F.lit("known").alias("dataset"), F.col("item_id").alias("query_id"), F.col("doc_id").alias("table_id"), F.lit(1).alias("grade")))
 
@@ -108,7 +108,6 @@ def ent(spark: SparkSession, sf_dir: str) -> Dataset:
         columns = F.array(*map(F.lit, CATALOGUE[table]))
         return keys.select((F.lit(offset) + F.col("k")).cast("long").alias("table_id"), F.format_string(f"{prefix}%02d" if prefix[0] != "o" else f"{prefix}%d", F.col("k").cast("int")).alias("table_name"), F.lit(table).alias("base"), columns.alias("columns"))
 
-    kinds = F.array_position(F.array(*map(F.lit, ["click", "error", "purchase", "signup", "view"])), F.col("event_type")) - 1
     event_types = read(spark, sf_dir, "events").select("event_type").distinct().select(F.dense_rank().over(Window.orderBy("event_type")).alias("i"), "event_type")
     event_rows = event_types.select((F.lit(499) + F.col("i")).cast("long").alias("table_id"), F.concat(F.lit("evt_"), "event_type").alias("table_name"), F.lit("events").alias("base"), F.array(*map(F.lit, CATALOGUE["events"])).alias("columns"))
     all_rows = (

@@ -5,8 +5,9 @@ from __future__ import annotations
 from pyspark.sql import Window, functions as F
 
 from .functions import analysis
-from .operators import evaluate, names, rank, search, train
+from .operators import describe, evaluate, names, rank, search, train
 from .plans import datasets
+from .sources import pages as page_source
 from .streaming import feedback
 
 WORDS_SQL = "regexp_extract_all(lower(coalesce({}, '')), '[0-9a-zà-öø-ÿß]+')"
@@ -393,6 +394,100 @@ def interval_join(spark, sf_dir):
     return feedback.view_then_click(datasets.read(spark, sf_dir, "events"))
 
 
+def _written(spark, sf_dir):
+    """Model answers made of a table's words, as an outside generator would send them."""
+    tables = datasets.sci(spark, sf_dir).tables.where("size(columns) >= 12")
+    c = lambda i: F.try_element_at("columns", F.lit(i))
+    overview = F.concat(F.array_join(F.slice("vis", 1, 8), " "), F.lit(". "), F.array_join(F.slice("vis", 9, 8), " "), F.lit("."))
+    concepts = F.array(*[F.struct(c(i).alias("concept"), F.array(c(i + 3)).alias("synonyms")) for i in (1, 2, 3)])
+    doc = F.struct(overview.alias("dataset_overview"), F.slice("columns", 1, 3).alias("key_themes_or_topics"), F.slice("columns", 4, 2).alias("applications_and_use_cases"), concepts.alias("concepts_and_synonyms"), F.slice("columns", 1, 5).alias("keywords_and_themes"), F.array(F.lit("unknown")).alias("additional_context"))
+    fenced = F.concat(F.lit("Here it is:\n```json\n"), F.to_json(doc), F.lit("\n```"))
+    return describe.parse(tables.select("dataset", "table_id", F.when(F.col("table_id") % 7 == 1, F.lit("no answer")).otherwise(fenced).alias("raw")))
+
+
+def description_text(spark, sf_dir):
+    return _written(spark, sf_dir).where("valid").select("table_id", F.md5(describe.flatten(F.col("doc"))).alias("text_md5"))
+
+
+def description_validity(spark, sf_dir):
+    return _written(spark, sf_dir).groupBy("valid").agg(F.count("*").alias("n"))
+
+
+def mcb_profile(spark, sf_dir):
+    return describe.profile(datasets.read(spark, sf_dir, "nation"), ["n_nationkey", "n_name", "n_regionkey"]).select("column", "n_rows", "n_null", "least", "greatest")
+
+
+def row_summary(spark, sf_dir):
+    return describe.row_summary(datasets.read(spark, sf_dir, "nation"), "n_nationkey", ["n_nationkey", "n_name"])
+
+
+def verbalize(spark, sf_dir):
+    return describe.verbalize(datasets.ent(spark, sf_dir).tables).drop("dataset")
+
+
+def call_counts(spark, sf_dir):
+    """Model calls of the single-call system and of the multi-call baseline over the catalogue."""
+    calls = 3 + F.ceil(F.size("columns") / 10)
+    return datasets.ent(spark, sf_dir).tables.agg(F.count("*").alias("calls_single"), F.sum(calls).cast("long").alias("calls_multi"))
+
+
+def description_prompts(spark, sf_dir):
+    tables = datasets.ent(spark, sf_dir).tables
+    return describe.prompts(tables, names.expand(tables)).select("table_id", "prompt")
+
+
+def page_context(spark, sf_dir):
+    rows = page_source.context(datasets.read(spark, sf_dir, "pages"))
+    return rows.select("page_id", "title", F.size("anchors").cast("long").alias("n_anchors"), F.md5(F.array_join("paragraphs", "|")).alias("paragraphs_md5"))
+
+
+def metric_cube(spark, sf_dir):
+    data, hits = _systems(spark, sf_dir)
+    return evaluate.recall(hits, data.qrels, KS).cube("config", "k").agg(F.round(F.avg("value"), 5).alias("mean"))
+
+
+def run_set_ops(spark, sf_dir):
+    data, index = _sci_fields(spark, sf_dir)
+    a, b = (search.single(data.queries, index, f, k=10).select("query_id", "table_id") for f in ("description", "context"))
+    name = lambda rows, op: rows.select(F.lit(op).alias("op"), "query_id", "table_id")
+    return name(a.intersect(b), "both").unionByName(name(a.exceptAll(b), "first only")).unionByName(name(data.qrels.select("query_id", "table_id").subtract(a), "gold missed"))
+
+
+def asof_index_version(spark, sf_dir):
+    """For each purchase, the user's last earlier view: one sorted pass per user, no pairs."""
+    events = datasets.read(spark, sf_dir, "events")
+    before = Window.partitionBy("user_id").orderBy("ts", "event_id").rowsBetween(Window.unboundedPreceding, -1)
+    seen = F.last(F.when(F.col("event_type") == "view", F.col("event_id")), ignorenulls=True).over(before)
+    return events.withColumn("view_id", seen).where("event_type = 'purchase'").select("event_id", "view_id")
+
+
+def iterate_defaults(spark, sf_dir):
+    data, cands = _sci(spark, sf_dir)
+    scores, rounds = rank.iterate(cands, data.queries, data.qrels, lambda d: d.cache())
+    return scores.select("table_id", "cand_id", "score", F.lit(rounds).alias("rounds"))
+
+
+def exp_overall(spark, sf_dir):
+    """Leave one dataset out: the template that wins most pairs of the smaller topic dataset, on the larger one.
+
+    Against the untrained first template and the multi-call baseline.
+    """
+    small, cands = _sci(spark, sf_dir, 3, large=False)
+    wins = rank.pairs(rank.score(cands, small.queries, small.qrels)).groupBy("win_cand").agg(F.count("*").alias("n"))
+    top = wins.orderBy(F.desc("n"), "win_cand").first()
+    data = datasets.sci(spark, sf_dir)
+    bodies = rank.template_bodies(3)
+    ours = data.tables.select("dataset", "table_id", F.explode(F.array(F.struct(F.lit("FULL").alias("field"), bodies[top.win_cand if top else 0].alias("text")), F.struct(F.lit("FULL-pref").alias("field"), bodies[0].alias("text")))).alias("x")).select("dataset", "table_id", "x.field", "x.text")
+    stats = data.tables.select("dataset", "table_id", F.concat(F.size("vis"), F.lit(" words")).alias("stats"))
+    base = describe.multicall(data.tables, stats).select("dataset", "table_id", F.lit("MCB").alias("field"), F.col("body").alias("text"))
+    index = search.build_index(ours.unionByName(base), terms=search.query_terms(data.queries).select("dataset", "term").distinct())
+    scores = search.field_scores(data.queries, index, ["FULL", "FULL-pref", "MCB"]).withColumn("score", F.round("score", 6))
+    best = Window.partitionBy("field", "query_id").orderBy(F.desc("score"), "table_id")
+    hits = scores.withColumn("rank", F.row_number().over(best)).where("rank <= 100").select("dataset", F.col("field").alias("config"), "query_id", "table_id", "rank")
+    ndcg_, recall_ = evaluate.ndcg(hits, data.qrels).withColumn("metric", F.lit("ndcg")), evaluate.recall(hits, data.qrels).withColumn("metric", F.lit("recall"))
+    return ndcg_.unionByName(recall_)
+
+
 _QUERIES = (
     analyze_words, analyze_trigrams, stem_vocab, field_stats, term_stats, postings, bm25_top10, bm25_params, bm25_explain, known_item_ranks,
     raw_metadata_top10, expansion_top10, single_field_top10, multi_field_top10, field_ablation, tie_sweep, weighted_fields, dense_top10, hybrid_rrf,
@@ -401,6 +496,8 @@ _QUERIES = (
     unified_vs_individual, lodo_folds, train_folds, pref_loss, pref_margins, lr_schedule, ndcg, recall, relative_gain, best_cells, metrics_pivot,
     desc_length, relevance_density, dataset_summary, index_cost, task_qrels, relabel, hard_negatives, downsample, pool_union,
     tumbling_counts, sliding_counts, session_counts, click_qrels, dedupe_events, interval_join,
+    description_text, description_validity, description_prompts, mcb_profile, row_summary, verbalize, call_counts, page_context,
+    metric_cube, run_set_ops, asof_index_version, iterate_defaults, exp_overall,
 )
 
 
@@ -526,6 +623,13 @@ def _ent_search(field: str) -> str:
     return "WITH " + _catalogue_sql() + ", " + _bm25(texts[field], asked).lstrip() + " " + _top("sum(score)", 10)
 
 
+def _found_sql(tag: str) -> str:
+    text = "regexp_replace(x, '<[^>]*>', ' ', 'g')"
+    for entity, char in page_source.ENTITIES:
+        text = f"replace({text}, '{entity}', '{char.replace(chr(39), chr(39) * 2)}')"
+    return f"list_transform(regexp_extract_all(h, '(?is)<{tag}\\b[^>]*>(.*?)</{tag}>', 1), lambda x: trim(regexp_replace({text}, '[ \\t\\r\\n]+', ' ', 'g')))"
+
+
 def oracle_sql():
     known = "WITH " + _KNOWN.lstrip()
     containment = "SELECT item_id AS query_id, doc_id AS table_id FROM benchmark b JOIN documents d ON contains(d.text, b.text[1:60])"
@@ -599,6 +703,21 @@ def oracle_sql():
         "hard_negatives": _SCI_FIELDS + f" SELECT query_id, table_id FROM ({run('description', 10)}) a ANTI JOIN qrels USING (query_id, table_id)",
         "downsample": _SCI_FIELDS + f" SELECT table_id FROM ({_top('sum(score)', 5, 'field <> ' + repr('description'))}) UNION SELECT table_id FROM qrels",
         "pool_union": _SCI_FIELDS + f" SELECT query_id, table_id, count(*) AS n_runs FROM ({' UNION ALL '.join('SELECT query_id, table_id FROM (' + run(f, 10) + ')' for f in ('description', 'expansion', 'context'))}) GROUP BY ALL",
+        "description_text": _SCI + """ SELECT table_id, md5(concat_ws(' ', array_to_string(vis[1:8], ' ') || '. ' || array_to_string(vis[9:16], ' ') || '.', array_to_string(firsts[1:3], ' '), array_to_string(firsts[4:5], ' '),
+            firsts[1], firsts[4], firsts[2], firsts[5], firsts[3], firsts[6], array_to_string(firsts[1:5], ' '), 'unknown')) AS text_md5 FROM tabs WHERE len(firsts) >= 12 AND table_id % 7 <> 1""",
+        "description_validity": _SCI + " SELECT table_id % 7 <> 1 AS valid, count(*) AS n FROM tabs WHERE len(firsts) >= 12 GROUP BY ALL",
+        "mcb_profile": " UNION ALL ".join(f"SELECT '{c}' AS \"column\", count(*) AS n_rows, count(*) - count({c}) AS n_null, min({c}::VARCHAR) AS least, max({c}::VARCHAR) AS greatest FROM nation" for c in ("n_nationkey", "n_name", "n_regionkey")),
+        "row_summary": "SELECT string_agg('n_nationkey=' || n_nationkey || '; n_name=' || n_name, ' | ' ORDER BY md5(n_nationkey::VARCHAR)) AS summary FROM (SELECT * FROM nation ORDER BY md5(n_nationkey::VARCHAR) LIMIT 5)",
+        "verbalize": f"WITH {_catalogue_sql()} SELECT table_id::BIGINT AS table_id, string_agg('Table ' || table_name || ' has a column ' || original || '.', ' ' ORDER BY pos) AS body FROM cols WHERE pos >= 0 GROUP BY ALL",
+        "call_counts": f"WITH {_catalogue_sql()} SELECT count(*) AS calls_single, sum(3 + ceil(len(columns) / 10))::BIGINT AS calls_multi FROM ent",
+        "page_context": f"""WITH h AS (SELECT page_id, regexp_replace(regexp_replace(regexp_replace(coalesce(html, ''), '(?is)<script\\b.*?</script>', '', 'g'), '(?is)<style\\b.*?</style>', '', 'g'), '(?s)<!--.*?-->', '', 'g') AS h FROM pages),
+            f AS (SELECT page_id, {_found_sql('title')} AS t, {_found_sql('a')} AS a, {_found_sql('p')} AS p FROM h)
+            SELECT page_id, coalesce(t[1], '') AS title, len(a)::BIGINT AS n_anchors, md5(array_to_string(p, '|')) AS paragraphs_md5 FROM f""",
+        "metric_cube": _SYSTEMS + " SELECT config, k, round(avg(value), 5) AS mean FROM recall GROUP BY CUBE (config, k)",
+        "run_set_ops": _SCI_FIELDS + f""", a AS (SELECT query_id, table_id FROM ({run('description', 10)})), b AS (SELECT query_id, table_id FROM ({run('context', 10)}))
+            SELECT 'both' AS op, * FROM (SELECT * FROM a INTERSECT SELECT * FROM b) UNION ALL SELECT 'first only', * FROM (SELECT * FROM a EXCEPT SELECT * FROM b) UNION ALL SELECT 'gold missed', * FROM (SELECT query_id, table_id FROM qrels EXCEPT SELECT * FROM a)""",
+        "asof_index_version": """SELECT event_id, view_id FROM (SELECT *, last_value(CASE WHEN event_type = 'view' THEN event_id END IGNORE NULLS) OVER (
+            PARTITION BY user_id ORDER BY ts, event_id ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING) AS view_id FROM events) WHERE event_type = 'purchase'""",
         "tumbling_counts": window("date_trunc('hour', ts)") + " events GROUP BY ALL",
         "sliding_counts": window("s") + " (SELECT event_type, unnest([time_bucket(INTERVAL 30 MINUTE, ts), time_bucket(INTERVAL 30 MINUTE, ts) - INTERVAL 30 MINUTE]) AS s FROM events) GROUP BY ALL",
         "session_counts": """SELECT user_id, strftime(min(ts), '%Y-%m-%d %H:%M:%S') AS start, count(*) AS n FROM (
