@@ -19,8 +19,10 @@ import pyarrow as pa
 from .words import text_slices, word_hashes, word_spans
 
 #: The memo starts anew beyond so many words or ids.
-MEMO_WORDS, MEMO_IDS = 1_500_000, 12_000_000
-_SLOT_BITS = 22
+MEMO_WORDS, MEMO_IDS = 600_000, 4_000_000
+_SLOT_BITS = 21
+#: Words looked up at once; with those in the memo they leave the table under half full.
+_PIECE = 200_000
 #: Letters that normalisation only lower-cases, then common closing punctuation.
 #: Such a word is one or two pre-tokens, so the library's model can take them directly.
 _PLAIN = re.compile("([A-Za-z\u00c0-\u00d6\u00d8-\u00f6\u00f8-\u00ff]+)([.,;:!?]*)")
@@ -109,26 +111,33 @@ class WordTokenizer:
         """
         for row, end, data, offsets in text_slices(column):
             starts, ends, first = word_spans(data, offsets)
-            keys = word_hashes(data, starts, ends, fold_case=False) | np.uint64(1)
-            if self._words > MEMO_WORDS or self._used > MEMO_IDS:
-                self._forget()
-            codes = self._find(keys)
-            new = np.flatnonzero(codes < 0)
-            if len(new):
-                fresh, at = np.unique(keys[new], return_index=True)
-                raw = data.tobytes()
-                self._learn(fresh, [raw[a:b].decode() for a, b in zip(starts[new[at]].tolist(), ends[new[at]].tolist())])
-                codes[new] = self._find(keys[new])
-            begin = self._starts[codes]
-            lengths = self._starts[codes + 1] - begin
-            if end_id is not None:  # as a word of one id after each text's words
-                begin, lengths = np.insert(begin, first[1:], -1), np.insert(lengths, first[1:], 1)
-                first = first + np.arange(len(first))
-            total = np.concatenate(([0], np.cumsum(lengths, dtype=np.int64)))
-            ids = self._ids[np.arange(total[-1]) + np.repeat(begin - total[:-1], lengths)]
+            parts, sizes = [np.zeros(0, np.uint32)], [np.zeros(0, np.int32)]
+            for at in range(0, len(starts), _PIECE):
+                ids, lengths = self._encode_words(data, starts[at : at + _PIECE], ends[at : at + _PIECE])
+                parts.append(ids)
+                sizes.append(lengths)
+            ids = np.concatenate(parts)
+            place = np.concatenate(([0], np.cumsum(np.concatenate(sizes), dtype=np.int64)))[first]
             if end_id is not None:
-                ids[total[first[1:]] - 1] = end_id
-            yield row, end, ids, total[first]
+                ids = np.insert(ids, place[1:], np.uint32(end_id))
+                place = place + np.arange(len(place))
+            yield row, end, ids, place
+
+    def _encode_words(self, data: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """(ids, number of ids of each word)."""
+        keys = word_hashes(data, starts, ends, fold_case=False) | np.uint64(1)
+        if self._words > MEMO_WORDS or self._used > MEMO_IDS:
+            self._forget()
+        codes = self._find(keys)
+        new = np.flatnonzero(codes < 0)
+        if len(new):
+            fresh, at = np.unique(keys[new], return_index=True)
+            self._learn(fresh, [data[a:b].tobytes().decode() for a, b in zip(starts[new[at]].tolist(), ends[new[at]].tolist())])
+            codes[new] = self._find(keys[new])
+        begin = self._starts[codes].astype(np.int64)
+        lengths = self._starts[codes + 1] - self._starts[codes]
+        total = np.cumsum(lengths, dtype=np.int64)
+        return self._ids[np.arange(total[-1]) + np.repeat(begin - total + lengths, lengths)], lengths
 
     def encode(self, text: str | None, end_id: int | None = None) -> np.ndarray:
         """The ids of one text."""
