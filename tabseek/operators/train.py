@@ -168,6 +168,38 @@ def train_folds(folds: DataFrame, cfg: TrainConfig = TrainConfig()) -> DataFrame
     return folds.groupBy("held_out").applyInPandas(run, "step long, loss double, margin double, accuracy double, held_out string")
 
 
+def adapters(folds: DataFrame, cfg: TrainConfig = TrainConfig(), prior: int = 0) -> DataFrame:
+    """(held_out, a, b): every fold's trained adapter, whose size is that of ``cfg``, not of the data."""
+
+    def run(frame: pd.DataFrame) -> pd.DataFrame:
+        model, _ = fit(frame, cfg, prior)
+        return pd.DataFrame({"held_out": frame["held_out"].iloc[:1], "a": [model.a.ravel()], "b": [model.b.ravel()]})
+
+    return folds.groupBy("held_out").applyInPandas(run, "held_out string, a array<double>, b array<double>")
+
+
+def generate(tables: DataFrame, a, b, cfg: TrainConfig = TrainConfig(), prior: int = 0) -> DataFrame:
+    """(dataset, table_id, body): of each table's ``bodies``, the one of the largest gain in log likelihood a word over the base.
+
+    ``tables`` (dataset, table_id, prompt, bodies). An untrained adapter gains nothing and takes the first.
+    """
+
+    def run(frames):
+        base = base_weights(cfg, prior)
+        model = LowRank(base, np.reshape(a, (cfg.rank, cfg.features)), np.reshape(b, (cfg.vocabulary, cfg.rank)), cfg.alpha / cfg.rank)
+        weights = model.weights()
+        for frame in frames:
+            chosen = []
+            for prompt, bodies in zip(frame["prompt"], frame["bodies"]):
+                x = features(prompt, cfg.features)
+                counts = [choices(body, cfg.vocabulary) for body in bodies]
+                gains = [(log_likelihood(weights, x, c) - log_likelihood(base, x, c)) / max(c.sum(), 1) for c in counts]
+                chosen.append(bodies[int(np.argmax(np.round(gains, 12)))])
+            yield frame[["dataset", "table_id"]].assign(body=chosen)
+
+    return tables.select("dataset", "table_id", "prompt", "bodies").mapInPandas(run, "dataset string, table_id long, body string")
+
+
 def sample(logits: np.ndarray, temperature: float = 0.5, top_p: float = 0.9, top_k: int = 50, seed: int = 42) -> int:
     """One choice: the best ``top_k``, of those the head of mass ``top_p``; temperature 0 takes the best."""
     if temperature == 0:
