@@ -47,3 +47,11 @@ def view_then_click(events: DataFrame, within: str = "10 minutes", delay: str =
     clicks = e.where("event_type = 'click'").select(F.col("event_id").alias("click_id"), F.col("user_id").alias("u"), F.col("ts").alias("clicked")).withWatermark("clicked", delay)
     near = (F.col("user_id") == F.col("u")) & (F.col("clicked") >= F.col("viewed")) & (F.col("clicked") <= F.col("viewed") + F.expr(f"INTERVAL {within}"))
     return views.join(clicks, near).select("view_id", "click_id", "user_id")
+
+
+def daily_wins(events: DataFrame, delay: str = "1 hour") -> DataFrame:
+    """Per day and item: views, and the clicks and purchases they won; on a stream the watermark closes a day."""
+    item = F.get_json_object("props", "$.k").cast("long")
+    won = F.count_if(F.col("event_type").isin("click", "purchase"))
+    counted = stamped(events).withWatermark("ts", delay).groupBy(F.window("ts", "1 day").alias("w"), item.alias("item"))
+    return counted.agg(F.count_if(F.col("event_type") == "view").alias("views"), won.alias("wins")).select(F.col("w.start").alias("start"), "item", "views", "wins")

@@ -12,7 +12,7 @@ from pyspark.sql.functions import udtf
 from .functions.analysis import words
 from .operators import benchmark, search, stored
 from .plans import datasets
-from .streaming import upkeep
+from .streaming import feedback, upkeep
 from .workloads import _KNOWN, _SCI_FIELDS, _SYSTEMS, _known, _sci_fields, _systems, _top, _w, oracle_sql as _search_oracles
 
 
@@ -176,10 +176,15 @@ def sql_bm25(spark, sf_dir):
     )
 
 
+def daily_wins(spark, sf_dir):
+    rows = feedback.daily_wins(datasets.read(spark, sf_dir, "events"))
+    return rows.withColumn("start", F.date_format("start", "yyyy-MM-dd"))
+
+
 _QUERIES = (
     stored_index_top10, stream_index_top10, prune_queries, distinct_queries, annotator_agg, pool_coverage, sample_tables,
     top_tables, parseable, query_ndcg, running_dcg, top_terms, distinct_terms, vocab_estimate, lang_filtered_search,
-    queries_in_window, json_props, rank_functions, udtf_tokenize, sql_bm25,
+    queries_in_window, json_props, rank_functions, udtf_tokenize, sql_bm25, daily_wins,
 )
 
 
@@ -217,6 +222,8 @@ def oracle_sql():
         "distinct_terms": f"SELECT source, count(DISTINCT term) AS n FROM (SELECT source, unnest({_w('text')}) AS term FROM documents) GROUP BY source",
         "lang_filtered_search": english + " " + _top("score", 5).replace("GROUP BY query_id, table_id", ""),
         "queries_in_window": "SELECT event_id, n FROM (SELECT *, count(*) OVER (PARTITION BY user_id ORDER BY epoch_us(ts) RANGE BETWEEN 3600000000 PRECEDING AND CURRENT ROW) AS n FROM events) WHERE event_type = 'purchase'",
+        "daily_wins": """SELECT strftime(ts, '%Y-%m-%d') AS start, CAST(json_extract_string(props, '$.k') AS BIGINT) AS item, count(*) FILTER (event_type = 'view') AS views,
+            count(*) FILTER (event_type IN ('click', 'purchase')) AS wins FROM events GROUP BY ALL""",
         "json_props": "SELECT CAST(json_extract_string(props, '$.k') AS BIGINT) AS k, count(*) AS n FROM events GROUP BY ALL",
         "rank_functions": """SELECT doc_id, (rank() OVER t)::INTEGER AS r, (dense_rank() OVER t)::INTEGER AS d, (ntile(4) OVER o)::INTEGER AS q, coalesce(lag(n_chars) OVER o, 0) AS longer
             FROM documents WINDOW t AS (PARTITION BY source ORDER BY n_chars DESC NULLS LAST), o AS (PARTITION BY source ORDER BY n_chars DESC NULLS LAST, doc_id)""",
