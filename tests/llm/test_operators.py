@@ -3,6 +3,7 @@
 import base64
 import hashlib
 import zlib
+from pathlib import Path
 
 import numpy as np
 import pyarrow as pa
@@ -211,6 +212,22 @@ def test_licenses(spark, empty):
     assert licenses.scan(frame.limit(0)).count() == 0
 
 
+def test_whole_headers_and_licence_texts(spark):
+    texts = Path(licenses.__file__).parent / "license_texts"
+    whole = {name: (texts / f"{name}.txt").read_text() for name in ("MIT", "GPL-3.0", "Apache-2.0")}
+    rows = [(f"{name}/repo/terms", "Copyright (c) 2020 A. Person\n\n" + text) for name, text in whole.items()]
+    rows += [(f"{name}/repo/src/main.c", "int main(void);") for name in whole]
+    gnu = "# This program is free software: you can redistribute it and/or modify\n# it under the terms of the GNU General Public License as published by\n# the Free Software Foundation, either version {} of the License, or\n# (at your option) any later version.\nimport os\nprint(1)\n" + "x = 1\n" * 90
+    rows += [("w/3", gnu.format(3)), ("w/2", gnu.format(2)), ("t/x", "GNU GENERAL PUBLIC LICENSE\nVersion 3, 29 June 2007"), ("n/LICENSE", "words " * 60 + "\nReleased under the MIT License."), ("n/a", "code")]
+    frame = spark.createDataFrame([(i, p, t) for i, (p, t) in enumerate(rows)], "doc_id long, path string, text string")
+    got = {r.path: r for r in licenses.scan(frame).collect()}
+    for name in whole:
+        assert got[f"{name}/repo/terms"].own_license == name and got[f"{name}/repo/terms"].is_file
+        assert (got[f"{name}/repo/src/main.c"].license, got[f"{name}/repo/src/main.c"].inherited_from) == (name, f"{name}/repo")
+    assert [got[p].own_license for p in ("w/3", "w/2", "t/x")] == ["GPL-3.0", "GPL-2.0", "GPL-3.0"] and not got["w/3"].is_file
+    assert got["n/LICENSE"].is_file and got["n/a"].license == "MIT"
+
+
 def test_warc(spark):
     body = "<p>" + "ünïcode " * 40
     rows = [(1, "http://a/1", body), (2, "http://a/2\r\nX: y", body), (3, None, None), (4, "u", ""), (5, "u", "tiny"), (6, "u", "tiny"), (7, "u", LONG), (8, "u", LONG), (1, "http://a/1", body)]
