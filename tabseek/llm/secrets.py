@@ -3,15 +3,19 @@
 Three base patterns report what they match. Runs that may hold encoded keys are
 decoded and must parse before they are reported as well:
 
-* ``pem``: a private-key block whose body decodes to DER, or to the binary form
-  of OpenSSH keys;
-* ``der``: a base64 or hex run that decodes to a private-key structure: one
-  outer sequence whose nested lengths fill it exactly, with a version first;
-* ``ssh``: a base64 run that decodes to the OpenSSH private-key form, whose
+* ``pem``: a private-key block whose body decodes to DER, to the binary form
+  of OpenSSH keys, or, under an encryption header, to whole cipher blocks;
+* ``der``: base64 or hex that decodes to a private-key structure: one outer
+  sequence whose nested lengths fill it exactly, with a version or the scheme it
+  is encrypted by first;
+* ``ssh``: base64 or hex that decodes to the OpenSSH private-key form, whose
   length-prefixed strings stay inside the data;
 * ``jwt``: a signed token: three parts, of which the first decodes to a JSON
   object with ``alg`` and the second to a JSON object.
 
+Structures may start anywhere in a run, whose lines may be wrapped: the lines are
+joined, and a structure takes as many characters as its own lengths say.
+
 Positions are code points, ends exclusive. A null or empty text has no spans;
 repeated rows are scanned each for themselves; texts of any length are scanned
 whole.
@@ -21,6 +25,7 @@ from __future__ import annotations
 
 import base64
 import binascii
+import bisect
 import hashlib
 import json
 import re
@@ -41,8 +46,19 @@ _NAMES = "|".join(map(_either_case, ("password", "passwd", "secret", "token", "a
 ASSIGN = re.compile(rf"({_NAMES})[\"']?\x20*[:=]\x20*[\"']?([A-Za-z0-9+/_.=-]+)")
 ACCESS = re.compile("AKIA[A-Z0-9]{16,}")
 HEX = re.compile("[0-9a-f]{24,}")
-BASE64 = re.compile(r"(?<![A-Za-z0-9+/_-])[A-Za-z0-9+/_-]{40,}={0,2}")
-PEM = re.compile(r"-----BEGIN ([A-Z0-9 ]*PRIVATE KEY)-----([A-Za-z0-9+/=\s\\]*)-----END \1-----")
+#: A run with its further lines, which end as they are or escaped.
+RUN = re.compile(r"(?<![A-Za-z0-9+/_-])[A-Za-z0-9+/_-]{24,}(?:(?:(?:\\r)?\\n|\r?\n)[ \t]*[A-Za-z0-9+/_-]+)*={0,2}")
+_BREAK = re.compile(r"(?:(?:\\r)?\\n|\r?\n)[ \t]*")
+LEAST_RUN = 40
+#: How a sequence begins: its tag and length, then a version or a scheme.
+_DER_BASE64 = re.compile("(?=M(?:[A-H][AEIMQUYcgkosw048][Cw]|I[E-T]))")
+_DER_HEX = re.compile("(?=30(?:[0-7][0-9a-f]|81[0-9a-f]{2}|82[0-9a-f]{4}|83[0-9a-f]{6}|84[0-9a-f]{8})(?:02010|30))", re.I)
+_SSH_BASE64 = re.compile("(?=b3BlbnNzaC1rZXktdjE)")
+_SSH_HEX = re.compile("(?=6f70656e7373682d6b65792d763100)", re.I)
+_HEX_RUN = re.compile(f"[0-9a-fA-F]{{{LEAST_RUN},}}")
+PEM_BEGIN = re.compile("-----BEGIN ([A-Z0-9 ]*PRIVATE KEY)-----")
+#: Schemes by which keys are encrypted: the beginnings of their object identifiers.
+_SCHEMES = (bytes.fromhex("2a864886f70d0105"), bytes.fromhex("2a864886f70d010c01"))
 JWT = re.compile(r"eyJ[A-Za-z0-9_-]+\.[A-Za-z0-9_-]+\.[A-Za-z0-9_-]*")
 _SSH_MAGIC = b"openssh-key-v1\0"
 
@@ -99,20 +115,46 @@ def is_private_der(data: bytes) -> bool:
     return whole_numbers or wrapped or curve
 
 
+def is_encrypted_der(data: bytes) -> bool:
+    """Whether ``data`` is one sequence of an encryption scheme and the octets of a key."""
+    outer = _der_item(data, 0, len(data))
+    if not outer or outer[0] != 0x30 or outer[2] != len(data):
+        return False
+    scheme = _der_item(data, outer[1], outer[2])
+    name = scheme and scheme[0] == 0x30 and _der_item(data, scheme[1], scheme[2])
+    octets = scheme and _der_item(data, scheme[2], outer[2])
+    return bool(name and name[0] == 0x06 and data[name[1] : name[2]].startswith(_SCHEMES) and octets and octets[0] == 0x04 and octets[2] == outer[2])
+
+
+def der_size(head: bytes) -> int:
+    """Bytes of the sequence that begins with ``head``, 0 if its length can't be read."""
+    if len(head) < 2 or head[0] != 0x30:
+        return 0
+    if not head[1] & 0x80:
+        return 2 + head[1]
+    width = head[1] & 0x7F
+    return 2 + width + int.from_bytes(head[2 : 2 + width], "big") if 1 <= width <= 4 and len(head) >= 2 + width else 0
+
+
 def is_ssh_private(data: bytes) -> bool:
     """Whether ``data`` starts as an OpenSSH private key whose strings stay inside it."""
+    return ssh_size(data) > 0
+
+
+def ssh_size(data: bytes) -> int:
+    """Bytes of the OpenSSH private key that ``data`` starts with, 0 for none."""
     if not data.startswith(_SSH_MAGIC):
-        return False
+        return 0
     at = len(_SSH_MAGIC)
     for part in range(5):  # cipher, key derivation, its options; a count; public key, private part
         if part == 3:
             at += 4
         if at + 4 > len(data):
-            return False
+            return 0
         at += 4 + int.from_bytes(data[at : at + 4], "big")
         if at > len(data):
-            return False
-    return True
+            return 0
+    return at
 
 
 def is_signed_token(run: str) -> bool:
@@ -133,25 +175,83 @@ def base_spans(text: str) -> list[tuple[int, int, str]]:
     return found + [(m.start(), m.end(), "hex") for m in HEX.finditer(text)]
 
 
-def confirmed_spans(text: str) -> list[tuple[int, int, str]]:
-    """Spans of runs that decode and parse."""
+def pem_spans(text: str) -> list[tuple[int, int, str]]:
     found = []
-    if "PRIVATE KEY-----" in text:
-        for m in PEM.finditer(text):
-            data = unbase64(re.sub(r"\\[nr]|\s", "", m[2]))
-            if data and (is_private_der(data) or is_ssh_private(data)):
-                found.append((m.start(), m.end(), "pem"))
-    for m in BASE64.finditer(text):
-        run = m[0]
-        if run[0] == "M":  # how base64 writes the tag of a sequence
-            if (data := unbase64(run)) and is_private_der(data):
-                found.append((m.start(), m.end(), "der"))
-        elif run.startswith("b3BlbnNzaC1rZXktdjE"):
-            if (data := unbase64(run)) and is_ssh_private(data):
-                found.append((m.start(), m.end(), "ssh"))
-        elif run.startswith("30") and len(run) % 2 == 0 and re.fullmatch("[0-9a-fA-F]+", run):
-            if is_private_der(bytes.fromhex(run)):
-                found.append((m.start(), m.end(), "der"))
+    for m in PEM_BEGIN.finditer(text):
+        close = text.find("-----", m.end())
+        mark = f"-----END {m[1]}-----"
+        if close < 0 or not text.startswith(mark, close):
+            # a header's dashes never come five in a row: this block has no end
+            continue
+        lines = re.split(r"\\r\\n|\\[nr]|[\r\n]", text[m.end() : close])
+        headers = [x for x in lines if ":" in x]
+        data = unbase64(re.sub(r"\s", "", "".join(x for x in lines if ":" not in x)))
+        sealed = any("ENCRYPTED" in x for x in headers) and any(x.strip().startswith("DEK-Info:") for x in headers)
+        if data and (is_private_der(data) or is_ssh_private(data) or is_encrypted_der(data) or (sealed and len(data) % 8 == 0)):
+            found.append((m.start(), close + len(mark), "pem"))
+    return found
+
+
+def _structures(run: str, chars, der: re.Pattern, ssh: re.Pattern, decode) -> list[tuple[int, int, str]]:
+    """Spans in ``run`` of structures; ``chars`` gives the characters that a number of bytes takes."""
+    found, done = [], 0
+    for m in der.finditer(run):
+        at = m.start()
+        if at < done:
+            continue
+        size = der_size(decode(run[at : at + 12]) or b"")
+        end = at + chars(size)
+        if size and end <= len(run) and (data := decode(run[at:end])) and (is_private_der(data[:size]) or is_encrypted_der(data[:size])):
+            found.append((at, end, "der"))
+            done = end
+    for m in ssh.finditer(run):
+        rest = run[m.start() :]
+        data = decode(rest[:-1] if len(rest) % 4 == 1 else rest)
+        if data and (size := ssh_size(data)):
+            found.append((m.start(), m.start() + chars(size), "ssh"))
+    return found
+
+
+def _unhex(text: str) -> bytes:
+    return bytes.fromhex(text[: len(text) & ~1])
+
+
+def encoded_spans(text: str) -> list[tuple[int, int, str]]:
+    found = []
+    for m in RUN.finditer(text):
+        if m.end() - m.start() < LEAST_RUN:
+            continue
+        whole = m[0].rstrip("=")
+        starts, at, size, parts = [0], [0], 0, []  # where each line starts, joined and in the run
+        last = 0
+        for gap in _BREAK.finditer(whole):
+            parts.append(whole[last : gap.start()])
+            size += gap.start() - last
+            last = gap.end()
+            starts.append(size)
+            at.append(last)
+        run = "".join([*parts, whole[last:]])
+        spans_ = _structures(run, lambda n: -(-n * 4 // 3), _DER_BASE64, _SSH_BASE64, unbase64)
+        for h in _HEX_RUN.finditer(run):
+            spans_ += [(h.start() + s, h.start() + e, k) for s, e, k in _structures(h[0], lambda n: 2 * n, _DER_HEX, _SSH_HEX, _unhex)]
+
+        def place(i: int) -> int:
+            k = bisect.bisect_right(starts, i) - 1
+            return m.start() + at[k] + i - starts[k]
+
+        for s, e, kind in spans_:
+            end = place(e - 1) + 1
+            while end < m.end() and text[end] == "=":
+                end += 1
+            found.append((place(s), end, kind))
+    return found
+
+
+def confirmed_spans(text: str) -> list[tuple[int, int, str]]:
+    """Spans that decode and parse."""
+    found = pem_spans(text) if "PRIVATE KEY-----" in text else []
+    # what a block of its own kind already holds is not named twice
+    found += [x for x in encoded_spans(text) if not any(s <= x[0] and x[1] <= e for s, e, _ in found)]
     if "eyJ" in text:
         found += [(m.start(), m.end(), "jwt") for m in JWT.finditer(text) if is_signed_token(m[0])]
     return found

@@ -151,6 +151,31 @@ def test_secrets(odd, empty):
     assert "abcdefgh" not in secrets.hide(text, "[X]")
 
 
+def test_encoded_keys_in_every_form():
+    item = lambda tag, body: bytes([tag, 0x82]) + len(body).to_bytes(2, "big") + body
+    der = item(0x30, b"\x02\x01\x00" + (b"\x02\x28" + bytes(range(1, 41))) * 8)
+    scheme = b"\x30\x0f\x06\x09" + bytes.fromhex("2a864886f70d01050d") + b"\x30\x02\x05\x00"
+    sealed = item(0x30, scheme + item(0x04, bytes(range(200))))
+    part = lambda b: len(b).to_bytes(4, "big") + b
+    ssh = b"openssh-key-v1\0" + part(b"none") + part(b"none") + part(b"") + b"\0\0\0\1" + part(b"p" * 51) + part(b"s" * 136)
+    b64 = lambda b: base64.b64encode(b).decode()
+    wrap = lambda t, n, by="\n": by.join(t[i : i + n] for i in range(0, len(t), n))
+    bare = [(wrap(b64(d), n, by), kind) for d, kind in ((der, "der"), (sealed, "der"), (ssh, "ssh")) for n in (64, 76, 9999) for by in ("\n", "\r\n  ", "\\n")]
+    bare += [(t, kind) for d, kind in ((der, "der"), (sealed, "der"), (ssh, "ssh")) for t in (d.hex(), d.hex().upper(), wrap(d.hex(), 64))]
+    for before in ("key: ", "0x", "x", "/", "_", "-", '"\\n'):
+        for body, kind in bare:
+            text = f"é {before}{body}\nThe end"
+            found = [(s, e) for s, e, k in secrets.spans(text)[1] if k == kind]
+            assert (len(text) - len("\nThe end") - len(body), len(text) - len("\nThe end")) in found, (before, body)
+            assert body[5:60] not in secrets.hide(text, "[X]") and body[-30:] not in secrets.hide(text, "[X]")
+    pem = lambda name, head, d: f"-----BEGIN {name}-----\n{head}{wrap(b64(d), 64)}\n-----END {name}-----"
+    old = "Proc-Type: 4,ENCRYPTED\nDEK-Info: AES-128-CBC,0123456789ABCDEF0123456789ABCDEF\n\n"
+    for block in (pem("ENCRYPTED PRIVATE KEY", "", sealed), pem("RSA PRIVATE KEY", old, bytes(range(160))), pem("PRIVATE KEY", "", der), pem("OPENSSH PRIVATE KEY", "", ssh)):
+        for text in (block, block.replace("\n", "\\n"), block.replace("\n", "\r\n")):
+            assert secrets.hide(f"a {text} b", "[X]") == "a [X] b"
+    assert not secrets.confirmed_spans(b64(der[:-9])) and not secrets.confirmed_spans(pem("RSA PRIVATE KEY", "", bytes(range(160))))
+
+
 def test_mixing(spark, odd, empty):
     rows = mixing.report(odd).collect()
     total = sum(r["size"] for r in rows)
