@@ -1,4 +1,7 @@
-"""The experiment grid over the stand-in datasets.
+"""The experiment grid over the stand-in datasets (W1, W4, W7-W11, P10; of W6 FULL only).
+
+Not there: FULL-exp-pref (W3), descriptions without expansion (W5) and the
+multi-call baseline under the other model (W6).
 
 Training is leave-one-dataset-out between the two topic datasets: the generator
 that describes one has seen preference pairs of the other only. All systems of a
@@ -105,7 +108,10 @@ def lodo_metrics(spark, sf_dir):
 
 
 def exp_expansion(spark, sf_dir):
-    """Search by expanded names against names as they are, over the catalogue."""
+    """Search by expanded names against names as they are, over the catalogue.
+
+    No description is generated: 'FULL' and 'FULL-exp' label plain searches over names.
+    """
     from .workloads import _ent_fields
 
     data, fields = _ent_fields(spark, sf_dir)

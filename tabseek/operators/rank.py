@@ -1,4 +1,4 @@
-"""Candidate descriptions, their ranking, and preference pairs.
+"""Candidate descriptions, their ranking, and preference pairs (G4-G7, R1-R5, R7-R13; R6, the rank position signal, is not there).
 
 Every gold table has K candidates; all others have one. A candidate is scored by
 the mean BM25 over the queries its table is relevant to. The corpora in which
