@@ -409,7 +409,11 @@ def keep_one(docs: DataFrame, **options) -> DataFrame:
     Of rows that share the doc_id that stays, each is the same document and one stays.
     """
     doomed = join(docs.select("doc_id", "text"), **options).where("component_id <> doc_id").select("doc_id").distinct()
-    return docs.join(doomed, "doc_id", "left_anti").select(*docs.columns)
+    kept = docs.join(doomed, "doc_id", "left_anti").select(*docs.columns)
+    # only rows whose doc_id repeats are dealt out by it
+    again = docs.where("doc_id IS NOT NULL").groupBy("doc_id").count().where("count > 1").select("doc_id")
+    once = kept.join(again, "doc_id", "left_semi").select(*docs.columns).dropDuplicates(["doc_id"])
+    return kept.join(again, "doc_id", "left_anti").select(*docs.columns).unionByName(once)
 
 
 def brute_force(texts: dict[int, str | None]) -> dict[int, int]:

@@ -114,6 +114,16 @@ def test_jaccard_join(spark, odd, empty):
     assert kept.columns == frame.columns and {x.doc_id for x in kept.collect()} == set(want.values())
 
 
+def test_keep_one_of_repeated_rows(spark):
+    texts = {1: LONG, 2: LONG + " end", 3: "one two three", 4: "five six seven", 5: None}
+    rows = [(i, t, "a") for i, t in texts.items()] * 2 + [(1, LONG, "a"), (None, "five six seven", "b"), (None, "five six seven", "b")]
+    frame = docs(spark, rows)
+    kept = jaccard_join.keep_one(frame)
+    want = sorted(set(jaccard_join.brute_force(texts).values()))
+    ids = [x.doc_id for x in kept.collect()]
+    assert sorted(i for i in ids if i is not None) == want and ids.count(None) == 2 and kept.columns == frame.columns
+
+
 def test_neighbours(spark):
     r = np.random.default_rng(1)
     data = r.normal(size=(900, 16)).astype(np.float32)
