@@ -7,14 +7,22 @@ vectors: pairs such as an insult and whom it names get weight together that
 neither has alone.
 
 The model is fitted on a bounded sample of labelled rows: at most
-``sample_per_label`` of either label, by hash order, from ids outside the
-held-out third. Only terms whose share differs clearly between the labels are
-kept, at most ``max_terms``, so what is broadcast has a fixed bound. Every
+``sample_per_label`` ids of either label, by hash order, outside the held-out
+third. Two kinds of terms are kept, so that what is broadcast has a fixed bound:
+at most ``max_terms`` whose share differs between the labels, and at most
+``max_paired`` terms of pairs that stand together more often under one label
+than their own shares explain, found among the ``pair_terms`` most variable terms
+whatever those tell alone. Terms are counted where the sample lies; the driver
+gets the counts of those two kinds and the sample's rows cut to them. Every
 document's whole text is scored.
 
 Defined cases: a null or empty text has no terms and gets the bias alone; without
-rows of both labels every score is 0; repeated rows are scored each for
-themselves; an empty table gives no rows. A null label or doc_id is not learnt from.
+rows of both labels every score is that of a margin of -30, next to 0; repeated
+rows are scored each for themselves, and of the rows of a sampled doc_id one is
+learnt from, with the larger of its labels; an empty table gives no rows; a text
+of any length is read in slices. A null label or doc_id is not learnt from.
+``score`` replaces columns named ``score`` and ``predicted``; ``keep_clean``
+keeps all columns as they are, whatever their names.
 """
 
 from __future__ import annotations
@@ -25,12 +33,15 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame, functions as F, types as T
 
+from .store import materialise
 from .words import mix, text_slices, word_hashes
 
 PREFIXES = (4, 5, 6)
 FACTORS = 4
 HASH_BITS = 24
 THRESHOLD = 0.7
+#: From so many standard errors on a term, or a pair of the terms that vary most, is learnt from.
+TERM_Z, PAIR_Z = 3.5, 6.0
 
 _LETTER = np.zeros(256, dtype=bool)
 _LETTER[65:91] = _LETTER[97:123] = _LETTER[128:] = True
@@ -87,27 +98,53 @@ class Model:
 NOTHING_LEARNT = Model(np.zeros(0, np.int64), -30.0, np.zeros(0), np.zeros((0, FACTORS)))
 
 
-def fit(rows: np.ndarray, terms: np.ndarray, labels: np.ndarray, max_terms: int = 20_000, min_steps: int = 1500, epochs: int = 12, rate: float = 0.3, ridge: float = 1e-4, batch: int = 128, seed: int = 11) -> Model:
-    """Fit on (row, term) pairs, sorted by row, and the rows' labels by adaptive-step gradient descent."""
+def paired_terms(rows: np.ndarray, at: np.ndarray, n_terms: int, labels: np.ndarray, least: float = PAIR_Z, most: int = 2_000, strip: int = 256) -> np.ndarray:
+    """Places of terms that are in a pair whose standing together depends on the label.
+
+    A label's excess is the share of rows with both terms over the product of the
+    terms' shares there. A pair counts if the labels' excesses differ by ``least``
+    standard errors; the terms of the clearest pairs come first, at most ``most``.
+    """
+    grams, shares, counts = [], [], []
+    for label in (0, 1):
+        of = np.flatnonzero(labels == label)
+        place = np.full(len(labels), -1)
+        place[of] = np.arange(len(of))
+        use = place[rows] >= 0
+        table = np.zeros((len(of), n_terms), np.float32)
+        table[place[rows[use]], at[use]] = 1
+        grams.append(table.T @ table / len(of))
+        shares.append(table.mean(0, dtype=np.float64))
+        counts.append(len(of))
+    best = np.zeros(n_terms)
+    for start in range(0, n_terms, strip):
+        own = slice(start, start + strip)
+        gap, noise = 0.0, 1e-12
+        for sign, both, share, count in zip((-1, 1), grams, shares, counts):
+            joint = both[own].astype(np.float64)
+            gap = gap + sign * (joint - np.outer(share[own], share))
+            spread = share * (1 - share)
+            noise = noise + (np.maximum(joint * (1 - joint), np.outer(spread[own], spread)) + 1 / count) / count
+        z = np.abs(gap) / np.sqrt(noise)
+        z[np.arange(z.shape[0]), np.arange(start, start + z.shape[0])] = 0
+        best[own] = z.max(1, initial=0)
+    found = np.flatnonzero(best > least)
+    return np.sort(found[np.argsort(-best[found], kind="stable")[:most]])
+
+
+def fit(rows: np.ndarray, terms: np.ndarray, labels: np.ndarray, min_steps: int = 1500, epochs: int = 12, rate: float = 0.3, ridge: float = 1e-4, batch: int = 128, factors: int = FACTORS, seed: int = 11) -> Model:
+    """Fit on (row, term) pairs, sorted by row, and the rows' labels by adaptive-step gradient descent.
+
+    No ``factors`` make a linear model, for comparison.
+    """
     n, positive = len(labels), int(labels.sum())
     if positive in (0, n):
         return NOTHING_LEARNT
-    names, at, df = np.unique(terms, return_inverse=True, return_counts=True)
-    seen = np.bincount(at, labels[rows], len(names))
-    share1, share0 = (seen + 0.5) / (positive + 1), (df - seen + 0.5) / (n - positive + 1)
-    pooled = (df + 1) / (n + 2)
-    z = np.abs(share1 - share0) / np.sqrt(pooled * (1 - pooled) * (1 / positive + 1 / (n - positive)) + 1e-12)
-    chosen = np.flatnonzero((df >= 4) & (z > 3.5))
-    if len(chosen) > max_terms:
-        chosen = np.sort(chosen[np.argsort(-z[chosen], kind="stable")[:max_terms]])
-    place = np.full(len(names), -1)
-    place[chosen] = np.arange(len(chosen))
-    used = place[at] >= 0
-    rows, at = rows[used], place[at][used]
+    names, at = np.unique(terms, return_inverse=True)
     first = np.searchsorted(rows, np.arange(n + 1))
     random = np.random.default_rng(seed)
-    w, v, bias = np.zeros(len(chosen)), random.normal(0, 0.05, (len(chosen), FACTORS)), 0.0
-    gw, gv, gb = np.full(len(chosen), 1e-2), np.full(v.shape, 1e-2), 1e-2
+    w, v, bias = np.zeros(len(names)), random.normal(0, 0.05, (len(names), factors)), 0.0
+    gw, gv, gb = np.full(len(names), 1e-2), np.full(v.shape, 1e-2), 1e-2
     # weight the labels alike whatever the sample holds of each
     worth = np.where(labels == 1, n / (2 * positive), n / (2 * (n - positive)))
     for _ in range(max(epochs, -(-min_steps * batch // n))):
@@ -119,57 +156,98 @@ def fit(rows: np.ndarray, terms: np.ndarray, labels: np.ndarray, max_terms: int
             who = np.repeat(np.arange(len(docs)), sizes)
             ids = at[np.arange(total[-1]) + np.repeat(first[docs] - total + sizes, sizes)]
             vi = v[ids]
-            sums = np.stack([np.bincount(who, vi[:, f], len(docs)) for f in range(FACTORS)], 1)
+            sums = _by_factor(who, vi, len(docs))
             squares = np.bincount(who, (vi * vi).sum(1), len(docs))
             margin = np.clip(bias + np.bincount(who, w[ids], len(docs)) + ((sums**2).sum(1) - squares) / 2, -30, 30)
             step = (1 / (1 + np.exp(-margin)) - labels[docs]) * worth[docs] / len(docs)
             active, pos = np.unique(ids, return_inverse=True)
             dw = np.bincount(pos, step[who], len(active)) + ridge * w[active]
             inner = step[who, None] * (sums[who] - vi)
-            dv = np.stack([np.bincount(pos, inner[:, f], len(active)) for f in range(FACTORS)], 1) + ridge * v[active]
+            dv = _by_factor(pos, inner, len(active)) + ridge * v[active]
             gw[active] += dw * dw
             gv[active] += dv * dv
             gb += step.sum() ** 2
             w[active] -= rate * dw / np.sqrt(gw[active])
             v[active] -= rate / 4 * dv / np.sqrt(gv[active])
             bias -= rate * step.sum() / np.sqrt(gb)
-    return Model(names[chosen], float(bias), w, v)
+    return Model(names, float(bias), w, v)
+
+
+def _by_factor(at: np.ndarray, values: np.ndarray, n: int) -> np.ndarray:
+    """Sums of the rows of ``values`` by ``at``."""
+    out = np.zeros((n, values.shape[1]))
+    for f in range(values.shape[1]):
+        out[:, f] = np.bincount(at, values[:, f], n)
+    return out
 
 
 def training_rows(labels: DataFrame, sample_per_label: int) -> DataFrame:
-    """(doc_id, toxic) of at most ``sample_per_label`` rows of either label outside the held-out third."""
-    usable = labels.where(F.col("doc_id").isNotNull() & ~held_out(F.col("doc_id"))).select(F.col("doc_id").cast("long").alias("_id"), F.col("toxic").cast("int").alias("_label"))
-    parts = [usable.where(F.col("_label") == k).orderBy(F.xxhash64("_id"), "_id").limit(sample_per_label) for k in (0, 1)]
+    """(_id, _label) of at most ``sample_per_label`` ids of either label outside the held-out third, each id once."""
+    usable = labels.where(F.col("doc_id").isNotNull() & F.col("toxic").isNotNull() & ~held_out(F.col("doc_id")))
+    once = usable.groupBy(F.col("doc_id").cast("long").alias("_id")).agg(F.max(F.col("toxic").cast("int")).alias("_label"))
+    parts = [once.where(F.col("_label") == k).orderBy(F.xxhash64("_id"), "_id").limit(sample_per_label) for k in (0, 1)]
     return parts[0].unionByName(parts[1])
 
 
-def train(docs: DataFrame, labels: DataFrame, sample_per_label: int = 3_500, **options) -> Model:
-    """Fit on the sample's whole texts. The sample and its hashed terms come to the driver, nothing else."""
+def sampled_terms(docs: DataFrame, labels: DataFrame, sample_per_label: int) -> DataFrame:
+    """(label, terms) of the sample's whole texts, one row an id, in shared storage."""
     ids = training_rows(labels, sample_per_label)
-    sample = docs.select(F.col("doc_id").cast("long").alias("_id"), "text").join(F.broadcast(ids), "_id").select("_label", "text")
+    sample = docs.select(F.col("doc_id").cast("long").alias("_id"), "text").join(F.broadcast(ids), "_id").select("_id", "_label", "text")
 
     def terms_of(batches):
         for batch in batches:
-            label = batch.column("_label").to_pylist()
-            found = [np.zeros(0, np.int32)] * len(label)
+            found = [np.zeros(0, np.int32)] * batch.num_rows
             for row, pairs in term_hits(batch.column("text")):
                 rows, terms = distinct_terms(pairs)
                 for r, part in zip(*_runs(rows, terms)):
                     found[row + r] = part.astype(np.int32)
-            yield pa.RecordBatch.from_arrays([pa.array(label, pa.int32()), pa.array(found, pa.list_(pa.int32()))], ["label", "terms"])
+            yield pa.RecordBatch.from_arrays([batch.column("_id"), batch.column("_label"), pa.array(found, pa.list_(pa.int32()))], ["_id", "label", "terms"])
+
+    # rows of a repeated id meet already where they are read
+    once = sample.mapInArrow(terms_of, "_id long, label int, terms array<int>").groupBy("_id").agg(F.min(F.struct("label", "terms")).alias("one"))
+    return materialise(once.select("one.label", "one.terms"), "toxicity-sample")
+
 
-    got = sample.mapInArrow(terms_of, "label int, terms array<int>").toArrow()
-    if not got.num_rows:
+def train(docs: DataFrame, labels: DataFrame, sample_per_label: int = 6_000, max_terms: int = 20_000, pair_terms: int = 2_048, max_paired: int = 2_000, **options) -> Model:
+    """Fit on the sample; the driver gets its rows cut to the kept terms and those terms' counts."""
+    sample = sampled_terms(docs, labels, sample_per_label)
+    n, positive = sample.agg(F.count("*"), F.coalesce(F.sum("label"), F.lit(0))).first()
+    if positive in (0, n):
         return NOTHING_LEARNT
+    counted = sample.select("label", F.explode("terms").alias("term")).groupBy("term").agg(F.count("*").alias("df"), F.sum("label").alias("seen")).where("df >= 4")
+    counted = materialise(counted, "toxicity-terms")
+    share1, share0 = (F.col("seen") + 0.5) / (positive + 1), (F.col("df") - F.col("seen") + 0.5) / (n - positive + 1)
+    pooled = (F.col("df") + 1) / (n + 2)
+    z = F.abs(share1 - share0) / F.sqrt(pooled * (1 - pooled) * (1 / positive + 1 / (n - positive)) + 1e-12)
+    alone = counted.where(z > TERM_Z).orderBy(F.desc(z), "term").limit(max_terms)
+    variable = counted.orderBy(F.desc(F.col("df") * (n - F.col("df"))), "term").limit(pair_terms)
+    alone, variable = (np.sort(np.array([r.term for r in part.select("term").collect()], np.int64)) for part in (alone, variable))
+    kept = docs.sparkSession.sparkContext.broadcast(np.union1d(alone, variable).astype(np.int32))
+
+    def cut(batches):
+        for batch in batches:
+            lists = batch.column("terms")
+            held = np.isin(lists.flatten().to_numpy(zero_copy_only=False), kept.value)
+            before = np.concatenate(([0], np.cumsum(held)))[np.concatenate(([0], np.cumsum(lists.value_lengths().to_numpy(zero_copy_only=False))))]
+            values = lists.flatten().filter(pa.array(held))
+            yield pa.RecordBatch.from_arrays([batch.column("label"), pa.ListArray.from_arrays(pa.array(before, pa.int32()), values)], ["label", "terms"])
+
+    got = sample.mapInArrow(cut, "label int, terms array<int>").toArrow()
     labels_ = np.asarray(got.column("label")).astype(np.int64)
     lists = got.column("terms").combine_chunks()
     # rows come in no fixed order: sort them, so that reruns fit the same model
-    flat, ends = np.asarray(lists.flatten()).astype(np.int32), np.concatenate(([0], np.cumsum(np.asarray(lists.value_lengths().fill_null(0)))))
+    flat, ends = np.asarray(lists.flatten()).astype(np.int64), np.concatenate(([0], np.cumsum(np.asarray(lists.value_lengths()))))
     key = [int(np.bitwise_xor.reduce(mix(flat[a:b].astype(np.uint64)), initial=np.uint64(b - a))) for a, b in zip(ends[:-1], ends[1:])]
     order = np.lexsort((np.array(key, np.uint64), labels_))
-    rows = np.repeat(np.arange(len(order), dtype=np.int32), (ends[1:] - ends[:-1])[order])
-    terms = np.concatenate([flat[ends[i] : ends[i + 1]] for i in order]) if len(order) else flat
-    return fit(rows, terms, labels_[order], **options)
+    rows = np.repeat(np.arange(len(order)), (ends[1:] - ends[:-1])[order])
+    terms = np.concatenate([flat[ends[i] : ends[i + 1]] for i in order])
+    labels_ = labels_[order]
+    if len(variable):
+        at = np.minimum(np.searchsorted(variable, terms), len(variable) - 1)
+        use = variable[at] == terms
+        alone = np.union1d(alone, variable[paired_terms(rows[use], at[use], len(variable), labels_, most=max_paired)])
+    use = np.isin(terms, alone)
+    return fit(rows[use], terms[use], labels_, **options)
 
 
 def _runs(rows: np.ndarray, terms: np.ndarray):
@@ -179,24 +257,29 @@ def _runs(rows: np.ndarray, terms: np.ndarray):
     return rows[np.concatenate(([0], cuts))].tolist(), np.split(terms, cuts)
 
 
+def batch_scores(model: Model, texts: pa.Array) -> np.ndarray:
+    """The score of each whole text of an Arrow column."""
+    out = np.full(len(texts), float(model.scores(1, np.zeros(0, np.int64), np.zeros(0, np.int64))[0]))
+    if not len(model.terms):
+        return out
+    for row, pairs in term_hits(texts):
+        terms = (pairs & np.uint64((1 << HASH_BITS) - 1)).astype(np.int64)
+        at = np.minimum(np.searchsorted(model.terms, terms), len(model.terms) - 1)
+        rows, terms = distinct_terms(pairs[model.terms[at] == terms])
+        if len(rows):
+            low, n = rows[0], rows[-1] - rows[0] + 1
+            out[row + low : row + low + n] = model.scores(n, rows - low, np.searchsorted(model.terms, terms))
+    return out
+
+
 def score(docs: DataFrame, model: Model) -> DataFrame:
     """``docs`` with ``score`` and ``predicted``; columns of those names are replaced."""
     docs = docs.drop("score", "predicted")
     shared = docs.sparkSession.sparkContext.broadcast(model)
 
     def run(batches):
-        model = shared.value
         for batch in batches:
-            out = np.full(batch.num_rows, float(model.scores(1, np.zeros(0, np.int64), np.zeros(0, np.int64))[0]))
-            for row, pairs in term_hits(batch.column("text")):
-                terms = (pairs & np.uint64((1 << HASH_BITS) - 1)).astype(np.int64)
-                at = np.minimum(np.searchsorted(model.terms, terms), max(len(model.terms) - 1, 0))
-                if len(model.terms):
-                    rows, terms = distinct_terms(pairs[model.terms[at] == terms])
-                    if len(rows):
-                        low, n = rows[0], rows[-1] - rows[0] + 1
-                        scores = model.scores(n, rows - low, np.searchsorted(model.terms, terms))
-                        out[row + low : row + low + n] = scores
+            out = batch_scores(shared.value, batch.column("text"))
             yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(out), pa.array((out >= THRESHOLD).astype(np.int32))], [*batch.schema.names, "score", "predicted"])
 
     schema = T.StructType([*docs.schema.fields, T.StructField("score", T.DoubleType()), T.StructField("predicted", T.IntegerType())])
@@ -210,6 +293,11 @@ def report(docs: DataFrame, labels: DataFrame, **options) -> DataFrame:
 
 
 def keep_clean(docs: DataFrame, corpus: DataFrame, labels: DataFrame, **options) -> DataFrame:
-    """The rows of ``docs`` that a model fitted on ``corpus`` does not reject."""
-    names = docs.columns
-    return score(docs, train(corpus, labels, **options)).where("predicted = 0").select(*names)
+    """The rows of ``docs`` that a model fitted on ``corpus`` does not reject, with all their columns."""
+    shared = docs.sparkSession.sparkContext.broadcast(train(corpus, labels, **options))
+
+    def run(batches):
+        for batch in batches:
+            yield batch.filter(pa.array(batch_scores(shared.value, batch.column("text")) < THRESHOLD))
+
+    return docs.mapInArrow(run, docs.schema)
