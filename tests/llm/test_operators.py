@@ -87,8 +87,28 @@ def test_differencing_keeps_capacity():
     sizes = [int(x) for x in np.random.default_rng(0).integers(1, 4000, 80)]
     windows = packing.fill(sizes)
     assert len(windows) == -(-sum(sizes) // 4096) and all(sum(b - a for _, a, b in w) <= 4096 for w in windows)
+    assert sorted((i, u) for w in windows for i, a, b in w for u in range(a, b)) == [(i, u) for i, n in enumerate(sizes) for u in range(n)]
     sums = [sum(sizes[i] for i in w) for w in packing.difference(sizes, 10)]
     assert max(sums) - min(sums) < 100
+    assert sorted(sum([8, 7, 6, 5, 4][i] for i in w) for w in packing.difference([8, 7, 6, 5, 4], 2)) == [14, 16]
+    assert packing.difference([], 3) == [[], [], []] and packing.fill([]) == []
+
+
+def test_window_count_rises_with_capacity():
+    # nothing is cut: three items of 3,000 need three windows though their sum fills two and a fifth
+    assert [[(i, 0, 3000)] for i in range(3)] == sorted(packing.fill([3000] * 3, waste=1.0))
+    sizes = [2100] * 40 + [900] * 10
+    whole = packing.fill(sizes, waste=1.0)
+    assert len(whole) > -(-sum(sizes) // 4096) and all(a == 0 and b == sizes[i] for w in whole for i, a, b in w)
+    assert len(packing.fill(sizes)) == -(-sum(sizes) // 4096)
+
+
+def test_windows_come_from_differencing(monkeypatch):
+    sizes = [int(x) for x in np.exp(np.random.default_rng(5).normal(5.5, 1.2, 600)).clip(1, 4095)]
+    ours = len(packing.fill(sizes, waste=1.0))
+    assert ours * 4096 <= 1.03 * sum(sizes) + 4096
+    monkeypatch.setattr(packing, "difference", lambda sizes, n: [list(range(k, len(sizes), n)) for k in range(n)])
+    assert len(packing.fill(sizes, waste=1.0)) > 1.2 * ours
 
 
 def test_jaccard_join(spark, odd, empty):
