@@ -45,6 +45,14 @@ def materialise(df: DataFrame, label: str) -> DataFrame:
     return spark.read.schema(df.schema).parquet(path)
 
 
+def free_prefix(columns: list[str]) -> str:
+    """A prefix of which no name in ``columns`` is, for columns that an operator adds for itself."""
+    prefix = "_own_"
+    while any(c.lower().startswith(prefix) for c in columns):
+        prefix = "_" + prefix
+    return prefix
+
+
 def executor_fs(uri: str):
     """(filesystem, path) of pyarrow for a shared folder; local, HDFS and object stores."""
     from pyarrow import fs
