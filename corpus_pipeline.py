@@ -8,7 +8,7 @@ one's ``docs``. All but the last return the columns of ``docs``.
 from __future__ import annotations
 
 from tabseek.llm import jaccard_join, mixing, packing, secrets, toxicity
-from tabseek.llm.store import materialise, table
+from tabseek.llm.store import discard, materialise, table
 
 
 def without_toxic(spark, docs, sf_dir):
@@ -48,8 +48,11 @@ STAGES = [
 def run(spark, sf_dir):
     """All stages over ``documents``; each reads what its predecessor wrote."""
     docs = table(spark, sf_dir, "documents")
-    for name, stage in STAGES[:-1]:
-        docs = materialise(stage(spark, docs, sf_dir), name.replace(" ", "-"))
+    for k, (name, stage) in enumerate(STAGES[:-1]):
+        kept = materialise(stage(spark, docs, sf_dir), name.replace(" ", "-"))
+        if k:
+            discard(docs)  # what the stage before wrote
+        docs = kept
     return STAGES[-1][1](spark, docs, sf_dir)
 
 

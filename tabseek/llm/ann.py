@@ -33,7 +33,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, Window, functions as F
 
-from .store import executor_fs, materialise, scratch_path, write_atomically
+from .store import discard, executor_fs, materialise, scratch_path, write_atomically
 
 INDEX_BLOCK = 1 << 15
 QUERY_BLOCK = 1 << 12
@@ -181,7 +181,7 @@ class ProjectionIndex:
 def nearest(vectors: DataFrame, queries: DataFrame, k: int = 20, projections: int = PROJECTIONS, threshold: float = 0.65, budget: float = 0.05, least: int = 400, first: float = 1.5, factor: float = 1.4, index_block: int = INDEX_BLOCK, query_block: int = QUERY_BLOCK) -> DataFrame:
     """The k nearest found of every query (vec_id, embedding): query_id, rank, vec_id, score."""
     spark = vectors.sparkSession
-    vectors, queries = materialise(usable(vectors), "vectors"), materialise(usable(queries), "queries")
+    vectors, queries = materialise(usable(vectors), "vectors"), materialise(usable(queries), "query-vectors")
     asked = queries.count()
     n_index = max(1, -(-vectors.count() // index_block))
     # chunks are smaller only where the cluster would idle
@@ -213,6 +213,7 @@ def nearest(vectors: DataFrame, queries: DataFrame, k: int = 20, projections: in
 
     sized = lambda rows: rows.withColumn("dim", F.size("embedding"))
     blocks = materialise(sized(vectors).withColumn("ib", block(n_index)).repartition(2 * n_index, "dim", "ib").groupBy("dim", "ib").applyInArrow(build, "dim int, ib int, size long"), "projection-blocks")
+    discard(vectors)
     # a row a block of thousands of vectors; queries meet the blocks of their length
     chunked = sized(queries).withColumn("qb", F.pmod(F.xxhash64("vec_id", F.lit(1)), F.lit(n_query)).cast("int")).join(blocks.select("dim", "ib"), "dim")
     # a group is minutes of work on few bytes, so partitions are not merged by their size

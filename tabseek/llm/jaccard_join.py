@@ -6,7 +6,8 @@ similarity reaches the threshold. The result names each document's component.
 1. Documents of equal sets are one set from here on.
 2. Shingles are split into a rare and a frequent class by counts over all
    documents. Which class a shingle has decides only how it is indexed, so a
-   fixed-size bitmap of hashed frequent shingles is enough, whatever it mistakes.
+   bitmap of hashed frequent shingles is enough, whatever it mistakes. Its size
+   follows their number, within bounds.
 3. Order all shingles: rare ones first, each class by hash. A set of size n
    that reaches the threshold with another misses at most ``t`` of its own
    shingles there. Its prefix runs until ``t + 1`` is earned: each rare shingle
@@ -23,13 +24,17 @@ similarity reaches the threshold. The result names each document's component.
    those are held against size and a parity sketch, whose distance bounds the
    overlap, large entries in blocks of bounded size; survivors are verified.
 
-Verification is exact on the sets' hashes. Nothing but the bitmaps, whose size
-is fixed, comes to the driver or is broadcast.
+Verification is exact on the sets' hashes. Nothing but the bitmaps, of
+``2 ** MOST_BITS`` bits at most, comes to the driver or is broadcast.
 
 Defined cases: a null or empty text, or one without words, has no shingles and
 is its own component; a text of fewer than three words is one shingle; A-Z count
-as a-z; rows of null doc_id have no component; repeated rows are equal sets; an
-empty table gives no rows.
+as a-z; rows of null doc_id have no component; repeated rows are equal sets, and
+rows of one doc_id with different texts are one document, which links by any of
+them; a text of any length is one set, read in slices of words; an empty table
+gives no rows; other columns, whatever their names, are not read. ``keep_one``
+keeps all columns as they are, and takes rows of one doc_id with different texts
+as different documents.
 """
 
 from __future__ import annotations
@@ -38,7 +43,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, functions as F
 
-from .store import materialise
+from .store import discard, free_prefix, materialise
 from .words import mix, text_slices, word_hashes, word_spans
 
 WIDTH = 3
@@ -46,7 +51,8 @@ WIDTH = 3
 NUM, DEN = 90, 100
 #: A shingle is frequent when more documents than this have it near their start in hash order.
 FREQUENT = 10
-BITMAP_BITS = 24
+#: Sizes of bitmaps, as powers of two: 2 MB to 32 MB.
+LEAST_BITS, MOST_BITS = 24, 28
 #: Members of one entry that are held against each other in one block.
 BLOCK = 1024
 #: Entries of so many members or fewer give their pairs as rows.
@@ -121,25 +127,27 @@ def document_sets(docs: DataFrame) -> DataFrame:
     return docs.mapInArrow(run, "doc_id long, n long, set_id long, sketch binary")
 
 
-def _bitmap(keys: DataFrame, bits: int) -> np.ndarray:
-    """A bitmap of ``2 ** bits`` bits with those of ``keys`` (column ``at``, below 2 ** bits) set; of that size at the driver."""
-    parts = keys.select(F.bitmap_bucket_number(F.col("at") + 1).alias("bucket"), F.bitmap_bit_position(F.col("at") + 1).alias("bit")).groupBy("bucket").agg(F.bitmap_construct_agg("bit").alias("part"))
+def _bitmap(keys: DataFrame) -> np.ndarray:
+    """A bitmap with the hashes of ``keys`` (column ``at``, a long) set: 16 bits a key if the bounds allow; of that size at the driver.
+
+    Only the low bits of a hash count.
+    """
+    bits = min(max((16 * keys.count()).bit_length(), LEAST_BITS), MOST_BITS)
+    slot = F.col("at").bitwiseAND(F.lit((1 << bits) - 1)) + 1
+    parts = keys.select(F.bitmap_bucket_number(slot).alias("bucket"), F.bitmap_bit_position(slot).alias("bit")).groupBy("bucket").agg(F.bitmap_construct_agg("bit").alias("part"))
     size = 4096
-    out = np.zeros(max((1 << bits) // 8, size), np.uint8)
-    for row in parts.collect():  # 2 ** bits / 32768 rows at most
+    out = np.zeros((1 << bits) // 8, np.uint8)
+    for row in parts.toLocalIterator():  # 2 ** bits / 32768 rows at most
         at = (row.bucket - 1) * size
         out[at : at + size] = np.frombuffer(row.part, np.uint8)
     return out
 
 
-def _in_bitmap(bitmap: np.ndarray, at: np.ndarray) -> np.ndarray:
+def _in_bitmap(bitmap: np.ndarray, hashes: np.ndarray) -> np.ndarray:
+    at = hashes.view(np.int64) & (8 * len(bitmap) - 1)
     return (bitmap[at >> 3] >> (at & 7).astype(np.uint8)) & 1 == 1
 
 
-def _class_slot(tokens: np.ndarray) -> np.ndarray:
-    return (tokens & np.uint64((1 << BITMAP_BITS) - 1)).astype(np.int64)
-
-
 def frequent_bitmap(docs: DataFrame, frequent: int = FREQUENT) -> np.ndarray:
     """Hashed shingles that more than ``frequent`` documents have in twice the prefix they need.
 
@@ -155,7 +163,10 @@ def frequent_bitmap(docs: DataFrame, frequent: int = FREQUENT) -> np.ndarray:
             yield pa.RecordBatch.from_arrays([pa.array(slots.view(np.int32)), pa.array(counts.astype(np.int32))], ["slot", "n"])
 
     counted = docs.mapInArrow(run, "slot int, n int").groupBy("slot").agg(F.sum("n").alias("n")).where(F.col("n") > frequent)
-    return _bitmap(counted.select((F.col("slot").cast("long").bitwiseAND(F.lit((1 << BITMAP_BITS) - 1))).alias("at")).distinct(), BITMAP_BITS)
+    counted = materialise(counted.select(F.col("slot").cast("long").alias("at")), "frequent")
+    bitmap = _bitmap(counted)
+    discard(counted)
+    return bitmap
 
 
 def signatures(tokens: np.ndarray, bitmap: np.ndarray) -> np.ndarray:
@@ -164,7 +175,7 @@ def signatures(tokens: np.ndarray, bitmap: np.ndarray) -> np.ndarray:
     if n < 2:
         return np.zeros(0, np.uint64)  # links with its equal only
     goal = misses(n) + 1
-    often = _in_bitmap(bitmap, _class_slot(tokens))
+    often = _in_bitmap(bitmap, tokens)
     rare = tokens[~often][:goal]
     if len(rare) == goal:
         return rare
@@ -173,7 +184,7 @@ def signatures(tokens: np.ndarray, bitmap: np.ndarray) -> np.ndarray:
     smallest, largest = (NUM * n + DEN - 1) // DEN, DEN * n // NUM
     for band in range(smallest.bit_length() - 1, largest.bit_length()):
         subclasses = max(1, (1 << band) // 16)
-        kind = (common >> np.uint64(BITMAP_BITS)) % np.uint64(subclasses)
+        kind = (common >> np.uint64(32)) % np.uint64(subclasses)
         first = np.zeros(len(common), dtype=bool)
         first[np.unique(kind, return_index=True)[1]] = True
         earned = len(rare) + np.cumsum(~first)
@@ -231,13 +242,12 @@ def _unlike(pairs: DataFrame, sets: DataFrame) -> DataFrame:
 def linked(pairs: DataFrame, docs: DataFrame) -> DataFrame:
     """The (a, b) of ``pairs`` (doc_ids) whose sets link, by exact intersection.
 
-    Sets of documents outside the pairs are not built: a fixed-size bitmap of
-    the ids selects the texts; what it selects in vain finds no partner.
+    Sets of documents outside the pairs are not built: a bitmap of the ids
+    selects the texts; what it selects in vain finds no partner.
     """
     spark = docs.sparkSession
-    slot = lambda c: F.pmod(F.xxhash64(c), F.lit(1 << BITMAP_BITS))
-    ids = pairs.select(F.explode(F.array("a", "b")).alias("id")).distinct()
-    shared = spark.sparkContext.broadcast(_bitmap(ids.select(slot("id").alias("at")).distinct(), BITMAP_BITS))
+    ids = materialise(pairs.select(F.explode(F.array("a", "b")).alias("id")).distinct(), "paired-ids")
+    shared = spark.sparkContext.broadcast(_bitmap(ids.select(F.xxhash64("id").alias("at"))))
 
     def build(batches):
         for batch in batches:
@@ -250,8 +260,9 @@ def linked(pairs: DataFrame, docs: DataFrame) -> DataFrame:
                 sets.append(tokens.astype(">u8").view(np.uint8).reshape(-1, 8)[:, :6].tobytes())
             yield pa.RecordBatch.from_arrays([part.column("doc_id").take(pa.array(rows, pa.int64())), pa.array(sets, pa.binary())], ["id", "tokens"])
 
-    sets = docs.where("doc_id IS NOT NULL").select("doc_id", "text", slot("doc_id").alias("slot")).mapInArrow(build, "id long, tokens binary")
+    sets = docs.where("doc_id IS NOT NULL").select("doc_id", "text", F.xxhash64("doc_id").alias("slot")).mapInArrow(build, "id long, tokens binary")
     sets = materialise(sets.join(ids, "id", "left_semi"), "candidate-sets")
+    discard(ids)
 
     def verify(batches):
         for batch in batches:
@@ -294,7 +305,8 @@ def components(edges: DataFrame) -> DataFrame:
         wide = both.join(least, "u").where("v > u").select(F.col("v").alias("u"), F.col("m").alias("v")).where("u <> v").distinct()
         low = wide.groupBy("u").agg(F.min("v").alias("m"))
         narrow = wide.join(low, "u")
-        now = materialise(narrow.where("v <> m").select(F.col("v").alias("u"), F.col("m").alias("v")).unionByName(low.select("u", F.col("m").alias("v"))).distinct(), "edges")
+        old, now = now, materialise(narrow.where("v <> m").select(F.col("v").alias("u"), F.col("m").alias("v")).unionByName(low.select("u", F.col("m").alias("v"))).distinct(), "edges")
+        discard(old)
         after = state(now)
         if after == before:
             break
@@ -374,6 +386,7 @@ def join(docs: DataFrame, frequent: int = FREQUENT) -> DataFrame:
     shared = entries.groupBy("entry").agg(F.min("set_id").alias("lo"), F.max("set_id").alias("hi"), F.count("*").alias("size")).where("lo <> hi").select("entry", "size")
     members = entries.join(shared, "entry").distinct().join(small, "set_id").select("entry", "size", "id", "n")
     members = materialise(members, "members")
+    discard(entries)
     # the member that shares most leads; comparisons with it are one a member
     weight = members.groupBy("id").agg(F.sum("size").alias("weight"))
     weighed = members.join(weight, "id")
@@ -381,10 +394,12 @@ def join(docs: DataFrame, frequent: int = FREQUENT) -> DataFrame:
     fits = f"{DEN} * least(n, m) >= {NUM} * greatest(n, m)"
     star = members.join(leads.select("entry", F.col("lead.weight").alias("weight"), F.col("lead.id").alias("lead"), F.col("lead.n").alias("m")), "entry").where(f"id <> lead AND {fits}")
     first = star.groupBy("id").agg(F.max(F.struct("weight", "lead")).alias("best")).select(F.least("id", "best.lead").alias("a"), F.greatest("id", "best.lead").alias("b")).distinct()
-    known = materialise(linked(materialise(_unlike(first, sets), "star-pairs"), docs), "star-links")
+    stars = materialise(_unlike(first, sets), "star-pairs")
+    known = materialise(linked(stars, docs), "star-links")
     labels = materialise(components(known), "star-components")
     # entries whose members are not all of one component
     labelled = materialise(members.join(labels, "id", "left").select("entry", "id", "n", F.coalesce("component", "id").alias("label")), "labelled")
+    discard(stars, members, labels)
     mixed = labelled.groupBy("entry").agg(F.min("label").alias("lo"), F.max("label").alias("hi"), F.count("*").alias("size")).where("lo <> hi").select("entry", "size")
     left = labelled.join(mixed, "entry")
     # small entries: pairs, each of which meets in many entries, are made distinct before sketches join them
@@ -397,23 +412,38 @@ def join(docs: DataFrame, frequent: int = FREQUENT) -> DataFrame:
     blocks = blocks.select("entry", F.least("part", "other").alias("i"), F.greatest("part", "other").alias("j"), "part", "id", "label", "n", "sketch")
     many = blocks.repartition("entry", "i", "j").sortWithinPartitions("entry", "i", "j").mapInArrow(_block_pairs, "a long, b long")
     rest = few.unionByName(many).distinct()
-    more = linked(materialise(rest, "block-pairs"), docs)
-    final = components(known.unionByName(more))
+    rest = materialise(rest, "block-pairs")
+    discard(labelled)
+    final = components(known.unionByName(linked(rest, docs)))
+    discard(known, rest)
     named = sets.join(final, "id", "left").select("set_id", F.coalesce("component", "id").alias("component"), "n_copies")
     return rows.join(named, "set_id", "left").select("doc_id", F.col("n").alias("n_shingles"), F.when(F.col("doc_id").isNotNull(), F.coalesce("component", "doc_id")).alias("component_id"), F.coalesce("n_copies", F.lit(1)).alias("n_copies"))
 
 
 def keep_one(docs: DataFrame, **options) -> DataFrame:
-    """``docs`` without documents whose component has a smaller doc_id; rows of null doc_id stay.
+    """``docs`` with one row of each group of linked documents, that of the smallest doc_id; rows of null doc_id stay.
 
-    Of rows that share the doc_id that stays, each is the same document and one stays.
+    Rows of one doc_id and text are one document; with different texts they are
+    different ones, each of which stays or goes by its own links.
     """
-    doomed = join(docs.select("doc_id", "text"), **options).where("component_id <> doc_id").select("doc_id").distinct()
-    kept = docs.join(doomed, "doc_id", "left_anti").select(*docs.columns)
-    # only rows whose doc_id repeats are dealt out by it
-    again = docs.where("doc_id IS NOT NULL").groupBy("doc_id").count().where("count > 1").select("doc_id")
-    once = kept.join(again, "doc_id", "left_semi").select(*docs.columns).dropDuplicates(["doc_id"])
-    return kept.join(again, "doc_id", "left_anti").select(*docs.columns).unionByName(once)
+    own = free_prefix(docs.columns)
+    key, flag = f"{own}key", f"{own}again"
+    again = materialise(docs.where("doc_id IS NOT NULL").groupBy("doc_id").count().where("count > 1").select("doc_id"), "repeated-ids")
+    if again.isEmpty():
+        doomed = join(docs.select("doc_id", "text"), **options).where("component_id <> doc_id").select("doc_id")
+        return docs.join(doomed, "doc_id", "left_anti").select(*docs.columns)
+    # a row of a repeated doc_id is named by a negative number from its text
+    known = again.select(F.col("doc_id").alias(f"{own}id"), F.lit(True).alias(flag))
+    named = docs.join(known, F.col("doc_id") == F.col(f"{own}id"), "left")
+    number = F.when(F.col(flag), -1 - F.shiftrightunsigned(F.xxhash64("doc_id", "text"), 1)).otherwise(F.col("doc_id").cast("long"))
+    named = named.withColumn(key, F.when(F.col("doc_id").isNotNull(), number))
+    ids = named.where(F.col(key).isNotNull()).select(F.col(key).alias("doc_id"), F.col("doc_id").alias("id")).distinct()
+    found = join(named.select(F.col(key).alias("doc_id"), "text"), **options).select("doc_id", "component_id").distinct()
+    stays = found.join(ids, "doc_id").groupBy("component_id").agg(F.min(F.struct("id", "doc_id")).alias("least")).select(F.col("least.doc_id").alias(key))
+    kept = named.join(stays, key, "left_semi")
+    once = kept.where(F.col(flag)).dropDuplicates([key])
+    parts = [kept.where(F.col(flag).isNull()), once, named.where("doc_id IS NULL")]
+    return parts[0].select(*docs.columns).unionByName(parts[1].select(*docs.columns)).unionByName(parts[2].select(*docs.columns))
 
 
 def brute_force(texts: dict[int, str | None]) -> dict[int, int]:

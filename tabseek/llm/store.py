@@ -2,7 +2,8 @@
 
 Everything that one task writes and another reads goes below the folder named
 by ``spark.checkpoint.dir``, which all executors of a cluster share. Only a
-session without that setting (tests, a single machine) gets a temporary folder.
+local session without that setting (tests, a single machine) gets a temporary
+folder; on a cluster its lack is an error. ``discard`` deletes what is read no more.
 """
 
 from __future__ import annotations
@@ -23,6 +24,8 @@ def shared_dir(spark: SparkSession) -> str:
     """The shared folder as a URI or path, without a trailing slash."""
     base = spark.conf.get("spark.checkpoint.dir", None)
     if not base:
+        if not spark.sparkContext.master.startswith("local"):
+            raise ValueError("set spark.checkpoint.dir to a folder that the driver and all executors share")
         if not _own_dir:
             _own_dir.append(tempfile.mkdtemp(prefix="tabseek-"))
         base = _own_dir[0]
@@ -42,7 +45,17 @@ def materialise(df: DataFrame, label: str) -> DataFrame:
     spark = df.sparkSession
     path = scratch_path(spark, label)
     df.write.parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
+    out = spark.read.schema(df.schema).parquet(path)
+    out._scratch = path
+    return out
+
+
+def discard(*frames: DataFrame) -> None:
+    """Delete what ``materialise`` wrote for frames that nothing reads any more."""
+    for df in frames:
+        spark = df.sparkSession
+        at = spark._jvm.org.apache.hadoop.fs.Path(df._scratch)
+        at.getFileSystem(spark._jsc.hadoopConfiguration()).delete(at, True)
 
 
 def free_prefix(columns: list[str]) -> str:
@@ -67,7 +80,8 @@ def executor_fs(uri: str):
 def write_atomically(uri: str, chunks) -> int:
     """Write byte chunks under a temporary name, then rename; returns the size.
 
-    Attempts of one task write the same bytes, so whichever ends last is right.
+    Attempts of one task write the same rows, if not in the same order, each
+    under a temporary name of its own, so whichever ends last leaves a whole file.
     """
     fs, path = executor_fs(uri)
     fs.create_dir(path.rpartition("/")[0], recursive=True)

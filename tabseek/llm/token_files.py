@@ -32,6 +32,8 @@ from .tokens import default_vocabulary, tokenizer
 
 MAGIC = b"TSI1\0\0\0\0"
 BLOCK = 1024
+#: Bytes of input a shard, by the planner's estimate.
+SHARD_BYTES = 1 << 28
 #: Ids per word and bits per id of the sixteen selectors.
 COUNTS = np.array([240, 120, 60, 30, 20, 15, 12, 10, 8, 7, 6, 5, 4, 3, 2, 1])
 WIDTHS = np.array([0, 0, 1, 2, 3, 4, 5, 6, 7, 8, 10, 12, 15, 20, 30, 60])
@@ -183,12 +185,16 @@ def write_token_files(docs: DataFrame, path: str, vocabulary: str | None = None,
     """Write all of ``docs`` (doc_id, text) below ``path``; one manifest row per shard.
 
     Rows: shard, path, n_docs, n_ids. A null text is empty and holds the end id
-    alone. Rows of one doc_id stand side by side in the order of their texts;
-    null doc_ids come first. No rows give empty shards. Other columns are not
-    read. A repeated task attempt writes the same bytes under the same name.
+    alone. Rows of one doc_id stand side by side in the order of the input, over
+    as many shards as they fill; null doc_ids come first. No rows give empty
+    shards. Other columns, whatever their names, are not read. A repeated task
+    attempt writes the same bytes under the same name. Shards follow the input's
+    size, and are no fewer than the shuffle's partitions.
     """
     vocabulary = vocabulary or default_vocabulary()
-    n_shards = n_shards or int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    if not n_shards:
+        size = int(docs._jdf.queryExecution().optimizedPlan().stats().sizeInBytes().toString())
+        n_shards = max(int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions")), min(-(-size // SHARD_BYTES), 1 << 20))
 
     def write(batches):
         from pyspark import TaskContext
@@ -198,7 +204,9 @@ def write_token_files(docs: DataFrame, path: str, vocabulary: str | None = None,
         write_atomically(uri, _shard_chunks(batches, vocabulary, end_id, totals))
         yield pa.RecordBatch.from_pydict({"shard": pa.array([shard], pa.int32()), "path": [uri], "n_docs": pa.array([totals["n_docs"]], pa.int64()), "n_ids": pa.array([totals["n_ids"]], pa.int64())})
 
-    ordered = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").repartitionByRange(n_shards, "doc_id").sortWithinPartitions("doc_id", "text")
+    # the place in the input splits the rows of a hot doc_id
+    numbered = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text", F.monotonically_increasing_id().alias("place"))
+    ordered = numbered.repartitionByRange(n_shards, "doc_id", "place").sortWithinPartitions("doc_id", "place")
     return ordered.mapInArrow(write, "shard int, path string, n_docs long, n_ids long")
 
 

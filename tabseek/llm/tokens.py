@@ -1,9 +1,11 @@
 """Token ids of whole texts by a public vocabulary file.
 
 White space never takes part in a token of the word vocabularies used here, so
-a text's ids are those of its words one after another. Each worker keeps a
-bounded memo of words by 64-bit hash; the library encodes only words not in it.
-Tests hold the result against the library's ids of the whole text.
+a text's ids are those of its words one after another; a vocabulary of another
+kind is refused. Each worker keeps a bounded memo of words by 64-bit hash; the
+library encodes only words not in it. A worker draws its hash at random and
+leaves very long words out, so no text can be made to collide. Tests hold the
+result against the library's ids of the whole text.
 """
 
 from __future__ import annotations
@@ -16,13 +18,17 @@ from itertools import chain
 import numpy as np
 import pyarrow as pa
 
-from .words import text_slices, word_hashes, word_spans
+from .words import mix, text_slices, word_hashes, word_spans
 
 #: The memo starts anew beyond so many words or ids.
 MEMO_WORDS, MEMO_IDS = 600_000, 4_000_000
 _SLOT_BITS = 21
 #: Words looked up at once; with those in the memo they leave the table under half full.
 _PIECE = 200_000
+#: Longer words are never looked up.
+MEMO_BYTES = 512
+#: White space of every kind that separates words, between and around pieces that could join.
+_PROBE = " The quick\tbrown  fox\n\njumps\x0bover\x0c 12 34\r\n5 'll s ! ? x "
 #: Letters that normalisation only lower-cases, then common closing punctuation.
 #: Such a word is one or two pre-tokens, so the library's model can take them directly.
 _PLAIN = re.compile("([A-Za-z\u00c0-\u00d6\u00d8-\u00f6\u00f8-\u00ff]+)([.,;:!?]*)")
@@ -47,6 +53,11 @@ class WordTokenizer:
         spell = lambda c: "".join(t for t, _ in byte_level.pre_tokenize_str(c.lower()))
         self._spelling = {i: spell(chr(i)) for i in (*range(65, 91), *range(0xC0, 0x100)) if chr(i).isalpha()}
         self._closing = {"": []}
+        whole = self._library.encode(_PROBE, add_special_tokens=False).ids
+        if whole != [i for word in _PROBE.split() for i in self._library.encode(word, add_special_tokens=False).ids]:
+            raise ValueError(f"{path} does not split at white space: ids of texts are not those of their words")
+        self._letters = np.frombuffer(os.urandom(256 * 8), np.uint64) | np.uint64(1)
+        self._unseen = 0
         self._forget()
 
     def _direct(self, word: str) -> list[int] | None:
@@ -125,7 +136,11 @@ class WordTokenizer:
 
     def _encode_words(self, data: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         """(ids, number of ids of each word)."""
-        keys = word_hashes(data, starts, ends, fold_case=False) | np.uint64(1)
+        keys = word_hashes(data, starts, ends, letters=self._letters) | np.uint64(1)
+        long = np.flatnonzero(ends - starts > MEMO_BYTES)
+        if len(long):  # each is new
+            keys[long] = mix(np.arange(self._unseen + 1, self._unseen + 1 + len(long), dtype=np.uint64) ^ self._letters[0]) | np.uint64(1)
+            self._unseen += len(long)
         if self._words > MEMO_WORDS or self._used > MEMO_IDS:
             self._forget()
         codes = self._find(keys)

@@ -33,7 +33,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame, functions as F, types as T
 
-from .store import materialise
+from .store import discard, materialise
 from .words import mix, text_slices, word_hashes
 
 PREFIXES = (4, 5, 6)
@@ -110,11 +110,17 @@ def paired_terms(rows: np.ndarray, at: np.ndarray, n_terms: int, labels: np.ndar
         of = np.flatnonzero(labels == label)
         place = np.full(len(labels), -1)
         place[of] = np.arange(len(of))
-        use = place[rows] >= 0
-        table = np.zeros((len(of), n_terms), np.float32)
-        table[place[rows[use]], at[use]] = 1
-        grams.append(table.T @ table / len(of))
-        shares.append(table.mean(0, dtype=np.float64))
+        use = np.flatnonzero(place[rows] >= 0)
+        own_rows, own_at = place[rows[use]], at[use]  # ascending rows
+        gram, table = np.zeros((n_terms, n_terms), np.float32), np.zeros((2 * strip, n_terms), np.float32)
+        for start in range(0, len(of), len(table)):
+            low, high = np.searchsorted(own_rows, (start, start + len(table)))
+            table[:] = 0
+            table[own_rows[low:high] - start, own_at[low:high]] = 1
+            gram += table.T @ table
+        gram /= len(of)
+        grams.append(gram)
+        shares.append(np.bincount(own_at, minlength=n_terms) / len(of))
         counts.append(len(of))
     best = np.zeros(n_terms)
     for start in range(0, n_terms, strip):
@@ -233,6 +239,7 @@ def train(docs: DataFrame, labels: DataFrame, sample_per_label: int = 6_000, max
             yield pa.RecordBatch.from_arrays([batch.column("label"), pa.ListArray.from_arrays(pa.array(before, pa.int32()), values)], ["label", "terms"])
 
     got = sample.mapInArrow(cut, "label int, terms array<int>").toArrow()
+    discard(sample, counted)
     labels_ = np.asarray(got.column("label")).astype(np.int64)
     lists = got.column("terms").combine_chunks()
     # rows come in no fixed order: sort them, so that reruns fit the same model

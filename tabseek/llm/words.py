@@ -64,8 +64,8 @@ def word_spans(data: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.nd
     return starts, ends, np.searchsorted(starts, offsets)
 
 
-def word_hashes(data: np.ndarray, starts: np.ndarray, ends: np.ndarray, fold_case: bool = True) -> np.ndarray:
-    """A 64-bit hash of each word; with ``fold_case`` A-Z count as a-z."""
+def word_hashes(data: np.ndarray, starts: np.ndarray, ends: np.ndarray, letters: np.ndarray | None = None) -> np.ndarray:
+    """A 64-bit hash of each word, in which A-Z count as a-z, or of its very bytes by a table of 256 ``letters``."""
     if not len(starts):
         return np.zeros(0, np.uint64)
     lengths = ends - starts
@@ -73,8 +73,8 @@ def word_hashes(data: np.ndarray, starts: np.ndarray, ends: np.ndarray, fold_cas
     within = np.arange(total[-1]) - np.repeat(total[:-1], lengths)
     at = within + np.repeat(starts, lengths)
     powers = np.cumprod(np.full(int(lengths.max()), _MULT, dtype=np.uint64))
-    letters = data[at]
-    values = _BYTE_HASH[_LOWER[letters] if fold_case else letters] * powers[within]
+    found = data[at]
+    values = (_BYTE_HASH[_LOWER[found]] if letters is None else letters[found]) * powers[within]
     return mix(np.add.reduceat(values, total[:-1]) + lengths.astype(np.uint64))
 
 
