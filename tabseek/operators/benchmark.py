@@ -1,4 +1,4 @@
-"""Building a labelled benchmark: pruning, relabelling, pooling, sampling."""
+"""Building a labelled benchmark: pruning, relabelling, pooling, sampling."""
 
 from __future__ import annotations
 
@@ -7,6 +7,8 @@ from functools import reduce
 from pyspark.sql import Column, DataFrame, Window, functions as F
 
 from ..functions.analysis import words
+from .names import expand
+from .search import Index, weighted
 
 
 def prune_queries(queries: DataFrame, qrels: DataFrame) -> DataFrame:
@@ -73,6 +75,23 @@ def parseable(rows: DataFrame, column: str, schema: str) -> DataFrame:
     return rows.where(F.from_json(column, schema).isNotNull() & F.get_json_object(column, "$").isNotNull())
 
 
+def downsample(queries: DataFrame, index: Index, qrels: DataFrame, weights: dict[str, float], n: int = 50) -> DataFrame:
+    """(dataset, table_id): the ``n`` best tables of each query over the weighted fields, each by its own analyzer, and every judged positive."""
+    top = weighted(queries, index, weights, k=n).select("dataset", "table_id")
+    return top.union(qrels.where("grade > 0").select("dataset", "table_id")).distinct()
+
+
+def abbrev_rate(tables: DataFrame) -> DataFrame:
+    """(kind, n_tokens, rate): the share of tokens in column and table names that stand for something longer."""
+    out = None
+    for kind in ("column", "table"):
+        expanded = expand(tables, "columns" if kind == "column" else "table")
+        tokens = expanded.select(F.explode("mapping").alias("m")).select((F.col("m.token") != F.col("m.phrase")).cast("int").alias("short"))
+        part = tokens.agg(F.lit(kind).alias("kind"), F.count("*").alias("n_tokens"), F.round(F.avg("short"), 6).alias("rate"))
+        out = part if out is None else out.unionByName(part)
+    return out
+
+
 def _weight(query_id: Column, round_no: Column) -> Column:
     """How often a query stands in a resample: 0 to 4 by hash, as often as a rate of 1 asks."""
     u = F.pmod(F.xxhash64(query_id, round_no), F.lit(1_000_000)) / 1_000_000

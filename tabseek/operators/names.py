@@ -20,6 +20,10 @@ LEXICON = [
 ]
 
 
+#: Tokens of the catalogue that are plain words.
+PLAIN = ["name", "size", "brand", "type", "price", "tax", "quantity", "discount", "comment", "event", "user", "value", "text", "source", "embedding", "label", "html", "page", "quality", "toxic", "turn", "role", "item"]
+
+
 def split_name(name: Column) -> Column:
     """Tokens of a name: breaks at separators, case changes, and between letters and digits."""
     spaced = F.regexp_replace(name, "([a-z0-9])([A-Z])", "$1 $2")
@@ -42,7 +46,9 @@ RULES = [
     "Use the table to decide what a short token means.",
     "Do not add words that no token stands for.",
     "Do not translate names.",
-    "Answer with one line per name and nothing else.",
+    "Chemical symbols and units of measure become the full name of the substance or the unit.",
+    "Keep each phrase as short as its meaning allows.",
+    "First reason in a few sentences on what the table holds, then write \"Final answer:\" and one line per name.",
     "Write each line as name: token → phrase, token → phrase",
 ]
 EXAMPLES = [
@@ -55,7 +61,7 @@ EXAMPLES = [
 
 def _prompt(ask: Column) -> Column:
     rules = "\n".join(f"{i}. {r}" for i, r in enumerate(RULES, 1))
-    shots = "\n\n".join(f"Names: {q}\n{a}" for q, a in EXAMPLES)
+    shots = "\n\n".join(f"Names: {q}\nFinal answer:\n{a}" for q, a in EXAMPLES)
     return F.concat(F.lit(f"You expand abbreviated names of database tables and columns.\n{rules}\n\n{shots}\n\n"), ask)
 
 
@@ -106,20 +112,34 @@ def expansion_field(expanded: DataFrame) -> DataFrame:
     return expanded.groupBy("dataset", "table_id").agg(F.array_join(F.transform(F.array_sort(F.collect_list(F.struct("pos", "expanded"))), lambda x: x["expanded"]), " ").alias("text"))
 
 
-def parse_expansion(answers: DataFrame) -> DataFrame:
-    """(answer) to (original, mapping, expanded); pairs without an arrow are dropped."""
+def parse_expansion(answers: DataFrame, keys: list[str] | None = None) -> DataFrame:
+    """(answer) of one line to (original, mapping, expanded), after the columns ``keys``; pairs without an arrow are dropped."""
     body = F.trim(F.regexp_replace("answer", "^[^:]*:", ""))
     pairs = F.filter(F.split(body, ","), lambda p: F.contains(p, F.lit("→")))
     mapping = F.transform(pairs, lambda p: F.struct(F.trim(F.split(p, "→")[0]).alias("token"), F.trim(F.split(p, "→")[1]).alias("phrase")))
-    return answers.select(F.trim(F.split("answer", ":")[0]).alias("original"), mapping.alias("mapping"), F.array_join(F.transform(mapping, lambda m: m["phrase"]), " ").alias("expanded"))
+    return answers.select(*(keys or []), F.trim(F.split("answer", ":")[0]).alias("original"), mapping.alias("mapping"), F.array_join(F.transform(mapping, lambda m: m["phrase"]), " ").alias("expanded"))
+
+
+def parse_answer(answers: DataFrame) -> DataFrame:
+    """``answers`` (..., answer) of many lines to a row a name: what stands after the last "Final answer:", or everything without one.
+
+    Lines without a colon are dropped; a null answer gives no rows.
+    """
+    final = F.regexp_extract("answer", r"(?si)^(?:.*final answer:)?(.*)$", 1)
+    lines = F.filter(F.split(final, "\\r?\\n"), lambda l: F.contains(l, F.lit(":")))
+    keys = [c for c in answers.columns if c != "answer"]
+    rows = answers.where("answer IS NOT NULL").select(*keys, F.explode(lines).alias("answer"))
+    return parse_expansion(rows, keys)
 
 
 def violations(expanded: DataFrame) -> DataFrame:
-    """Rows with the rules a mapping breaks: order, changed numbers, empty phrases."""
+    """Rows with the rules a mapping breaks: order, changed numbers, empty phrases, more than one row a token, a changed plain word."""
     tokens = F.transform("mapping", lambda m: m["token"])
     return expanded.select(
         "*",
         (tokens != split_name(F.col("original"))).alias("order_broken"),
         F.exists("mapping", lambda m: m["token"].rlike("^[0-9]+$") & (m["token"] != m["phrase"])).alias("number_changed"),
         F.exists("mapping", lambda m: F.trim(m["phrase"]) == "").alias("phrase_missing"),
+        (F.size("mapping") > F.size(split_name(F.col("original")))).alias("something_added"),
+        F.exists("mapping", lambda m: m["token"].isin(PLAIN) & (m["token"] != m["phrase"])).alias("plain_changed"),
     )

@@ -1,4 +1,4 @@
-"""Candidate descriptions, their ranking, and preference pairs (G4-G7, R1-R5, R7-R13; R6, the rank position signal, is not there).
+"""Candidate descriptions, their ranking, and preference pairs.
 
 Every gold table has K candidates; all others have one. A candidate is scored by
 the mean BM25 over the queries its table is relevant to. The corpora in which
@@ -12,7 +12,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window, functions as F
 
 from ..functions.analysis import WORDS, Analyzer
-from .search import B, K1, query_terms, term_score
+from .search import B, K1, hinted, query_terms, term_score
 
 DEFAULT_SEED = 42
 
@@ -69,7 +69,7 @@ def score(cands: DataFrame, queries: DataFrame, qrels: DataFrame, mode: str = "u
     base = tokens.where("is_default").groupBy("dataset").agg(F.count("*").alias("n0"), F.sum("dl").alias("len0"))
     own = tokens.where("is_gold").groupBy("dataset", "table_id").agg(F.sum(F.when(F.col("is_default"), F.col("dl"))).alias("r_len"), F.sum("dl").alias("all_len"), F.count("*").alias("n_cand"))
     # only the terms of judged queries are counted
-    posted = tokens.select("dataset", "table_id", "cand_id", "is_gold", "is_default", "dl", F.explode("tokens").alias("term")).join(F.broadcast(terms.select("dataset", "term").distinct()), ["dataset", "term"], "left_semi").groupBy("dataset", "table_id", "cand_id", "is_gold", "is_default", "dl", "term").agg(F.count("*").alias("tf"))
+    posted = tokens.select("dataset", "table_id", "cand_id", "is_gold", "is_default", "dl", F.explode("tokens").alias("term")).join(hinted(terms.select("dataset", "term").distinct()), ["dataset", "term"], "left_semi").groupBy("dataset", "table_id", "cand_id", "is_gold", "is_default", "dl", "term").agg(F.count("*").alias("tf"))
     df0 = posted.where("is_default").groupBy("dataset", "term").agg(F.count("*").alias("df0"))
     in_own = posted.where("is_gold").groupBy("dataset", "table_id", "term").agg(F.sum(F.col("is_default").cast("int")).alias("in_r"), F.count("*").alias("in_c"))
     # the shared statistics less the default, plus the candidates
@@ -87,6 +87,40 @@ def score(cands: DataFrame, queries: DataFrame, qrels: DataFrame, mode: str = "u
     return all_of_them.join(summed, ["dataset", "table_id", "cand_id"], "left").select("dataset", "table_id", "cand_id", F.round(F.coalesce("total", F.lit(0.0)) / F.col("n_queries"), 6).alias("score"), "n_queries")
 
 
+def position(cands: DataFrame, queries: DataFrame, qrels: DataFrame, k: int = 3, seed: int = DEFAULT_SEED, k1: float = K1, b: float = B, analyzer: Analyzer = WORDS) -> DataFrame:
+    """(dataset, table_id, cand_id, mean_rank): where the target stands in its queries' lists with each candidate in its own corpus.
+
+    The other tables are scored with the statistics of the candidate's corpus; of
+    equal scores the smaller id stands first. A candidate that matches nothing
+    stands behind all tables that match. Every judged table meets the postings of
+    its queries' terms, so the cost grows with their product: this is the signal
+    that the mean score replaces.
+    """
+    wanted = qrels.where("grade > 0").select("dataset", "query_id", "table_id").distinct()
+    terms = query_terms(queries.join(wanted.select("dataset", "query_id").distinct(), ["dataset", "query_id"], "left_semi"), analyzer)
+    default = (~F.col("is_gold")) | (F.col("cand_id") == default_pick(F.col("table_id"), k, seed))
+    tokens = cands.select("dataset", "table_id", "cand_id", "is_gold", default.alias("is_default"), analyzer.tokens(F.col("body")).alias("tokens")).withColumn("dl", F.size("tokens").cast("long"))
+    posted = tokens.select("dataset", "table_id", "cand_id", "is_gold", "is_default", "dl", F.explode("tokens").alias("term")).join(hinted(terms.select("dataset", "term").distinct()), ["dataset", "term"], "left_semi").groupBy("dataset", "table_id", "cand_id", "is_gold", "is_default", "dl", "term").agg(F.count("*").alias("tf"))
+    base = tokens.where("is_default").groupBy("dataset").agg(F.count("*").alias("n0"), F.sum("dl").alias("len0"))
+    own = tokens.where("is_gold AND is_default").select("dataset", "table_id", F.col("dl").alias("r_len"))
+    df0 = posted.where("is_default").groupBy("dataset", "term").agg(F.count("*").alias("df0"))
+    in_r = posted.where("is_gold AND is_default").select("dataset", "table_id", "term", F.lit(1).alias("in_r"))
+    tf = posted.where("is_gold").select("dataset", "table_id", "cand_id", "term", "tf")
+    targets = tokens.where("is_gold").select("dataset", "table_id", "cand_id", "dl").join(own, ["dataset", "table_id"]).join(F.broadcast(base), "dataset")
+    asked = targets.join(wanted.join(terms.select("dataset", "query_id", "term"), ["dataset", "query_id"]), ["dataset", "table_id"])
+    need = asked.join(df0, ["dataset", "term"], "left").join(in_r, ["dataset", "table_id", "term"], "left").join(tf, ["dataset", "table_id", "cand_id", "term"], "left")
+    has = F.col("tf").isNotNull().cast("int")
+    need = need.select("dataset", "table_id", "cand_id", "query_id", "term", "dl", F.coalesce("tf", F.lit(0)).alias("tf"), F.col("n0").alias("n"), ((F.col("len0") - F.col("r_len") + F.col("dl")) / F.col("n0")).alias("avg"), (F.coalesce("df0", F.lit(0)) - F.coalesce("in_r", F.lit(0)) + has).alias("df"))
+    score_of = lambda tf_, dl_: F.round(F.sum(term_score(tf_, dl_, F.col("avg"), F.col("n"), F.col("df"), k1, b)), 6)
+    key = ["dataset", "table_id", "cand_id", "query_id"]
+    mine = need.groupBy(*key).agg(score_of(F.col("tf"), F.col("dl")).alias("own"))
+    others = posted.where("is_default").select("dataset", "term", F.col("table_id").alias("other"), F.col("tf").alias("other_tf"), F.col("dl").alias("other_dl"))
+    rivals = need.join(others, ["dataset", "term"]).where("other <> table_id").groupBy(*key, "other").agg(score_of(F.col("other_tf"), F.col("other_dl")).alias("score"))
+    ahead = (F.col("score") > F.col("own")) | ((F.col("score") == F.col("own")) & (F.col("other") < F.col("table_id")))
+    places = mine.join(rivals, key, "left").groupBy(*key).agg((F.count_if(ahead) + 1).alias("place"))
+    return places.groupBy("dataset", "table_id", "cand_id").agg(F.round(F.avg("place"), 6).alias("mean_rank"))
+
+
 def order(scores: DataFrame) -> DataFrame:
     """``scores`` with each candidate's ``rank`` in its table."""
     return scores.withColumn("rank", F.row_number().over(Window.partitionBy("dataset", "table_id").orderBy(F.desc("score"), "cand_id")))

@@ -9,7 +9,10 @@ exact over all documents. ``build_index`` stores postings for interactive use.
 from __future__ import annotations
 
 from dataclasses import dataclass, field as dataclass_field
+from functools import reduce
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window, functions as F
 
 from ..functions.analysis import Analyzer, WORDS
@@ -139,6 +142,20 @@ def multi(queries: DataFrame, index: Index, fields=("description", "expansion",
     return top_k(scores.groupBy("dataset", "query_id", "table_id").agg((best + F.lit(tie) * (total - best)).alias("score")), k)
 
 
+def multi_runs(queries: DataFrame, index: Index, runs: dict[str, tuple[list[str], float]], k: int = 100, k1: float = K1, b: float = B) -> DataFrame:
+    """``multi`` for many configurations (name: fields, tie) from one pass: (dataset, config, query_id, table_id, score, rank)."""
+    every = sorted({f for fields, _ in runs.values() for f in fields})
+    scores = field_scores(queries, index, every, k1, b)
+    values = []
+    for name, (fields, tie) in runs.items():
+        own = F.when(F.col("field").isin(list(fields)), F.col("score"))
+        values.append(F.struct(F.lit(name).alias("config"), (F.max(own) + F.lit(tie) * (F.sum(own) - F.max(own))).alias("score")))
+    rows = scores.groupBy("dataset", "query_id", "table_id").agg(F.array(*values).alias("runs")).select("dataset", "query_id", "table_id", F.explode("runs").alias("run"))
+    rounded = rows.select("dataset", "run.config", "query_id", "table_id", F.round("run.score", 6).alias("score")).where("score > 0")
+    best = Window.partitionBy("dataset", "config", "query_id").orderBy(F.desc("score"), "table_id")
+    return rounded.withColumn("rank", F.row_number().over(best)).where(F.col("rank") <= k)
+
+
 def weighted(queries: DataFrame, index: Index, weights: dict[str, float], k: int = 50) -> DataFrame:
     """Sum of field scores by weight; the fields may have different analyzers."""
     weight = F.create_map(*[F.lit(x) for pair in weights.items() for x in pair])
@@ -155,23 +172,57 @@ def explain(queries: DataFrame, index: Index, query_id: int, table_id: int, fiel
     return rows.select("query_id", "table_id", "term", "tf", "df", F.round(value, 6).alias("contribution"))
 
 
-def cosine(x: Column, y: Column) -> Column:
-    dot = lambda a, b: F.aggregate(F.zip_with(a, b, lambda u, v: u.cast("double") * v.cast("double")), F.lit(0.0), lambda s, z: s + z)
-    return dot(x, y) / F.sqrt(dot(x, x) * dot(y, y))
-
+def dense(queries: DataFrame, vectors: DataFrame, k: int = 10, block: int = 8_192) -> DataFrame:
+    """Exact cosine search: (query_id, embedding) against (table_id, embedding); a query's own id is no answer.
 
-def dense(queries: DataFrame, vectors: DataFrame, k: int = 10, limit: int = 10_000) -> DataFrame:
-    """Exact cosine search: (query_id, embedding) against (table_id, embedding).
-
-    The query set is stated by the caller and checked against ``limit``; beyond
-    it queries run in blocks of that size, so what is broadcast stays bounded.
+    Queries go in blocks of at most about ``block``, each of which is broadcast
+    and held against all vectors; a task keeps the k best of each query, so no
+    other pair leaves it. Vectors that are null, zero, of another length, or hold
+    nulls take no part; rows of one query id count once, the least in array order.
     """
-    if queries.limit(limit + 1).count() > limit:
-        raise ValueError(f"more than {limit} query vectors: search them in blocks")
-    pairs = vectors.join(F.broadcast(queries.withColumnRenamed("embedding", "q")), F.col("table_id") != F.col("query_id"))
+    usable = lambda rows, key: rows.where(f"{key} IS NOT NULL AND size(embedding) > 0").where(~F.exists("embedding", lambda x: x.isNull() | F.isnan(x)) & F.exists("embedding", lambda x: x != 0))
+    asked = usable(queries, "query_id").groupBy("query_id").agg(F.min("embedding").alias("embedding"))
+    n_blocks = max(1, -(-asked.count() // block))
+    parts = [_dense_block(asked.where(F.pmod(F.xxhash64("query_id"), F.lit(n_blocks)) == i), usable(vectors, "table_id"), k) for i in range(n_blocks)]
     best = Window.partitionBy("query_id").orderBy(F.desc("score"), "table_id")
-    scored = pairs.select("query_id", "table_id", F.round(cosine(F.col("q"), F.col("embedding")), 6).alias("score"))
-    return scored.withColumn("rank", F.row_number().over(best)).where(F.col("rank") <= k)
+    return reduce(DataFrame.unionByName, parts).withColumn("rank", F.row_number().over(best)).where(F.col("rank") <= k)
+
+
+def _dense_block(queries: DataFrame, vectors: DataFrame, k: int) -> DataFrame:
+    """(query_id, table_id, score): each task's k best of every query of a bounded block."""
+    rows = queries.toArrow()
+    sizes = rows.column("embedding").combine_chunks().value_lengths().to_numpy()
+    lists = rows.column("embedding").to_pylist()
+    ids = rows.column("query_id").to_numpy()
+    by_size = {}
+    for n in set(sizes.tolist()):
+        at = np.flatnonzero(sizes == n)
+        data = np.array([lists[i] for i in at], float)
+        by_size[n] = ids[at], data / np.linalg.norm(data, axis=1, keepdims=True)
+    shared = vectors.sparkSession.sparkContext.broadcast(by_size)
+
+    def run(batches):
+        held = {n: (np.full((len(q), k), -np.inf), np.full((len(q), k), -1, np.int64)) for n, (q, _) in shared.value.items()}
+        for batch in batches:
+            lists = batch.column("embedding")
+            sizes = lists.value_lengths().to_numpy(zero_copy_only=False)
+            for n, (q, unit) in shared.value.items():
+                at = np.flatnonzero(sizes == n)
+                for start in range(0, len(at), 2_048):
+                    part = at[start : start + 2_048]
+                    data = lists.take(pa.array(part)).flatten().to_numpy(zero_copy_only=False).astype(float).reshape(len(part), n)
+                    own = batch.column("table_id").take(pa.array(part)).to_numpy(zero_copy_only=False)
+                    scores = np.round(unit @ (data / np.linalg.norm(data, axis=1, keepdims=True)).T, 6)
+                    scores[q[:, None] == own[None, :]] = -np.inf
+                    scores = np.concatenate((held[n][0], scores), 1)
+                    names = np.concatenate((held[n][1], np.broadcast_to(own, (len(q), len(own)))), 1)
+                    order = np.lexsort((names, -scores), axis=1)[:, :k]
+                    held[n] = np.take_along_axis(scores, order, 1), np.take_along_axis(names, order, 1)
+        for n, (scores, names) in held.items():
+            found = np.isfinite(scores)
+            yield pa.RecordBatch.from_arrays([pa.array(np.repeat(shared.value[n][0], found.sum(1))), pa.array(names[found]), pa.array(scores[found])], ["query_id", "table_id", "score"])
+
+    return vectors.select(F.col("table_id").cast("long").alias("table_id"), "embedding").mapInArrow(run, "query_id long, table_id long, score double")
 
 
 def fuse(first: DataFrame, second: DataFrame, how: str = "rrf", k: int = 10, constant: int = 60, weight: float = 0.5) -> DataFrame:

@@ -6,7 +6,11 @@ watermark bounds the state, on a batch it has no effect.
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
+import pandas as pd
 from pyspark.sql import DataFrame, functions as F
+from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
 
 def stamped(events: DataFrame) -> DataFrame:
@@ -55,3 +59,18 @@ def daily_wins(events: DataFrame, delay: str = "1 hour") -> DataFrame:
     won = F.count_if(F.col("event_type").isin("click", "purchase"))
     counted = stamped(events).withWatermark("ts", delay).groupBy(F.window("ts", "1 day").alias("w"), item.alias("item"))
     return counted.agg(F.count_if(F.col("event_type") == "view").alias("views"), won.alias("wins")).select(F.col("w.start").alias("start"), "item", "views", "wins")
+
+
+def running_wins(events: DataFrame) -> DataFrame:
+    """(item, wins) after each batch in which an item wins: clicks and purchases so far, in custom state.
+
+    The state of an item is one number; events are cut to the winning ones before they are shuffled.
+    """
+    won = events.where(F.col("event_type").isin("click", "purchase")).select(F.get_json_object("props", "$.k").cast("long").alias("item"))
+
+    def add(key: tuple, frames: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
+        wins = (state.get[0] if state.exists else 0) + sum(len(f) for f in frames)
+        state.update((wins,))
+        yield pd.DataFrame({"item": [key[0]], "wins": [wins]})
+
+    return won.groupBy("item").applyInPandasWithState(add, "item long, wins long", "wins long", "update", GroupStateTimeout.NoTimeout)

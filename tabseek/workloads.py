@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import Window, functions as F
 
 from .functions import analysis
-from .operators import describe, evaluate, names, rank, search, train
+from .operators import benchmark, describe, evaluate, names, rank, search, train
 from .plans import datasets
 from .sources import pages as page_source
 from .streaming import feedback
@@ -79,17 +79,17 @@ def stem_vocab(spark, sf_dir):
 
 
 def field_stats(spark, sf_dir):
-    return _known(spark, sf_dir)[1].field_stats
+    return _known(spark, sf_dir, terms_only=False)[1].field_stats
 
 
 def term_stats(spark, sf_dir):
-    data, index = _known(spark, sf_dir)
+    data, index = _known(spark, sf_dir, terms_only=False)
     n = index.field_stats.select("dataset", "n_docs")
     return index.term_stats.join(F.broadcast(n), "dataset").select("term", "df", F.round(search.idf(F.col("n_docs"), F.col("df")), 6).alias("idf"))
 
 
 def postings(spark, sf_dir):
-    return _known(spark, sf_dir)[1].postings.select("term", "table_id", "tf", "dl")
+    return _known(spark, sf_dir, terms_only=False)[1].postings.select("term", "table_id", "tf", "dl")
 
 
 def bm25_top10(spark, sf_dir):
@@ -141,20 +141,20 @@ def multi_field_top10(spark, sf_dir):
 
 def field_ablation(spark, sf_dir):
     data, index = _sci_fields(spark, sf_dir)
-    every = ["description", "expansion", "context"]
-    runs = [search.multi(data.queries, index, [f for f in every if f != gone], k=10).withColumn("config", F.lit(f"-{gone}")) for gone in every]
-    return runs[0].unionByName(runs[1]).unionByName(runs[2]).drop("dataset")
+    every = ("description", "expansion", "context")
+    return search.multi_runs(data.queries, index, {f"-{gone}": ([f for f in every if f != gone], 0.1) for gone in every}, k=10).drop("dataset")
 
 
 def tie_sweep(spark, sf_dir):
     data, index = _sci_fields(spark, sf_dir)
-    runs = [search.multi(data.queries, index, tie=t, k=10).withColumn("tie", F.lit(t)) for t in (0.0, 1.0)]
-    return runs[0].unionByName(runs[1]).drop("dataset")
+    every = ["description", "expansion", "context"]
+    runs = search.multi_runs(data.queries, index, {str(t): (every, t) for t in (0.0, 1.0)}, k=10)
+    return runs.withColumn("tie", F.col("config").cast("double")).drop("dataset", "config")
 
 
 def weighted_fields(spark, sf_dir):
-    data, index = _sci_fields(spark, sf_dir)
-    return search.weighted(data.queries, index, {"expansion": 1.0, "context": 1.0}, k=10).drop("dataset")
+    data, index = _two_analyzers(spark, sf_dir)
+    return search.weighted(data.queries, index, {"columns": 1.0, "context": 1.0}, k=10).drop("dataset")
 
 
 def dense_top10(spark, sf_dir):
@@ -175,7 +175,7 @@ def split_names(spark, sf_dir):
 
 
 def column_batches(spark, sf_dir):
-    return names.batch_columns(datasets.ent(spark, sf_dir).tables, 4).select("table_id", "batch", F.array_join("columns", ",").alias("columns"))
+    return names.batch_columns(datasets.ent(spark, sf_dir).tables).select("table_id", "batch", F.array_join("columns", ",").alias("columns"))
 
 
 def expand_columns(spark, sf_dir):
@@ -184,7 +184,7 @@ def expand_columns(spark, sf_dir):
 
 def expansion_violations(spark, sf_dir):
     rows = names.violations(names.expand(datasets.ent(spark, sf_dir).tables))
-    return rows.agg(*[F.coalesce(F.sum(F.col(c).cast("int")), F.lit(0)).alias(c) for c in ("order_broken", "number_changed", "phrase_missing")])
+    return rows.agg(*[F.coalesce(F.sum(F.col(c).cast("int")), F.lit(0)).alias(c) for c in ("order_broken", "number_changed", "phrase_missing", "something_added", "plain_changed")])
 
 
 def table_prompt_inputs(spark, sf_dir):
@@ -335,13 +335,17 @@ def index_cost(spark, sf_dir):
 
 
 def task_qrels(spark, sf_dir):
-    return datasets.gov(spark, sf_dir).groupBy("task", "grade").agg(F.count("*").alias("n"))
+    """Judgements of tasks for the two queries of each: how many tables of each grade."""
+    judged = datasets.gov_judgements(spark, sf_dir)
+    asked = spark.createDataFrame([(f"src{i}", 2 * i + j) for i in range(6) for j in (0, 1)], "task string, query_id long")
+    return benchmark.task_to_query(judged, asked).groupBy("query_id", "grade").agg(F.count("*").alias("n"))
 
 
 def relabel(spark, sf_dir):
-    """Grades of 2 and more stay where the table is long enough, else become 0."""
-    kept = F.when((F.col("grade") >= 2) & (F.col("n_chars") < 200), 0).otherwise(F.col("grade"))
-    return datasets.gov(spark, sf_dir).select("task", "table_id", kept.alias("grade"))
+    """Verdicts on grades of 2 and more: tables of fewer than 200 characters become 0."""
+    judged = datasets.gov_judgements(spark, sf_dir)
+    verdicts = judged.where("n_chars < 200").select("task", "table_id", F.lit(0).alias("verdict"))
+    return benchmark.relabel(judged.drop("n_chars"), verdicts).select("task", "table_id", "grade")
 
 
 def hard_negatives(spark, sf_dir):
@@ -350,11 +354,19 @@ def hard_negatives(spark, sf_dir):
     return hits.join(data.qrels, ["dataset", "query_id", "table_id"], "left_anti").select("query_id", "table_id")
 
 
+def _two_analyzers(spark, sf_dir):
+    """Column names by trigrams, context by words."""
+    data = datasets.sci(spark, sf_dir)
+    part = lambda name, col: data.tables.select("dataset", "table_id", F.lit(name).alias("field"), col.alias("text"))
+    fields = part("columns", F.array_join("columns", " ")).unionByName(part("context", F.array_join(F.slice("vis", 41, 80), " ")))
+    terms = search.query_terms(data.queries, analysis.TRIGRAMS).unionByName(search.query_terms(data.queries)).select("dataset", "term").distinct()
+    return data, search.build_index(fields, {"columns": analysis.TRIGRAMS}, terms)
+
+
 def downsample(spark, sf_dir):
-    """The best five of each query over two fields, and every gold table."""
-    data, index = _sci_fields(spark, sf_dir)
-    top = search.weighted(data.queries, index, {"expansion": 1.0, "context": 1.0}, k=5)
-    return top.select("table_id").union(data.qrels.select("table_id")).distinct()
+    """The fifty best of each query by trigrams of column names and words of the context, and every gold table."""
+    data, index = _two_analyzers(spark, sf_dir)
+    return benchmark.downsample(data.queries, index, data.qrels, {"columns": 1.0, "context": 1.0}).select("table_id")
 
 
 def pool_union(spark, sf_dir):
@@ -508,14 +520,14 @@ def queries():
 # --- oracles --------------------------------------------------------------------
 
 
-def _bm25(fields: str, asked: str, k1: float = 1.2, b: float = 0.75, prefix: str = "") -> str:
+def _bm25(fields: str, asked: str, k1: float = 1.2, b: float = 0.75, asked_only: bool = True) -> str:
     """CTEs ending in fscore(query_id, table_id, field, score) from (table_id, field, text) and (query_id, text)."""
     return f"""
-{prefix}tok AS (SELECT table_id, field, {_w('text')} AS w FROM ({fields})),
+tok AS (SELECT table_id, field, {_w('text')} AS w FROM ({fields})),
 stats AS (SELECT field, count(*) AS n_docs, sum(len(w))::BIGINT AS sum_len FROM tok GROUP BY field),
 qt AS (SELECT DISTINCT query_id, unnest({_w('text')}) AS term FROM ({asked})),
 tf AS (SELECT table_id, field, dl, term, count(*) AS tf FROM (SELECT table_id, field, len(w) AS dl, unnest(w) AS term FROM tok)
-       WHERE term IN (SELECT term FROM qt) GROUP BY ALL),
+       {'WHERE term IN (SELECT term FROM qt)' if asked_only else ''} GROUP BY ALL),
 df AS (SELECT field, term, count(*) AS df FROM tf GROUP BY ALL),
 fscore AS (
   SELECT query_id, table_id, tf.field, sum(ln(1 + (n_docs - df + 0.5) / (df + 0.5)) * tf * ({k1} + 1.0) / (tf + {k1} * (1 - {b} + {b} * dl / (sum_len / n_docs)))) AS score
@@ -528,6 +540,7 @@ def _top(score: str, k: int, where: str = "true", source: str = "fscore") -> str
     SELECT query_id, table_id, round({score}, 6) AS score FROM {source} WHERE {where} GROUP BY query_id, table_id) WHERE score > 0) WHERE rank <= {k}"""
 
 
+_KNOWN_ALL = _bm25("SELECT doc_id AS table_id, 'text' AS field, text FROM documents", "SELECT item_id AS query_id, text FROM benchmark", asked_only=False)
 _KNOWN = _bm25("SELECT doc_id AS table_id, 'text' AS field, text FROM documents", "SELECT item_id AS query_id, text FROM benchmark")
 
 
@@ -574,6 +587,16 @@ def _pairs_sql(source: str = "scores") -> str:
 
 _FIELDS = "SELECT table_id, 'description' AS field, body AS text FROM cands UNION ALL SELECT table_id, 'expansion', array_to_string(firsts[1:12], ' ') FROM tabs UNION ALL SELECT table_id, 'context', array_to_string(vis[41:120], ' ') FROM tabs"
 _SCI_FIELDS = "WITH " + _sci_sql(k=1) + ", " + _bm25(_FIELDS, "SELECT * FROM asked").lstrip()
+_GRAMS = "flatten(list_transform({}, lambda w: CASE WHEN length(w) < 3 THEN [w] ELSE list_transform(range(1, length(w) - 1), lambda i: substr(w, i, 3)) END))"
+#: Column names by trigrams, context by words: both analyzers' BM25 side by side.
+_TWO = "WITH " + _sci_sql(k=1) + f""",
+tok AS (SELECT table_id, 'columns' AS field, {_GRAMS.format('firsts[1:12]')} AS w FROM tabs UNION ALL SELECT table_id, 'context', vis[41:120] FROM tabs),
+stats AS (SELECT field, count(*) AS n_docs, sum(len(w))::BIGINT AS sum_len FROM tok GROUP BY field),
+qt AS (SELECT DISTINCT query_id, 'columns' AS field, unnest({_GRAMS.format('[text]')}) AS term FROM asked UNION SELECT query_id, 'context', text FROM asked),
+tf AS (SELECT table_id, field, dl, term, count(*) AS tf FROM (SELECT table_id, field, len(w) AS dl, unnest(w) AS term FROM tok) GROUP BY ALL),
+df AS (SELECT field, term, count(*) AS df FROM tf GROUP BY ALL),
+fscore AS (SELECT query_id, table_id, field, sum(ln(1 + (n_docs - df + 0.5) / (df + 0.5)) * tf * 2.2 / (tf + 1.2 * (0.25 + 0.75 * dl / (sum_len / n_docs)))) AS score
+  FROM qt JOIN tf USING (field, term) JOIN df USING (field, term) JOIN stats USING (field) GROUP BY ALL)"""
 _SCI = "WITH " + _sci_sql()
 _SCORED = _SCI + ", " + _score_sql().lstrip()
 _MULTI = "max(score) + 0.1 * (sum(score) - max(score))"
@@ -631,7 +654,7 @@ def _found_sql(tag: str) -> str:
 
 
 def oracle_sql():
-    known = "WITH " + _KNOWN.lstrip()
+    known, every = "WITH " + _KNOWN.lstrip(), "WITH " + _KNOWN_ALL.lstrip()
     containment = "SELECT item_id AS query_id, doc_id AS table_id FROM benchmark b JOIN documents d ON contains(d.text, b.text[1:60])"
     params = " UNION ALL ".join(f"SELECT {k1}::DOUBLE AS k1, {b}::DOUBLE AS b, * FROM (WITH {_bm25('SELECT doc_id AS table_id, chr(120) AS field, text FROM documents', 'SELECT item_id AS query_id, text FROM benchmark', k1, b).lstrip()} {_top('sum(score)', 5)})" for k1, b in [(1.2, 0.0), (1.2, 1.0), (0.0, 0.75), (2.0, 0.5)])
     ablation = " UNION ALL ".join(f"SELECT *, '-{gone}' AS config FROM ({_top(_MULTI, 10, f'field <> {gone!r}')})" for gone in ("description", "expansion", "context"))
@@ -645,9 +668,9 @@ def oracle_sql():
     return {
         "analyze_words": f"SELECT doc_id, len({_w('text')})::BIGINT AS n, len(list_distinct({_w('text')}))::BIGINT AS n_distinct FROM documents",
         "analyze_trigrams": f"SELECT item_id, array_to_string(flatten(list_transform({_w('text')}, lambda w: CASE WHEN length(w) < 3 THEN [w] ELSE list_transform(range(1, length(w) - 1), lambda i: substr(w, i, 3)) END)), ' ') AS grams FROM benchmark",
-        "field_stats": known + " SELECT 'known' AS dataset, field, n_docs, sum_len FROM stats",
-        "term_stats": known + " SELECT term, df, round(ln(1 + (n_docs - df + 0.5) / (df + 0.5)), 6) AS idf FROM df, stats",
-        "postings": known + " SELECT term, table_id, tf, dl::BIGINT AS dl FROM tf",
+        "field_stats": every + " SELECT 'known' AS dataset, field, n_docs, sum_len FROM stats",
+        "term_stats": every + " SELECT term, df, round(ln(1 + (n_docs - df + 0.5) / (df + 0.5)), 6) AS idf FROM df, stats",
+        "postings": every + " SELECT term, table_id, tf, dl::BIGINT AS dl FROM tf",
         "bm25_top10": f"SELECT query_id AS item_id, table_id AS doc_id, score, rank FROM ({known} {_top('sum(score)', 10)})",
         "bm25_params": params,
         "bm25_explain": known + f""", h AS (SELECT * FROM ({containment}) ORDER BY query_id, table_id LIMIT 1)
@@ -660,16 +683,16 @@ def oracle_sql():
         "multi_field_top10": _SCI_FIELDS + " " + _top(_MULTI, 10),
         "field_ablation": _SCI_FIELDS + " " + ablation,
         "tie_sweep": _SCI_FIELDS + " " + ties,
-        "weighted_fields": _SCI_FIELDS + " " + _top("sum(score)", 10, "field <> 'description'"),
+        "weighted_fields": _TWO + " " + _top("sum(score)", 10),
         "dense_top10": """WITH s AS (SELECT q.vec_id AS query_id, v.vec_id AS table_id, round(list_cosine_similarity(q.embedding::DOUBLE[], v.embedding::DOUBLE[]), 6) AS score
             FROM embeddings q, embeddings v WHERE q.vec_id % 25 = 0 AND q.vec_id <> v.vec_id)
             SELECT query_id, table_id, score, rank::INTEGER AS rank FROM (SELECT *, row_number() OVER (PARTITION BY query_id ORDER BY score DESC, table_id) AS rank FROM s) WHERE rank <= 10""",
         "hybrid_rrf": _SCI_FIELDS + f""", f AS (SELECT query_id, table_id, round(coalesce(1.0 / (60 + a.rank), 0) + coalesce(1.0 / (60 + b.rank), 0), 6) AS score
             FROM ({run('description', 20)}) a FULL JOIN ({run('context', 20)}) b USING (query_id, table_id)) {_top('sum(score)', 10, source='f')}""",
         "split_names": f"WITH {_catalogue_sql()} SELECT table_name, array_to_string({_split_sql('table_name')}, ' ') AS tokens FROM ent",
-        "column_batches": f"WITH {_catalogue_sql()} SELECT table_id::BIGINT AS table_id, (pos // 4)::INTEGER AS batch, string_agg(original, ',' ORDER BY pos) AS columns FROM cols WHERE pos >= 0 GROUP BY ALL",
+        "column_batches": f"WITH {_catalogue_sql()} SELECT table_id::BIGINT AS table_id, (pos // 10)::INTEGER AS batch, string_agg(original, ',' ORDER BY pos) AS columns FROM cols WHERE pos >= 0 GROUP BY ALL",
         "expand_columns": f"WITH {_catalogue_sql()} SELECT table_name, pos, original, expanded FROM expanded WHERE pos >= 0",
-        "expansion_violations": "SELECT 0::BIGINT AS order_broken, 0::BIGINT AS number_changed, 0::BIGINT AS phrase_missing",
+        "expansion_violations": "SELECT 0::BIGINT AS order_broken, 0::BIGINT AS number_changed, 0::BIGINT AS phrase_missing, 0::BIGINT AS something_added, 0::BIGINT AS plain_changed",
         "table_prompt_inputs": f"WITH {_catalogue_sql()} SELECT table_id::BIGINT AS table_id, table_name, string_agg(expanded, ', ' ORDER BY pos) FILTER (pos BETWEEN 0 AND 24) AS columns FROM expanded GROUP BY ALL",
         "template_descriptions": f"WITH {_sci_sql(k=5)} SELECT table_id, cand_id, md5(body) AS body_md5 FROM cands",
         "candidate_counts": _SCI + " SELECT is_gold, count(*) AS n, count(DISTINCT table_id) AS n_tables FROM cands GROUP BY ALL",
@@ -698,10 +721,10 @@ def oracle_sql():
         "relevance_density": _SCI + " SELECT count(*) AS n_queries, round(avg(g / n), 6) AS density FROM (SELECT query_id, count(*) AS g FROM qrels GROUP BY query_id), (SELECT count(*) AS n FROM sci)",
         "dataset_summary": f"SELECT * FROM (WITH {_sci_sql(True)} {large}) UNION ALL SELECT * FROM (WITH {_sci_sql(False)} {small}) UNION ALL SELECT 'known', (SELECT count(*) FROM documents), (SELECT count(*) FROM benchmark), (SELECT count(DISTINCT table_id) FROM ({containment}))",
         "index_cost": _SCI + " SELECT 3 * g * n AS docs_individual, g * (n + 2) AS docs_unified, n + 2 * g AS docs_shared FROM (SELECT count(*) AS n FROM sci), (SELECT count(*) AS g FROM gold)",
-        "task_qrels": f"SELECT task, grade, count(*) AS n FROM ({gov}) GROUP BY ALL",
+        "task_qrels": f"SELECT 2 * task[4:]::BIGINT + j AS query_id, grade, count(*) AS n FROM ({gov}), range(2) q(j) GROUP BY ALL",
         "relabel": f"SELECT task, table_id, (CASE WHEN grade >= 2 AND n_chars < 200 THEN 0 ELSE grade END)::INTEGER AS grade FROM ({gov})",
         "hard_negatives": _SCI_FIELDS + f" SELECT query_id, table_id FROM ({run('description', 10)}) a ANTI JOIN qrels USING (query_id, table_id)",
-        "downsample": _SCI_FIELDS + f" SELECT table_id FROM ({_top('sum(score)', 5, 'field <> ' + repr('description'))}) UNION SELECT table_id FROM qrels",
+        "downsample": _TWO + f" SELECT table_id FROM ({_top('sum(score)', 50)}) UNION SELECT table_id FROM qrels",
         "pool_union": _SCI_FIELDS + f" SELECT query_id, table_id, count(*) AS n_runs FROM ({' UNION ALL '.join('SELECT query_id, table_id FROM (' + run(f, 10) + ')' for f in ('description', 'expansion', 'context'))}) GROUP BY ALL",
         "description_text": _SCI + """ SELECT table_id, md5(concat_ws(' ', array_to_string(vis[1:8], ' ') || '. ' || array_to_string(vis[9:16], ' ') || '.', array_to_string(firsts[1:3], ' '), array_to_string(firsts[4:5], ' '),
             firsts[1], firsts[4], firsts[2], firsts[5], firsts[3], firsts[6], array_to_string(firsts[1:5], ' '), 'unknown')) AS text_md5 FROM tabs WHERE len(firsts) >= 12 AND table_id % 7 <> 1""",

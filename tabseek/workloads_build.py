@@ -13,12 +13,16 @@ from .functions.analysis import words
 from .operators import benchmark, search, stored
 from .plans import datasets
 from .streaming import feedback, upkeep
-from .workloads import _KNOWN, _SCI_FIELDS, _SYSTEMS, _known, _sci_fields, _systems, _top, _w, oracle_sql as _search_oracles
+from .workloads import _KNOWN, _KNOWN_ALL, _SCI_FIELDS, _SYSTEMS, _known, _sci_fields, _systems, _top, _w, oracle_sql as _search_oracles
 
 
 def scratch(spark, name: str) -> str:
-    """A new folder below ``spark.checkpoint.dir``; one of the driver's own only where that is unset."""
-    base = spark.conf.get("spark.checkpoint.dir", None) or tempfile.gettempdir()
+    """A new folder below ``spark.checkpoint.dir``; a local session without that setting gets a temporary one."""
+    base = spark.conf.get("spark.checkpoint.dir", None)
+    if not base:
+        if not spark.sparkContext.master.startswith("local"):
+            raise ValueError("set spark.checkpoint.dir to a folder that the driver and all executors share")
+        base = tempfile.gettempdir()
     return os.path.join(base, f"{name}-{uuid.uuid4().hex}")
 
 
@@ -68,7 +72,7 @@ def distinct_queries(spark, sf_dir):
 
 def annotator_agg(spark, sf_dir):
     """Three invented annotators a judgement, then their median and largest grade."""
-    judged = datasets.gov(spark, sf_dir).select(F.col("task").alias("query_id"), "table_id", "grade")
+    judged = datasets.gov_judgements(spark, sf_dir).select(F.col("task").alias("query_id"), "table_id", "grade")
     votes = judged.withColumn("a", F.explode(F.sequence(F.lit(0), F.lit(2)))).withColumn("grade", ((F.col("grade") + F.col("a") * F.col("table_id")) % 4).cast("int"))
     median, largest = benchmark.aggregate_grades(votes), benchmark.aggregate_grades(votes, "max")
     return median.withColumnRenamed("grade", "median").join(largest.withColumnRenamed("grade", "largest"), ["query_id", "table_id"])
@@ -106,7 +110,7 @@ def running_dcg(spark, sf_dir):
 
 
 def top_terms(spark, sf_dir):
-    index = _known(spark, sf_dir)[1]
+    index = _known(spark, sf_dir, terms_only=False)[1]
     return index.term_stats.orderBy(F.desc("df"), "term").limit(25).select("term", "df")
 
 
@@ -218,7 +222,7 @@ def oracle_sql():
             SELECT config, query_id, round(coalesce(d, 0) / i, 6) AS value FROM i10 CROSS JOIN configs LEFT JOIN g10 USING (config, query_id)""",
         "running_dcg": _SYSTEMS + """ SELECT query_id, rank::INTEGER AS rank, round(sum(coalesce(grade, 0) / log2(rank + 1)) OVER (PARTITION BY query_id ORDER BY rank), 6) AS dcg
             FROM hits LEFT JOIN qrels USING (query_id, table_id) WHERE config = 'cand0' AND rank <= 20""",
-        "top_terms": known + " SELECT term, df FROM df ORDER BY df DESC, term LIMIT 25",
+        "top_terms": "WITH " + _KNOWN_ALL.lstrip() + " SELECT term, df FROM df ORDER BY df DESC, term LIMIT 25",
         "distinct_terms": f"SELECT source, count(DISTINCT term) AS n FROM (SELECT source, unnest({_w('text')}) AS term FROM documents) GROUP BY source",
         "lang_filtered_search": english + " " + _top("score", 5).replace("GROUP BY query_id, table_id", ""),
         "queries_in_window": "SELECT event_id, n FROM (SELECT *, count(*) OVER (PARTITION BY user_id ORDER BY epoch_us(ts) RANGE BETWEEN 3600000000 PRECEDING AND CURRENT ROW) AS n FROM events) WHERE event_type = 'purchase'",
