@@ -18,7 +18,8 @@ joined, and a structure takes as many characters as its own lengths say.
 
 Positions are code points, ends exclusive. A null or empty text has no spans;
 repeated rows are scanned each for themselves; texts of any length are scanned
-whole.
+whole; an empty table gives no rows. ``scan`` reads no other columns; ``redact``
+keeps them as they are, whatever their names.
 """
 
 from __future__ import annotations

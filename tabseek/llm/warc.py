@@ -13,7 +13,9 @@ read again where they are put together. Payloads are never shuffled.
 
 Defined cases: null html is an empty payload; a null url gives no target header
 and line breaks in it are escaped; pages of one page_id with equal payloads are
-all ``response`` if that page_id is the smallest; an empty table gives no rows.
+all ``response`` if that page_id is the smallest; a long payload is held by one
+task at a time, in segments on disk; an empty table gives no rows; other columns,
+whatever their names, are not read.
 """
 
 from __future__ import annotations
