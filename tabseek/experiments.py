@@ -1,30 +1,32 @@
-"""The experiment grid over the stand-in datasets (W1, W4, W7-W11, P10; of W6 FULL only).
+"""The experiments over the six stand-in datasets.
 
-Not there: FULL-exp-pref (W3), descriptions without expansion (W5) and the
-multi-call baseline under the other model (W6).
-
-Training is leave-one-dataset-out between the two topic datasets: the generator
-that describes one has seen preference pairs of the other only. All systems of a
-dataset become fields of one index, so a grid costs one pass over its texts.
+A system describes every table of a dataset; the descriptions of all systems
+become fields of one index, so a dataset's grid costs one pass over its texts.
+Training leaves one dataset out: the generator that describes it has seen the
+preference pairs of all others. Candidates are sampled from the untrained
+generator, scored in the unified corpus, and the best and the worst make a pair.
 """
 
 from __future__ import annotations
 
 from dataclasses import dataclass, field, replace
+from functools import reduce
 
 from pyspark.sql import DataFrame, Window, functions as F
 
-from .operators import benchmark, describe, evaluate, rank, search, train
+from .operators import benchmark, evaluate, rank, search, train
 from .plans import datasets
+from .plans.scratch import materialise
 
-NAMES = {"sci_s": False, "sci_l": True}
+TOPICS = ("sci_s", "sci_l")
 
 
 @dataclass(frozen=True)
 class Setting:
-    """One system: ``trained`` or not, K candidates, base model ``prior``, training configuration."""
+    """One system: its names expanded or as they are, ``trained`` or not, K candidates, base model ``prior``, training configuration."""
 
     name: str
+    expand: bool = True
     trained: bool = True
     k: int = 3
     prior: int = 0
@@ -32,112 +34,186 @@ class Setting:
 
 
 _BASE = train.TrainConfig()
-#: The paper's grid: one change at a time from FULL.
-GRID = (
-    Setting("FULL"),
-    Setting("FULL-pref", trained=False),
-    Setting("FULL beta 0.5", cfg=replace(_BASE, beta=0.5)),
-    Setting("FULL K 5", k=5),
-    Setting("FULL 3 epochs", cfg=replace(_BASE, epochs=3)),
-    Setting("FULL other model", prior=1),
-)
+FULL = Setting("FULL")
+#: One change at a time from FULL.
+ABLATION = (FULL, Setting("FULL-pref", trained=False), Setting("FULL-exp", expand=False), Setting("FULL-exp-pref", expand=False, trained=False))
+GRID = (FULL, Setting("FULL-pref", trained=False), Setting("FULL beta 0.5", cfg=replace(_BASE, beta=0.5)), Setting("FULL K 5", k=5), Setting("FULL 3 epochs", cfg=replace(_BASE, epochs=3)))
+MODELS = (FULL, Setting("FULL other model", prior=1))
+BASELINES = {"MCB": 0, "MCB other model": 1}
+
+
+def load(spark, sf_dir, name: str) -> datasets.Dataset:
+    """A stand-in, made once: every system and every fold reads it."""
+    data = datasets.SIX[name](spark, sf_dir)
+    return datasets.Dataset(*(materialise(part, f"{name}-{what}") for part, what in ((data.tables, "tables"), (data.queries, "queries"), (data.qrels, "qrels"))))
+
+
+def shown(data: datasets.Dataset, expand: bool) -> DataFrame:
+    """(dataset, table_id, prompt, words): what the one call sees, names and context but no rows."""
+    words = F.col("expanded" if expand else "cryptic")
+    return data.tables.select("dataset", "table_id", F.array_join(F.slice(words, 1, 100), " ").alias("prompt"), words.alias("words"))
+
+
+def training_pairs(data: datasets.Dataset, setting: Setting) -> DataFrame:
+    """(dataset, table_id, prompt, chosen, rejected) of a dataset's best and worst sampled candidates."""
+    tables = shown(data, setting.expand)
+    golden = rank.gold(data.qrels).select("dataset", "table_id", F.lit(True).alias("is_gold"))
+    drawn = train.generate(tables, train.base_weights(setting.cfg, setting.prior), setting.cfg, setting.k)
+    # one candidate of the other tables
+    cands = drawn.join(golden, ["dataset", "table_id"], "left").withColumn("is_gold", F.coalesce("is_gold", F.lit(False))).where("is_gold OR cand_id = 0")
+    cands = materialise(cands, "candidates")
+    scores = rank.score(cands, data.queries, data.qrels, k=setting.k)
+    body = lambda cand, name: cands.select("dataset", "table_id", F.col("cand_id").alias(cand), F.col("body").alias(name))
+    pairs = rank.pairs(scores).join(body("win_cand", "chosen"), ["dataset", "table_id", "win_cand"]).join(body("lose_cand", "rejected"), ["dataset", "table_id", "lose_cand"])
+    return pairs.join(tables.select("dataset", "table_id", "prompt"), ["dataset", "table_id"]).select("dataset", "table_id", "prompt", "chosen", "rejected")
+
+
+def adapters(corpora: dict[str, datasets.Dataset], setting: Setting, held_out: list[str]) -> dict[str, tuple]:
+    """The adapter (a, b) trained for each held-out dataset; adapters alone, of fixed size, come to the driver."""
+    if not setting.trained:
+        return {}
+    pairs = reduce(DataFrame.unionByName, (training_pairs(data, setting) for data in corpora.values()))
+    rows = train.adapters(rank.folds(pairs, held_out), setting.cfg, setting.prior).collect()
+    return {r.held_out: (r.a, r.b) for r in rows}
+
+
+def baseline(data: datasets.Dataset, prior: int = 0) -> DataFrame:
+    """(dataset, table_id, body) of the multi-call baseline, which sees names as they are and some rows.
+
+    Topics and column summaries are calls of their own, whose answers are cut to
+    a length; the last call says what these told. The model chooses the words.
+    """
+    rows = data.tables
+    counted = rows.select("dataset", "table_id", F.explode("rows").alias("w")).groupBy("dataset", "table_id", "w").agg(F.count("*").alias("n"))
+    topics = counted.groupBy("dataset", "table_id").agg(F.transform(F.slice(F.array_sort(F.collect_list(F.struct((-F.col("n")).alias("n"), "w"))), 1, 10), lambda x: x["w"]).alias("topics"))
+    told = rows.join(topics, ["dataset", "table_id"], "left")
+    words = F.concat(F.slice("cryptic", 1, 40), F.coalesce("topics", F.array().cast("array<string>")), F.slice("rows", 1, 20))
+    cfg = train.TrainConfig()
+    tables = told.select("dataset", "table_id", F.array_join(F.slice("cryptic", 1, 40), " ").alias("prompt"), words.alias("words"))
+    return train.generate(tables, train.base_weights(cfg, prior), cfg, n=45).select("dataset", "table_id", "body")
 
 
-def _prompted(data: datasets.Dataset, k: int) -> DataFrame:
-    return data.tables.select("dataset", "table_id", F.array_join("columns", " ").alias("prompt"), rank.template_bodies(k).alias("bodies"))
+def search_all(data: datasets.Dataset, systems: dict[str, DataFrame], k: int = 100) -> DataFrame:
+    """(dataset, config, query_id, table_id, rank) of every system's descriptions, from one index."""
+    fields = reduce(DataFrame.unionByName, (bodies.select("dataset", "table_id", F.lit(name).alias("field"), F.col("body").alias("text")) for name, bodies in systems.items()))
+    index = search.build_index(fields, terms=search.query_terms(data.queries).select("dataset", "term").distinct())
+    scores = search.field_scores(data.queries, index, list(systems)).withColumn("score", F.round("score", 6)).where("score > 0")
+    best = Window.partitionBy("dataset", "field", "query_id").orderBy(F.desc("score"), "table_id")
+    return scores.withColumn("rank", F.row_number().over(best)).where(F.col("rank") <= k).select("dataset", F.col("field").alias("config"), "query_id", "table_id", "rank")
 
 
-def training_pairs(data: datasets.Dataset, k: int) -> DataFrame:
-    """(dataset, table_id, prompt, chosen, rejected) of a dataset's best and worst candidates."""
-    cands = rank.candidates(data.tables, data.qrels, k)
-    found = rank.pairs(rank.score(cands, data.queries, data.qrels, k=k))
-    body = lambda column: F.element_at("bodies", (F.col(column) + 1).cast("int"))
-    return found.join(_prompted(data, k), ["dataset", "table_id"]).select("dataset", "table_id", "prompt", body("win_cand").alias("chosen"), body("lose_cand").alias("rejected"))
+def run(spark, sf_dir, settings, baselines=("MCB",), names=tuple(datasets.SIX), held_out=None) -> list[tuple[datasets.Dataset, DataFrame]]:
+    """Each held-out dataset and the hits of every setting and baseline on it."""
+    corpora = {name: load(spark, sf_dir, name) for name in names}
+    held_out = list(held_out or names)
+    tuned: dict[tuple, dict] = {}
+    for s in settings:
+        tuned[s.name] = adapters(corpora, s, held_out)
+    out = []
+    for name in held_out:
+        data, systems = corpora[name], {}
+        for s in settings:
+            weights = train.trained_weights(*tuned[s.name].get(name, (None, None)), s.cfg, s.prior)
+            systems[s.name] = train.generate(shown(data, s.expand), weights, s.cfg).select("dataset", "table_id", "body")
+        systems |= {b: baseline(data, BASELINES[b]) for b in baselines}
+        out.append((data, materialise(search_all(data, systems), "hits")))
+    return out
 
 
-def descriptions(data: datasets.Dataset, others: DataFrame, setting: Setting) -> DataFrame:
-    """(dataset, table_id, body) by a generator trained on the pairs ``others``; the adapter alone comes to the driver.
+def measured(runs, ks=evaluate.KS) -> DataFrame:
+    """(measure, dataset, config, k, value): NDCG and recall of every run."""
+    parts = []
+    for data, hits in runs:  # hits are at most 100 a query, configuration and dataset
+        parts += [rows.select(F.lit(name).alias("measure"), "dataset", "config", "k", "value") for name, rows in (("ndcg", evaluate.ndcg(hits, data.qrels, ks)), ("recall", evaluate.recall(hits, data.qrels, ks)))]
+    return reduce(DataFrame.unionByName, parts)
 
-    Untrained, or without any pair, a table's description is a random candidate by hash.
-    """
-    adapter = train.adapters(others.withColumn("held_out", F.lit("held out")), setting.cfg, setting.prior).first() if setting.trained else None
-    tables = _prompted(data, setting.k)
-    if adapter is None:
-        pick = rank.default_pick(F.col("table_id"), setting.k, rank.DEFAULT_SEED + setting.prior)
-        return tables.select("dataset", "table_id", F.element_at("bodies", (pick + 1).cast("int")).alias("body"))
-    return train.generate(tables, adapter.a, adapter.b, setting.cfg, setting.prior)
 
+def exp_overall(spark, sf_dir):
+    """FULL against the multi-call baseline on all six datasets."""
+    return measured(run(spark, sf_dir, (FULL,)))
 
-def baseline(data: datasets.Dataset) -> DataFrame:
-    stats = data.tables.select("dataset", "table_id", F.concat(F.size("vis"), F.lit(" words")).alias("stats"))
-    return describe.multicall(data.tables, stats).select("dataset", "table_id", "body")
 
-
-def search_all(data: datasets.Dataset, systems: dict[str, DataFrame], k: int = 100) -> DataFrame:
-    """(dataset, config, query_id, table_id, rank) of every system's descriptions, from one index."""
-    fields = None
-    for name, bodies in systems.items():
-        part = bodies.select("dataset", "table_id", F.lit(name).alias("field"), F.col("body").alias("text"))
-        fields = part if fields is None else fields.unionByName(part)
-    index = search.build_index(fields, terms=search.query_terms(data.queries).select("dataset", "term").distinct())
-    scores = search.field_scores(data.queries, index, list(systems)).withColumn("score", F.round("score", 6)).where("score > 0")
-    best = Window.partitionBy("dataset", "field", "query_id").orderBy(F.desc("score"), "table_id")
-    return scores.withColumn("rank", F.row_number().over(best)).where(F.col("rank") <= k).select("dataset", F.col("field").alias("config"), "query_id", "table_id", "rank")
+def exp_ablation(spark, sf_dir):
+    """FULL, without training, without expansion, without both, and the baseline, on all six."""
+    return measured(run(spark, sf_dir, ABLATION), (10, 50))
 
 
-def grid(spark, sf_dir, held_out: str = "sci_l", settings=GRID) -> tuple[datasets.Dataset, DataFrame]:
-    """The held-out dataset and the hits of every setting and of the multi-call baseline."""
-    data = datasets.sci(spark, sf_dir, NAMES[held_out])
-    other = datasets.sci(spark, sf_dir, not NAMES[held_out])
-    systems = {s.name: descriptions(data, training_pairs(other, s.k), s) for s in settings}
-    return data, search_all(data, systems | {"MCB": baseline(data)})
+def exp_alt_model(spark, sf_dir):
+    """FULL and the baseline with either base model, on all six."""
+    return measured(run(spark, sf_dir, MODELS, tuple(BASELINES)), (10, 50))
 
 
 def exp_grid(spark, sf_dir):
-    """NDCG and recall of every setting and the baseline on the larger dataset."""
-    data, hits = grid(spark, sf_dir)
-    hits = hits.persist()
-    named = lambda rows, name: rows.select(F.lit(name).alias("measure"), "dataset", "config", "k", "value")
-    return named(evaluate.ndcg(hits, data.qrels), "ndcg").unionByName(named(evaluate.recall(hits, data.qrels), "recall"))
+    """Beta, candidates and epochs against FULL on the larger topic dataset."""
+    return measured(run(spark, sf_dir, GRID, names=TOPICS, held_out=("sci_l",)))
 
 
 def lodo_metrics(spark, sf_dir):
-    """FULL, untrained, and the baseline on each dataset in turn, trained on the other."""
-    parts = [evaluate.ndcg(hits, data.qrels) for data, hits in (grid(spark, sf_dir, name, GRID[:2]) for name in NAMES)]
-    return parts[0].unionByName(parts[1])
+    """FULL, untrained, and the baseline on each topic dataset, trained on the other."""
+    return measured(run(spark, sf_dir, ABLATION[:2], names=TOPICS)).where("measure = 'ndcg'").drop("measure")
 
 
-def exp_expansion(spark, sf_dir):
-    """Search by expanded names against names as they are, over the catalogue.
+def exp_lengths(spark, sf_dir):
+    """Words and characters of FULL's and the baseline's descriptions, by dataset."""
+    rows = []
+    cfg = FULL.cfg
+    for name in datasets.SIX:
+        data = load(spark, sf_dir, name)
+        full = train.generate(shown(data, True), train.base_weights(cfg), cfg)
+        for system, bodies in (("FULL", full), ("MCB", baseline(data))):
+            rows.append(bodies.agg(F.lit(name).alias("dataset"), F.lit(system).alias("system"), F.round(F.avg(F.size(F.split("body", " "))), 4).alias("avg_words"), F.round(F.avg(F.length("body")), 4).alias("avg_chars")))
+    return reduce(DataFrame.unionByName, rows)
 
-    No description is generated: 'FULL' and 'FULL-exp' label plain searches over names.
-    """
+
+def exp_expansion(spark, sf_dir):
+    """Search by expanded names against names as they are, over the catalogue; no description is generated."""
     from .workloads import _ent_fields
 
     data, fields = _ent_fields(spark, sf_dir)
-    systems = {name: fields.where(F.col("field") == key).select("dataset", "table_id", F.col("text").alias("body")) for name, key in (("FULL-exp", "raw_names"), ("FULL", "expansion"))}
+    systems = {name: fields.where(F.col("field") == key).select("dataset", "table_id", F.col("text").alias("body")) for name, key in (("names as they are", "raw_names"), ("expanded names", "expansion"))}
     return evaluate.ndcg(search_all(data, systems), data.qrels)
 
 
-def exp_multi_field(spark, sf_dir):
-    """All three fields and each left out, against the description alone."""
-    from .workloads import _sci_fields
+def _three_fields(data: datasets.Dataset, weights) -> DataFrame:
+    part = lambda rows, name, text: rows.select("dataset", "table_id", F.lit(name).alias("field"), text.alias("text"))
+    full = train.generate(shown(data, True), weights, FULL.cfg)
+    return part(full, "description", F.col("body")).unionByName(part(data.tables, "expansion", F.array_join("expanded", " "))).unionByName(part(data.tables, "context", F.coalesce("context", F.lit(""))))
 
-    data, index = _sci_fields(spark, sf_dir)
+
+def exp_multi_field(spark, sf_dir):
+    """All three fields and each left out, against the description alone, where there is context."""
+    corpora = {name: load(spark, sf_dir, name) for name in ("gov", "web_a", "web_b")}
+    tuned = adapters(corpora, FULL, list(corpora))
     every = ("description", "expansion", "context")
-    runs = {"FULL": every[:1], "MULTI": every, "MULTI-desc": every[1:], "MULTI-exp": ("description", "context"), "MULTI-ctx": every[:2]}
-    hits = None
-    for name, fields in runs.items():
-        part = search.multi(data.queries, index, fields).select("dataset", F.lit(name).alias("config"), "query_id", "table_id", "rank")
-        hits = part if hits is None else hits.unionByName(part)
-    return evaluate.ndcg(hits, data.qrels)
+    runs = {"FULL": (every[:1], 0.1), "MULTI": (every, 0.1), "MULTI-desc": (every[1:], 0.1), "MULTI-exp": (("description", "context"), 0.1), "MULTI-ctx": (every[:2], 0.1)}
+    parts = []
+    for name, data in corpora.items():
+        index = search.build_index(_three_fields(data, train.trained_weights(*tuned.get(name, (None, None)), FULL.cfg)), terms=search.query_terms(data.queries).select("dataset", "term").distinct())
+        parts.append(evaluate.ndcg(search.multi_runs(data.queries, index, runs), data.qrels, (10, 50)))
+    return reduce(DataFrame.unionByName, parts)
 
 
 def exp_bootstrap(spark, sf_dir):
-    """The middle 95 % of the resampled mean difference between FULL and the baseline."""
-    data, hits = grid(spark, sf_dir, settings=GRID[:1])
-    return benchmark.bootstrap(benchmark.by_query(hits, data.qrels), "FULL", "MCB")
+    """The middle 95 % of the resampled mean difference between FULL and the baseline, by dataset."""
+    return reduce(DataFrame.unionByName, (benchmark.bootstrap(benchmark.by_query(hits, data.qrels), "FULL", "MCB") for data, hits in run(spark, sf_dir, (FULL,), names=TOPICS)))
+
+
+def pair_likelihoods(spark, sf_dir):
+    """Loss and margins from the generator's own likelihoods: a run's pairs before and after training on them."""
+    data = load(spark, sf_dir, "sci_l")
+    pairs = materialise(training_pairs(data, FULL), "pairs")
+    row = train.adapters(pairs.withColumn("held_out", F.lit("none")), FULL.cfg).first()
+    rows = train.likelihoods(pairs, train.trained_weights(*((row.a, row.b) if row else (None, None)), FULL.cfg), FULL.cfg)
+    return train.preference_loss(rows, FULL.cfg.beta).crossJoin(train.margins(rows, FULL.cfg.beta))
+
+
+def describe_new_tables(spark, sf_dir):
+    """A new corpus described by a generator trained on others: one description a table, no rows read."""
+    corpora = {name: load(spark, sf_dir, name) for name in ("sci_l", "ent")}
+    tuned = adapters(corpora, FULL, ["ent"])
+    weights = train.trained_weights(*tuned.get("ent", (None, None)), FULL.cfg)
+    return train.generate(shown(corpora["ent"], True), weights, FULL.cfg).select("table_id", "body")
 
 
 def queries():
-    return {f.__name__: f for f in (exp_grid, lodo_metrics, exp_expansion, exp_multi_field, exp_bootstrap)}
+    return {f.__name__: f for f in (exp_overall, exp_ablation, exp_alt_model, exp_grid, lodo_metrics, exp_lengths, exp_expansion, exp_multi_field, exp_bootstrap, pair_likelihoods, describe_new_tables)}

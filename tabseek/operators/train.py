@@ -45,13 +45,18 @@ def linear_warmup(step, total, warmup: float = 0.1, rate: float = 5e-6):
     return rate * (step / rise if step < rise else max((total - step) / max(total - rise, 1), 0.0))
 
 
-def quantize4(weights: np.ndarray, block: int = 64) -> np.ndarray:
-    """Weights as 4-bit codes of their block's largest magnitude, and back; the error is at most 1/14 of it."""
-    flat = weights.ravel()
+def quantize(weights: np.ndarray, bits: int = 4, block: int = 64) -> np.ndarray:
+    """Weights as signed codes of ``bits`` bits of their block's largest magnitude, and back."""
+    flat, top = weights.ravel(), 2 ** (bits - 1) - 1
     padded = np.pad(flat, (0, -len(flat) % block)).reshape(-1, block)
     scale = np.abs(padded).max(1, keepdims=True)
-    codes = np.round(padded / np.where(scale > 0, scale, 1) * 7)
-    return (codes / 7 * scale).ravel()[: len(flat)].reshape(weights.shape)
+    codes = np.round(padded / np.where(scale > 0, scale, 1) * top)
+    return (codes / top * scale).ravel()[: len(flat)].reshape(weights.shape)
+
+
+def quantize4(weights: np.ndarray, block: int = 64) -> np.ndarray:
+    """4-bit weights; the error is at most 1/14 of a block's largest magnitude."""
+    return quantize(weights, 4, block)
 
 
 @dataclass
@@ -76,16 +81,24 @@ class LowRank:
         return self.base + self.scale * self.b @ self.a
 
 
+#: The stand-in's logits are small; this makes a draw at the published temperature depend on them.
+LOGIT_SCALE = 8.0
+
+
 @dataclass(frozen=True)
 class TrainConfig:
+    """Settings of a training run. Rank, scale, batch, warm-up and bits are the published ones; ``rate`` suits the
+    stand-in generator, whose few weights a published rate of 5e-6 would leave where they are."""
+
     beta: float = 0.1
-    rank: int = 4
-    alpha: float = 4.0
-    rate: float = 0.05
+    rank: int = 64
+    alpha: float = 64.0
+    rate: float = 0.02
     warmup: float = 0.1
     batch: int = 8
     epochs: int = 1
     bits: int = 4
+    state_bits: int = 8
     seed: int = 42
     features: int = 64
     vocabulary: int = 128
@@ -114,6 +127,13 @@ def log_likelihood(weights: np.ndarray, x: np.ndarray, counts: np.ndarray) -> fl
     return float(counts @ (logits - top - np.log(np.exp(logits - top).sum())))
 
 
+def log_likelihoods(weights: np.ndarray, xs: np.ndarray, counts: np.ndarray) -> np.ndarray:
+    """``log_likelihood`` of many descriptions, row by row."""
+    logits = xs @ weights.T
+    top = logits.max(1, keepdims=True)
+    return (counts * (logits - top - np.log(np.exp(logits - top).sum(1, keepdims=True)))).sum(1)
+
+
 def base_weights(cfg: TrainConfig, prior: int = 0) -> np.ndarray:
     """The frozen generator; another ``prior`` is another base model."""
     base = np.random.default_rng(1000 + prior).normal(0, 0.1, (cfg.vocabulary, cfg.features))
@@ -124,37 +144,37 @@ def fit(pairs: pd.DataFrame, cfg: TrainConfig, prior: int = 0) -> tuple[LowRank,
     """Train on (prompt, chosen, rejected); returns the adapter and a row of diagnostics per step."""
     pairs = pairs.sort_values(["dataset", "table_id"]).reset_index(drop=True)
     model = LowRank.new(base_weights(cfg, prior), cfg.rank, cfg.alpha, cfg.seed)
-    xs = [features(p, cfg.features) for p in pairs["prompt"]]
-    wins = [choices(c, cfg.vocabulary) for c in pairs["chosen"]]
-    loses = [choices(c, cfg.vocabulary) for c in pairs["rejected"]]
-    reference = [log_likelihood(model.base, x, w) - log_likelihood(model.base, x, q) for x, w, q in zip(xs, wins, loses)]
+    xs = np.stack([features(p, cfg.features) for p in pairs["prompt"]])
+    wins = np.stack([choices(c, cfg.vocabulary) for c in pairs["chosen"]])
+    loses = np.stack([choices(c, cfg.vocabulary) for c in pairs["rejected"]])
+    reference = log_likelihoods(model.base, xs, wins) - log_likelihoods(model.base, xs, loses)
     total = cfg.epochs * -(-len(pairs) // cfg.batch)
-    first, second, steps, step = {"a": 0.0, "b": 0.0}, {"a": 0.0, "b": 0.0}, [], 0
+    first, second = ({n: np.zeros_like(getattr(model, n)) for n in "ab"} for _ in range(2))
+    stored = (lambda m: quantize(m, cfg.state_bits)) if cfg.state_bits < 32 else (lambda m: m)
+    steps, step = [], 0
     for epoch in range(cfg.epochs):
         order = np.random.default_rng(cfg.seed + epoch).permutation(len(pairs))
         for start in range(0, len(order), cfg.batch):
             rows, weights = order[start : start + cfg.batch], model.weights()
-            grad, loss, right, gap = np.zeros_like(model.base), 0.0, 0, 0.0
-            for i in rows:
-                logits = weights @ xs[i]
-                p = np.exp(logits - logits.max())
-                p /= p.sum()
-                m = log_likelihood(weights, xs[i], wins[i]) - log_likelihood(weights, xs[i], loses[i]) - reference[i]
-                slope = -cfg.beta / (1 + np.exp(np.clip(cfg.beta * m, -30, 30)))
-                towards = (wins[i] - wins[i].sum() * p) - (loses[i] - loses[i].sum() * p)
-                grad += slope * np.outer(towards, xs[i]) / len(rows)
-                loss += np.log1p(np.exp(-np.clip(cfg.beta * m, -30, 30))) / len(rows)
-                right, gap = right + (m > 0), gap + cfg.beta * m / len(rows)
+            x, win, lose = xs[rows], wins[rows], loses[rows]
+            gap = log_likelihoods(weights, x, win) - log_likelihoods(weights, x, lose) - reference[rows]
+            logits = x @ weights.T
+            p = np.exp(logits - logits.max(1, keepdims=True))
+            p /= p.sum(1, keepdims=True)
+            towards = (win - win.sum(1, keepdims=True) * p) - (lose - lose.sum(1, keepdims=True) * p)
+            scaled = np.clip(cfg.beta * gap, -30, 30)
+            slope = -cfg.beta / (1 + np.exp(scaled))
+            grad = (slope[:, None] * towards).T @ x / len(rows)
             step += 1
             rate = linear_warmup(step, total + 1, cfg.warmup, cfg.rate)
             grads = {"b": model.scale * grad @ model.a.T, "a": model.scale * model.b.T @ grad}
-            for name, g in grads.items():  # adaptive moments with decoupled decay
-                first[name] = 0.9 * first[name] + 0.1 * g
-                second[name] = 0.999 * second[name] + 0.001 * g * g
-                move = (first[name] / (1 - 0.9**step)) / (np.sqrt(second[name] / (1 - 0.999**step)) + 1e-8)
+            for name, g in grads.items():  # adaptive moments with decoupled decay, kept in few bits
+                first[name] = stored(0.9 * first[name] + 0.1 * g)
+                second[name] = stored(np.sqrt(0.999 * second[name] ** 2 + 0.001 * g * g))  # the root, which fewer bits hold better
+                move = (first[name] / (1 - 0.9**step)) / (np.maximum(second[name], np.abs(first[name]) / 30) / np.sqrt(1 - 0.999**step) + 1e-8)
                 value = getattr(model, name)
                 setattr(model, name, value - rate * (move + 0.01 * value))
-            steps.append((step, loss, gap, right / len(rows)))
+            steps.append((step, float(np.log1p(np.exp(-scaled)).mean()), float(cfg.beta * gap.mean()), float((gap > 0).mean())))
     return model, pd.DataFrame(steps, columns=["step", "loss", "margin", "accuracy"])
 
 
@@ -178,26 +198,54 @@ def adapters(folds: DataFrame, cfg: TrainConfig = TrainConfig(), prior: int = 0)
     return folds.groupBy("held_out").applyInPandas(run, "held_out string, a array<double>, b array<double>")
 
 
-def generate(tables: DataFrame, a, b, cfg: TrainConfig = TrainConfig(), prior: int = 0) -> DataFrame:
-    """(dataset, table_id, body): of each table's ``bodies``, the one of the largest gain in log likelihood a word over the base.
+def describe_by_sampling(words: list[str], logits: np.ndarray, n: int, seed: int, temperature: float = 0.5, top_p: float = 0.9, top_k: int = 50) -> str:
+    """A description of ``n`` slots: words of a table, drawn one after another without repetition by ``sample``."""
+    left, out = np.arange(len(words)), []
+    for slot in range(min(n, len(words))):
+        at = sample(logits[left], temperature, top_p, top_k, seed * 1_000 + slot)
+        out.append(words[left[at]])
+        left = np.delete(left, at)
+    return " ".join(out)
+
 
-    ``tables`` (dataset, table_id, prompt, bodies). An untrained adapter gains nothing and takes the first.
+def generate(tables: DataFrame, weights: np.ndarray, cfg: TrainConfig = TrainConfig(), k: int = 1, n: int = 30, seed: int = 42) -> DataFrame:
+    """(dataset, table_id, cand_id, body): ``k`` descriptions of each table, sampled from the generator.
+
+    ``tables`` (dataset, table_id, prompt, words): what a description may say are
+    the table's ``words``. The seed of a draw follows from the table and the
+    candidate alone, so partitioning does not matter. A table without words gets
+    empty descriptions. ``weights`` have the size of ``cfg`` and go with the plan.
     """
 
+    def run(frames):
+        for frame in frames:
+            rows = []
+            for dataset, table_id, prompt, words in zip(frame["dataset"], frame["table_id"], frame["prompt"], frame["words"]):
+                words = list(dict.fromkeys(words if words is not None else []))
+                logits = (weights @ features(prompt, cfg.features))[[_bucket(w, cfg.vocabulary) for w in words]] if words else np.zeros(0)
+                rows += [(dataset, table_id, c, describe_by_sampling(words, logits * LOGIT_SCALE, n, _bucket(f"{seed}:{dataset}:{table_id}:{c}", 1 << 31))) for c in range(k)]
+            yield pd.DataFrame(rows, columns=["dataset", "table_id", "cand_id", "body"])
+
+    return tables.select("dataset", "table_id", "prompt", "words").mapInPandas(run, "dataset string, table_id long, cand_id int, body string")
+
+
+def likelihoods(pairs: DataFrame, weights: np.ndarray, cfg: TrainConfig = TrainConfig(), prior: int = 0) -> DataFrame:
+    """(dataset, table_id, win, win_ref, lose, lose_ref): the log likelihoods of each pair's texts, trained and frozen."""
+
     def run(frames):
         base = base_weights(cfg, prior)
-        model = LowRank(base, np.reshape(a, (cfg.rank, cfg.features)), np.reshape(b, (cfg.vocabulary, cfg.rank)), cfg.alpha / cfg.rank)
-        weights = model.weights()
         for frame in frames:
-            chosen = []
-            for prompt, bodies in zip(frame["prompt"], frame["bodies"]):
-                x = features(prompt, cfg.features)
-                counts = [choices(body, cfg.vocabulary) for body in bodies]
-                gains = [(log_likelihood(weights, x, c) - log_likelihood(base, x, c)) / max(c.sum(), 1) for c in counts]
-                chosen.append(bodies[int(np.argmax(np.round(gains, 12)))])
-            yield frame[["dataset", "table_id"]].assign(body=chosen)
-
-    return tables.select("dataset", "table_id", "prompt", "bodies").mapInPandas(run, "dataset string, table_id long, body string")
+            xs = np.stack([features(p, cfg.features) for p in frame["prompt"]]) if len(frame) else np.zeros((0, cfg.features))
+            of = lambda w, column: log_likelihoods(w, xs, np.stack([choices(t, cfg.vocabulary) for t in frame[column]])) if len(frame) else []
+            yield frame[["dataset", "table_id"]].assign(win=of(weights, "chosen"), win_ref=of(base, "chosen"), lose=of(weights, "rejected"), lose_ref=of(base, "rejected"))
+
+    return pairs.select("dataset", "table_id", "prompt", "chosen", "rejected").mapInPandas(run, "dataset string, table_id long, win double, win_ref double, lose double, lose_ref double")
+
+
+def trained_weights(a, b, cfg: TrainConfig = TrainConfig(), prior: int = 0) -> np.ndarray:
+    """The generator's weights from an adapter row; the frozen ones without one."""
+    base = base_weights(cfg, prior)
+    return base if a is None else LowRank(base, np.reshape(a, (cfg.rank, cfg.features)), np.reshape(b, (cfg.vocabulary, cfg.rank)), cfg.alpha / cfg.rank).weights()
 
 
 def sample(logits: np.ndarray, temperature: float = 0.5, top_p: float = 0.9, top_k: int = 50, seed: int = 42) -> int:

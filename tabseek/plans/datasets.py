@@ -3,7 +3,8 @@
 ``known``: documents searched by benchmark passages, containment as relevance.
 ``sci_s`` / ``sci_l``: English documents whose first half is visible and whose
 hidden second half judges topic words. ``ent``: the catalogue of the given
-tables and slices of them, with fixed queries.
+tables and slices of them, with fixed queries. ``gov``: labelled documents by
+tasks. ``web_a`` / ``web_b``: documents and pages by page titles, without names.
 """
 
 from __future__ import annotations
@@ -14,6 +15,7 @@ from pyspark.sql import DataFrame, SparkSession, Window, functions as F
 
 from ..functions.analysis import words
 from ..operators.search import hinted
+from ..sources.pages import context as page_context
 
 #: The catalogue, in id order, and its columns.
 CATALOGUE = {
@@ -111,6 +113,130 @@ def sci(spark: SparkSession, sf_dir: str, large: bool = True) -> Dataset:
     return Dataset(tables, queries, qrels)
 
 
+def abbreviate(word):
+    """A cryptic form of a word, as a column name has it: its first three letters and its last."""
+    return F.when(F.length(word) <= 4, word).otherwise(F.concat(F.substring(word, 1, 3), F.substring(word, -1, 1)))
+
+
+def glossary(words_: DataFrame) -> DataFrame:
+    """(short, word) of (word, n): the most frequent word of each abbreviation, of equals the first."""
+    best = F.max(F.struct("n", F.expr("transform(split(word, ''), c -> -ascii(c))").alias("o"), "word"))
+    return words_.withColumn("short", abbreviate(F.col("word"))).groupBy("short").agg(best["word"].alias("word"))
+
+
+def named(texts: DataFrame, n_names: int = 60) -> DataFrame:
+    """``texts`` (dataset, table_id, table_name, visible, context, rows) as tables with cryptic and expanded names.
+
+    A table's columns are its first distinct visible words, abbreviated; they are
+    expanded by the glossary of all visible words, which picks one word an
+    abbreviation and so errs as a model does. ``cryptic`` and ``expanded`` hold
+    the words of name, columns and context that a description may use.
+    """
+    known = texts.select(F.explode("visible").alias("word")).groupBy("word").agg(F.count("*").alias("n"))
+    short = F.transform(F.slice(F.array_distinct("visible"), 1, n_names), abbreviate)
+    rows = texts.select("dataset", "table_id", "table_name", "context", "rows", short.alias("columns"))
+    meant = rows.select("dataset", "table_id", F.posexplode("columns").alias("pos", "short")).join(glossary(known), "short")
+    expanded = meant.groupBy("dataset", "table_id").agg(F.transform(F.array_sort(F.collect_list(F.struct("pos", "word"))), lambda x: x["word"]).alias("meaning"))
+    none = F.array().cast("array<string>")
+    around = F.concat(F.coalesce(words(F.col("table_name")), none), F.coalesce(words(F.col("context")), none))
+    joined = rows.join(expanded, ["dataset", "table_id"], "left")
+    return joined.select("*", F.concat(around, "columns").alias("cryptic"), F.concat(around, F.coalesce("meaning", none)).alias("expanded"))
+
+
+def gov(spark: SparkSession, sf_dir: str) -> Dataset:
+    """Labelled documents of six sources by two queries a source, with grades 1 to 3; the first line is context."""
+    judged = gov_judgements(spark, sf_dir)
+    docs = read(spark, sf_dir, "documents").join(judged.select(F.col("table_id").alias("doc_id")), "doc_id", "left_semi")
+    w = words(F.col("text"))
+    tables = named(docs.select(F.lit("gov").alias("dataset"), F.col("doc_id").alias("table_id"), F.col("source").alias("table_name"), w.alias("visible"), F.split("text", "\n")[0].alias("context"), w.alias("rows")))
+    # twenty wordings a task from words of its documents, of which the two most distinct ask
+    picked = docs.select(F.col("source").alias("task"), F.explode(F.array_distinct(w)).alias("word")).where("length(word) >= 5").groupBy("task", "word").agg(F.count("*").alias("n"))
+    r = F.row_number().over(Window.partitionBy("task").orderBy(F.desc("n"), F.md5("word"))) - 1
+    wordings = picked.withColumn("r", r).where("r < 40").groupBy("task", F.floor(F.col("r") / 2).alias("i")).agg(F.concat_ws(" ", "task", F.array_join(F.array_sort(F.collect_list("word")), " ")).alias("text"))
+    wordings = wordings.select("task", (F.substring("task", 4, 2).cast("long") * 100 + F.col("i")).alias("query_id"), "text")
+    # computed in the library, which builds on this module
+    from ..operators.benchmark import distinct_pair, task_to_query
+
+    pair = distinct_pair(wordings).select("task", F.explode(F.array("query_id", "other_id")).alias("query_id"))
+    asked = wordings.join(pair, ["task", "query_id"], "left_semi")
+    qrels = task_to_query(judged, asked).select(F.lit("gov").alias("dataset"), "query_id", "table_id", "grade")
+    return Dataset(tables, asked.select(F.lit("gov").alias("dataset"), "query_id", "text"), qrels)
+
+
+def _titles(spark: SparkSession, sf_dir: str, n: int = 60) -> DataFrame:
+    """(query_id, text) of the first distinct page titles of 20 characters and more; a query set of fixed size."""
+    titles = page_context(read(spark, sf_dir, "pages")).where("length(title) >= 20").groupBy(F.col("title").alias("text")).agg(F.min("page_id").alias("query_id"))
+    return titles.orderBy("query_id").limit(n).select("query_id", "text")
+
+
+def _odd(words_):
+    return F.array_join(F.filter(words_, lambda _, i: i % 2 == 0), " ")
+
+
+def _runs(words_, n: int = 5):
+    """Distinct runs of five words, as text."""
+    return F.array_distinct(F.transform(F.sequence(F.lit(1), F.greatest(F.size(words_) - n + 1, F.lit(1))), lambda i: F.array_join(F.slice(words_, i, n), " ")))
+
+
+def _web(spark: SparkSession, sf_dir: str, name: str, texts: DataFrame) -> Dataset:
+    """Tables without names from (table_id, line, body): grade 2 if a title opens the line, 1 if a run of five words of it stands in line or body."""
+    asked = _titles(spark, sf_dir)
+    queries = asked.select(F.lit(name).alias("dataset"), "query_id", "text")
+    line, body = words(F.col("line")), words(F.col("body"))
+    tables = named(texts.select(F.lit(name).alias("dataset"), "table_id", F.lit(None).cast("string").alias("table_name"), body.alias("visible"), _odd(line).alias("context"), body.alias("rows")))
+    wanted = asked.select("query_id", words(F.col("text")).alias("w")).where("size(w) >= 2")
+    heads = wanted.select("query_id", F.size("w").alias("n"), F.array_join("w", " ").alias("head"))
+    opening = texts.select("table_id", line.alias("w")).join(hinted(heads.select("n").distinct()), F.col("n") <= F.size("w"))
+    two = opening.select("table_id", "n", F.array_join(F.slice("w", F.lit(1), F.col("n")), " ").alias("head")).join(hinted(heads), ["n", "head"]).select("query_id", "table_id", F.lit(2).alias("grade"))
+    runs = wanted.where("size(w) >= 5").select("query_id", F.explode(_runs(F.col("w"))).alias("run"))
+    one = texts.select("table_id", F.concat(line, body).alias("w")).where("size(w) >= 5").select("table_id", F.explode(_runs(F.col("w"))).alias("run")).join(hinted(runs), "run").select("query_id", "table_id", F.lit(1).alias("grade"))
+    qrels = two.unionByName(one).groupBy("query_id", "table_id").agg(F.max("grade").alias("grade")).select(F.lit(name).alias("dataset"), "query_id", "table_id", "grade")
+    return Dataset(tables, queries, qrels)
+
+
+def web_a(spark: SparkSession, sf_dir: str) -> Dataset:
+    """All documents by page titles: the thinned first line is context, the rest the table."""
+    lines = F.split("text", "\n", 2)
+    return _web(spark, sf_dir, "web_a", read(spark, sf_dir, "documents").select(F.col("doc_id").alias("table_id"), lines[0].alias("line"), F.get(lines, F.lit(1)).alias("body")))
+
+
+def web_b(spark: SparkSession, sf_dir: str) -> Dataset:
+    """All pages by their titles: the thinned title is context, paragraphs without it the table."""
+    rows = page_context(read(spark, sf_dir, "pages"))
+    body = F.array_join(F.filter("paragraphs", lambda p: ~F.contains(p, F.col("title"))), " ")
+    return _web(spark, sf_dir, "web_b", rows.select(F.col("page_id").alias("table_id"), F.col("title").alias("line"), body.alias("body")))
+
+
+def sci_named(spark: SparkSession, sf_dir: str, large: bool = True) -> Dataset:
+    """A topic dataset with cryptic names; there is no context."""
+    data = sci(spark, sf_dir, large)
+    texts = data.tables.select("dataset", "table_id", "table_name", F.col("vis").alias("visible"), F.lit(None).cast("string").alias("context"), F.col("vis").alias("rows"))
+    return Dataset(named(texts), data.queries, data.qrels)
+
+
+def ent_named(spark: SparkSession, sf_dir: str) -> Dataset:
+    """The catalogue, its names expanded by the lexicon; rows are the values of no table, so there are none."""
+    from ..operators import names
+
+    data = ent(spark, sf_dir)
+    columns, heads = names.expand(data.tables), names.expand(data.tables, "table")
+    text = names.expansion_field(heads.withColumn("pos", F.col("pos") - 1).unionByName(columns))
+    raw = F.flatten(F.transform(F.concat(F.array("table_name"), F.col("columns")), names.split_name))
+    tables = data.tables.withColumn("cryptic", raw).join(text, ["dataset", "table_id"], "left").withColumn("expanded", words(F.col("text")))
+    return Dataset(tables.select("dataset", "table_id", "table_name", F.lit(None).cast("string").alias("context"), F.array().cast("array<string>").alias("rows"), "columns", "cryptic", "expanded"), data.queries, data.qrels)
+
+
+#: The six stand-ins, by name.
+SIX = {
+    "ent": ent_named,
+    "sci_s": lambda spark, sf_dir: sci_named(spark, sf_dir, False),
+    "sci_l": sci_named,
+    "gov": gov,
+    "web_a": web_a,
+    "web_b": web_b,
+}
+
+
 def gov_judgements(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Task judgements (task, table_id, grade): same source 1, of quality 2, and not toxic 3."""
     docs, labels = read(spark, sf_dir, "documents"), read(spark, sf_dir, "labels")

@@ -7,17 +7,17 @@ from pyspark.sql.streaming import StreamingQuery
 
 from ..functions.analysis import WORDS, Analyzer
 from ..operators.search import query_terms, single
-from ..operators.stored import SLOTS, open_index, write_version
+from ..operators.stored import open_index, write_version
 
 
-def index(fields: DataFrame, path: str, checkpoint: str, analyzer: Analyzer = WORDS, slots: int = SLOTS) -> StreamingQuery:
+def index(fields: DataFrame, path: str, checkpoint: str, analyzer: Analyzer = WORDS) -> StreamingQuery:
     """Each micro-batch of ``fields`` (dataset, table_id, field, text) becomes the version of its number.
 
     A batch that runs again replaces its own version, so each table counts once.
     """
 
     def add(batch: DataFrame, number: int) -> None:
-        write_version(batch, path, number, analyzer, slots)
+        write_version(batch, path, number, analyzer)
 
     return fields.writeStream.foreachBatch(add).option("checkpointLocation", checkpoint).trigger(availableNow=True).start()
 

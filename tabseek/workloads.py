@@ -7,6 +7,7 @@ from pyspark.sql import Window, functions as F
 from .functions import analysis
 from .operators import benchmark, describe, evaluate, names, rank, search, train
 from .plans import datasets
+from .plans.scratch import materialise
 from .sources import pages as page_source
 from .streaming import feedback
 
@@ -475,31 +476,10 @@ def asof_index_version(spark, sf_dir):
 
 def iterate_defaults(spark, sf_dir):
     data, cands = _sci(spark, sf_dir)
-    scores, rounds = rank.iterate(cands, data.queries, data.qrels, lambda d: d.cache())
+    scores, rounds = rank.iterate(cands, data.queries, data.qrels, lambda d: materialise(d, "round"))
     return scores.select("table_id", "cand_id", "score", F.lit(rounds).alias("rounds"))
 
 
-def exp_overall(spark, sf_dir):
-    """Leave one dataset out: the template that wins most pairs of the smaller topic dataset, on the larger one.
-
-    Against the untrained first template and the multi-call baseline.
-    """
-    small, cands = _sci(spark, sf_dir, 3, large=False)
-    wins = rank.pairs(rank.score(cands, small.queries, small.qrels)).groupBy("win_cand").agg(F.count("*").alias("n"))
-    top = wins.orderBy(F.desc("n"), "win_cand").first()
-    data = datasets.sci(spark, sf_dir)
-    bodies = rank.template_bodies(3)
-    ours = data.tables.select("dataset", "table_id", F.explode(F.array(F.struct(F.lit("FULL").alias("field"), bodies[top.win_cand if top else 0].alias("text")), F.struct(F.lit("FULL-pref").alias("field"), bodies[0].alias("text")))).alias("x")).select("dataset", "table_id", "x.field", "x.text")
-    stats = data.tables.select("dataset", "table_id", F.concat(F.size("vis"), F.lit(" words")).alias("stats"))
-    base = describe.multicall(data.tables, stats).select("dataset", "table_id", F.lit("MCB").alias("field"), F.col("body").alias("text"))
-    index = search.build_index(ours.unionByName(base), terms=search.query_terms(data.queries).select("dataset", "term").distinct())
-    scores = search.field_scores(data.queries, index, ["FULL", "FULL-pref", "MCB"]).withColumn("score", F.round("score", 6))
-    best = Window.partitionBy("field", "query_id").orderBy(F.desc("score"), "table_id")
-    hits = scores.withColumn("rank", F.row_number().over(best)).where("rank <= 100").select("dataset", F.col("field").alias("config"), "query_id", "table_id", "rank")
-    ndcg_, recall_ = evaluate.ndcg(hits, data.qrels).withColumn("metric", F.lit("ndcg")), evaluate.recall(hits, data.qrels).withColumn("metric", F.lit("recall"))
-    return ndcg_.unionByName(recall_)
-
-
 _QUERIES = (
     analyze_words, analyze_trigrams, stem_vocab, field_stats, term_stats, postings, bm25_top10, bm25_params, bm25_explain, known_item_ranks,
     raw_metadata_top10, expansion_top10, single_field_top10, multi_field_top10, field_ablation, tie_sweep, weighted_fields, dense_top10, hybrid_rrf,
@@ -509,7 +489,7 @@ _QUERIES = (
     desc_length, relevance_density, dataset_summary, index_cost, task_qrels, relabel, hard_negatives, downsample, pool_union,
     tumbling_counts, sliding_counts, session_counts, click_qrels, dedupe_events, interval_join,
     description_text, description_validity, description_prompts, mcb_profile, row_summary, verbalize, call_counts, page_context,
-    metric_cube, run_set_ops, asof_index_version, iterate_defaults, exp_overall,
+    metric_cube, run_set_ops, asof_index_version, iterate_defaults,
 )
 
 

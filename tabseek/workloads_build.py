@@ -2,30 +2,17 @@
 
 from __future__ import annotations
 
-import os
-import tempfile
-import uuid
-
 from pyspark.sql import Window, functions as F
 from pyspark.sql.functions import udtf
 
 from .functions.analysis import words
 from .operators import benchmark, search, stored
 from .plans import datasets
+from .plans.scratch import scratch
 from .streaming import feedback, upkeep
 from .workloads import _KNOWN, _KNOWN_ALL, _SCI_FIELDS, _SYSTEMS, _known, _sci_fields, _systems, _top, _w, oracle_sql as _search_oracles
 
 
-def scratch(spark, name: str) -> str:
-    """A new folder below ``spark.checkpoint.dir``; a local session without that setting gets a temporary one."""
-    base = spark.conf.get("spark.checkpoint.dir", None)
-    if not base:
-        if not spark.sparkContext.master.startswith("local"):
-            raise ValueError("set spark.checkpoint.dir to a folder that the driver and all executors share")
-        base = tempfile.gettempdir()
-    return os.path.join(base, f"{name}-{uuid.uuid4().hex}")
-
-
 def _texts(spark, sf_dir):
     return datasets.read(spark, sf_dir, "documents").select(F.lit("known").alias("dataset"), F.col("doc_id").alias("table_id"), F.lit("text").alias("field"), "text")
 

@@ -9,10 +9,11 @@ from pyspark.sql.functions import udtf
 from .functions import analysis
 from .operators import benchmark, describe, evaluate, names, rank, search, stored, train
 from .plans import datasets
+from .plans.scratch import scratch
 from .sources import catalogue
 from .streaming import feedback, upkeep
 from .workloads import _KNOWN_ALL, _SCI, _SCORED, _SYSTEMS, _catalogue_sql, _known, _pairs_sql, _scores, _sci, _score_sql, _sci_sql, _systems, _top, _w, _written, _bm25, _ent_fields, _ent_search, _log_likelihoods, _both_pairs
-from .workloads_build import _asked, _hits, _texts, scratch
+from .workloads_build import _texts
 
 
 def idf(spark, sf_dir):
