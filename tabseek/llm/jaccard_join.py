@@ -24,6 +24,11 @@ similarity reaches the threshold. The result names each document's component.
    those are held against size and a parity sketch, whose distance bounds the
    overlap, large entries in blocks of bounded size; survivors are verified.
 
+6. Links lie inside components. The sets of a component are dealt to parts of
+   bounded size, every two parts meet in one task, and what leaves it is a number
+   a set: how many documents it links with. So all links between different texts
+   are counted, though no pair is written.
+
 Verification is exact on the sets' hashes. Nothing but the bitmaps, of
 ``2 ** MOST_BITS`` bits at most, comes to the driver or is broadcast.
 
@@ -55,6 +60,8 @@ FREQUENT = 10
 LEAST_BITS, MOST_BITS = 24, 28
 #: Members of one entry that are held against each other in one block.
 BLOCK = 1024
+#: Shingles of a part of a component, about; two parts meet in one task.
+LINK_SHINGLES = 1 << 18
 #: Entries of so many members or fewer give their pairs as rows.
 SMALL = 16
 _M = np.uint64(0x9E3779B97F4A7C15)
@@ -239,6 +246,23 @@ def _unlike(pairs: DataFrame, sets: DataFrame) -> DataFrame:
     return pairs.join(left, "a").join(right, "b").mapInArrow(run, "a long, b long")
 
 
+def _token_sets(docs: DataFrame, shared) -> DataFrame:
+    """(doc_id, set_id, tokens) of the texts whose doc_id is in a broadcast bitmap, and of some others."""
+
+    def build(batches):
+        for batch in batches:
+            part = batch.filter(pa.array(_in_bitmap(shared.value, np.asarray(batch.column("slot")))))
+            rows, keys, sets = [], [], []
+            for row, tokens in text_sets(part.column("text")):
+                rows.append(row)
+                keys.append(set_key(tokens))
+                # six of eight bytes: still no two of a pair's shingles are alike by chance
+                sets.append(tokens.astype(">u8").view(np.uint8).reshape(-1, 8)[:, :6].tobytes())
+            yield pa.RecordBatch.from_arrays([part.column("doc_id").take(pa.array(rows, pa.int64())), _longs(keys), pa.array(sets, pa.binary())], ["doc_id", "set_id", "tokens"])
+
+    return docs.where("doc_id IS NOT NULL").select("doc_id", "text", F.xxhash64("doc_id").alias("slot")).mapInArrow(build, "doc_id long, set_id long, tokens binary")
+
+
 def linked(pairs: DataFrame, docs: DataFrame) -> DataFrame:
     """The (a, b) of ``pairs`` (doc_ids) whose sets link, by exact intersection.
 
@@ -249,18 +273,7 @@ def linked(pairs: DataFrame, docs: DataFrame) -> DataFrame:
     ids = materialise(pairs.select(F.explode(F.array("a", "b")).alias("id")).distinct(), "paired-ids")
     shared = spark.sparkContext.broadcast(_bitmap(ids.select(F.xxhash64("id").alias("at"))))
 
-    def build(batches):
-        for batch in batches:
-            take = _in_bitmap(shared.value, np.asarray(batch.column("slot")))
-            part = batch.filter(pa.array(take))
-            rows, sets = [], []
-            for row, tokens in text_sets(part.column("text")):
-                rows.append(row)
-                # six of eight bytes: still no two of a pair's shingles are alike by chance
-                sets.append(tokens.astype(">u8").view(np.uint8).reshape(-1, 8)[:, :6].tobytes())
-            yield pa.RecordBatch.from_arrays([part.column("doc_id").take(pa.array(rows, pa.int64())), pa.array(sets, pa.binary())], ["id", "tokens"])
-
-    sets = docs.where("doc_id IS NOT NULL").select("doc_id", "text", F.xxhash64("doc_id").alias("slot")).mapInArrow(build, "id long, tokens binary")
+    sets = _token_sets(docs, shared).select(F.col("doc_id").alias("id"), "tokens")
     sets = materialise(sets.join(ids, "id", "left_semi"), "candidate-sets")
     discard(ids)
 
@@ -278,13 +291,14 @@ def linked(pairs: DataFrame, docs: DataFrame) -> DataFrame:
     return pairs.select("a", "b").join(left, "a").join(right, "b").select("a", "b", "x", "y").mapInArrow(verify, "a long, b long")
 
 
-def _overlap(x: bytes, y: bytes) -> int:
-    def numbers(raw):
-        wide = np.zeros((len(raw) // 6, 8), np.uint8)
-        wide[:, 2:] = np.frombuffer(raw, np.uint8).reshape(-1, 6)
-        return wide.view(">u8").ravel().astype(np.uint64)
+def _numbers(raw: bytes) -> np.ndarray:
+    wide = np.zeros((len(raw) // 6, 8), np.uint8)
+    wide[:, 2:] = np.frombuffer(raw, np.uint8).reshape(-1, 6)
+    return wide.view(">u8").ravel().astype(np.uint64)
+
 
-    a, b = numbers(x), numbers(y)
+def _overlap(x: bytes, y: bytes) -> int:
+    a, b = _numbers(x), _numbers(y)
     merged = np.sort(np.concatenate((a, b)))
     return int(np.count_nonzero(merged[1:] == merged[:-1]))
 
@@ -343,38 +357,98 @@ def _group_pairs(ids, label, n, part, raw, two_parts: bool) -> set[tuple[int, in
     return found
 
 
-def _block_pairs(batches):
-    """Candidate (a, b) from rows sorted by block."""
-    held = None
+def _sorted_groups(batches, keys: tuple[str, ...]):
+    """Tables of whole groups from batches sorted by ``keys``, with the places where groups begin."""
 
-    def emit(table: pa.Table):
-        keys = np.stack([table.column(c).to_numpy() for c in ("entry", "i", "j")])
-        cuts = np.flatnonzero((keys[:, 1:] != keys[:, :-1]).any(0)) + 1
-        columns = [table.column(c).to_numpy() for c in ("id", "label", "n", "part")]
-        raw = table.column("sketch").to_pylist()
-        pairs = set()
-        for s, e in zip([0, *cuts.tolist()], [*cuts.tolist(), table.num_rows]):
-            pairs |= _group_pairs(*(c[s:e] for c in columns), raw[s:e], keys[1, s] != keys[2, s])
-        a, b = zip(*pairs) if pairs else ((), ())
-        return pa.RecordBatch.from_arrays([_longs(a), _longs(b)], ["a", "b"])
+    def changes(table: pa.Table) -> np.ndarray:
+        columns = np.stack([table.column(c).to_numpy() for c in keys])
+        return np.flatnonzero((columns[:, 1:] != columns[:, :-1]).any(0)) + 1
 
+    held = None
     for batch in batches:
         table = pa.Table.from_batches([batch]) if held is None else pa.concat_tables([held, pa.Table.from_batches([batch])])
-        keys = np.stack([table.column(c).to_numpy() for c in ("entry", "i", "j")])
-        changes = np.flatnonzero((keys[:, 1:] != keys[:, :-1]).any(0)) + 1 if table.num_rows > 1 else []
-        if not len(changes):
+        cuts = changes(table) if table.num_rows > 1 else []
+        if not len(cuts):
             held = table
             continue
-        yield emit(table.slice(0, changes[-1]))
-        held = table.slice(changes[-1])
+        yield table.slice(0, cuts[-1]), [0, *cuts[:-1].tolist()]
+        held = table.slice(cuts[-1])
     if held is not None and held.num_rows:
-        yield emit(held)
+        yield held, [0]
+
+
+def _block_pairs(batches):
+    """Candidate (a, b) from rows sorted by block."""
+    for table, starts in _sorted_groups(batches, ("entry", "i", "j")):
+        i, j, *columns = (table.column(c).to_numpy() for c in ("i", "j", "id", "label", "n", "part"))
+        raw = table.column("sketch").to_pylist()
+        pairs = set()
+        for s, e in zip(starts, [*starts[1:], table.num_rows]):
+            pairs |= _group_pairs(*(c[s:e] for c in columns), raw[s:e], i[s] != j[s])
+        a, b = zip(*pairs) if pairs else ((), ())
+        yield pa.RecordBatch.from_arrays([_longs(a), _longs(b)], ["a", "b"])
+
+
+def _count_links(sets: list[np.ndarray], part: np.ndarray, copies: np.ndarray, two_parts: bool) -> np.ndarray:
+    """For each set of a block the copies of the sets it links with; across parts only if there are two."""
+    m, n = len(sets), np.array([len(t) for t in sets])
+    row = np.repeat(np.arange(m), n)
+    names, at, seen = np.unique(np.concatenate(sets), return_inverse=True, return_counts=True)
+    twice = seen > 1  # what one set alone has is in no overlap
+    row, at = row[twice[at]], (np.cumsum(twice) - 1)[at[twice[at]]]
+    words = max(1, -(-int(twice.sum()) // 64))
+    bits = np.zeros(m * words * 8, np.uint8)
+    np.bitwise_or.at(bits, row * words * 8 + (at >> 3), (1 << (at & 7)).astype(np.uint8))
+    bits = bits.reshape(m, -1).view(np.uint64)
+    out = np.zeros(m, np.int64)
+    for k in range(m - 1):
+        rest = np.arange(k + 1, m)
+        ok = DEN * np.minimum(n[rest], n[k]) >= NUM * np.maximum(n[rest], n[k])
+        if two_parts:  # pairs inside a part come in that part's own block
+            ok &= part[rest] != part[k]
+        rest = rest[ok]
+        both = np.bitwise_count(bits[rest] & bits[k]).sum(1, dtype=np.int64)
+        rest = rest[DEN * both >= NUM * (n[rest] + n[k] - both)]
+        out[k] += copies[rest].sum()
+        out[rest] += copies[k]
+    return out
+
 
+def link_counts(sets: DataFrame, component: DataFrame, docs: DataFrame) -> DataFrame:
+    """(set_id, links): the documents with other texts that each set of ``sets`` (set_id, id, n, n_copies) links with.
 
-def join(docs: DataFrame, frequent: int = FREQUENT) -> DataFrame:
-    """Per row of ``docs`` (doc_id, text): doc_id, n_shingles, component_id, n_copies.
+    ``component`` (id, component) names those that link at all. Work and rows grow
+    with the square of a component's parts, as its links can; a part's sets are
+    the unit that a task holds.
+    """
 
-    ``n_copies`` counts the rows of an equal set.
+    def count(batches):
+        for table, starts in _sorted_groups(batches, ("component", "i", "j")):
+            i, j, part, copies = (table.column(c).to_numpy() for c in ("i", "j", "part", "n_copies"))
+            tokens = [_numbers(t) for t in table.column("tokens").to_pylist()]
+            found = [_count_links(tokens[s:e], part[s:e], copies[s:e], i[s] != j[s]) for s, e in zip(starts, [*starts[1:], table.num_rows])]
+            yield pa.RecordBatch.from_arrays([table.column("set_id").combine_chunks(), _longs(np.concatenate(found))], ["set_id", "links"])
+
+    members = sets.join(component, "id").select("set_id", "id", "component", "n", "n_copies")
+    size = members.groupBy("component").agg(F.sum("n").alias("total"), F.count("*").alias("size")).where("size > 1")
+    members = materialise(members.join(size, "component").withColumn("parts", F.ceil(F.col("total") / LINK_SHINGLES).cast("int")).drop("total", "size"), "component-members")
+    shared = docs.sparkSession.sparkContext.broadcast(_bitmap(members.select(F.xxhash64("id").alias("at"))))
+    # a set is built from its first document; rows that repeat it meet already where they are read
+    built = _token_sets(docs, shared).join(members.select("set_id", F.col("id").alias("doc_id")), ["set_id", "doc_id"], "left_semi")
+    tokens = built.groupBy("set_id").agg(F.first("tokens").alias("tokens"))
+    part = F.pmod(F.hash("set_id"), F.col("parts"))
+    blocks = members.withColumn("part", part).join(tokens, "set_id").withColumn("other", F.explode(F.sequence(F.lit(0), F.col("parts") - 1)))
+    blocks = blocks.select("component", F.least("part", "other").alias("i"), F.greatest("part", "other").alias("j"), "part", "set_id", "n_copies", "tokens")
+    counted = blocks.repartition("component", "i", "j").sortWithinPartitions("component", "i", "j").mapInArrow(count, "set_id long, links long")
+    return counted.groupBy("set_id").agg(F.sum("links").alias("links"))
+
+
+def join(docs: DataFrame, frequent: int = FREQUENT, count_links: bool = True) -> DataFrame:
+    """Per row of ``docs`` (doc_id, text): doc_id, n_shingles, component_id, n_copies and, unless declined, n_links.
+
+    ``n_copies`` counts the rows of an equal set, ``n_links`` all other rows that
+    the row links with, copies included; rows of null doc_id are not counted and
+    have none. A row without shingles links with nothing.
     """
     docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
     rows = materialise(document_sets(docs), "document-sets")
@@ -416,8 +490,13 @@ def join(docs: DataFrame, frequent: int = FREQUENT) -> DataFrame:
     discard(labelled)
     final = components(known.unionByName(linked(rest, docs)))
     discard(known, rest)
-    named = sets.join(final, "id", "left").select("set_id", F.coalesce("component", "id").alias("component"), "n_copies")
-    return rows.join(named, "set_id", "left").select("doc_id", F.col("n").alias("n_shingles"), F.when(F.col("doc_id").isNotNull(), F.coalesce("component", "doc_id")).alias("component_id"), F.coalesce("n_copies", F.lit(1)).alias("n_copies"))
+    found = sets.join(final, "id", "left").select("set_id", F.coalesce("component", "id").alias("component"), "n_copies")
+    has_id = F.col("doc_id").isNotNull()
+    columns = ["doc_id", F.col("n").alias("n_shingles"), F.when(has_id, F.coalesce("component", "doc_id")).alias("component_id"), F.coalesce("n_copies", F.lit(1)).alias("n_copies")]
+    if count_links:
+        found = found.join(link_counts(sets, final, docs), "set_id", "left")
+        columns.append(F.when(has_id, F.coalesce(F.col("n_copies") - 1 + F.coalesce("links", F.lit(0)), F.lit(0))).alias("n_links"))
+    return rows.join(found, "set_id", "left").select(*columns)
 
 
 def keep_one(docs: DataFrame, **options) -> DataFrame:
@@ -430,7 +509,7 @@ def keep_one(docs: DataFrame, **options) -> DataFrame:
     key, flag = f"{own}key", f"{own}again"
     again = materialise(docs.where("doc_id IS NOT NULL").groupBy("doc_id").count().where("count > 1").select("doc_id"), "repeated-ids")
     if again.isEmpty():
-        doomed = join(docs.select("doc_id", "text"), **options).where("component_id <> doc_id").select("doc_id")
+        doomed = join(docs.select("doc_id", "text"), count_links=False, **options).where("component_id <> doc_id").select("doc_id")
         return docs.join(doomed, "doc_id", "left_anti").select(*docs.columns)
     # a row of a repeated doc_id is named by a negative number from its text
     known = again.select(F.col("doc_id").alias(f"{own}id"), F.lit(True).alias(flag))
@@ -438,7 +517,7 @@ def keep_one(docs: DataFrame, **options) -> DataFrame:
     number = F.when(F.col(flag), -1 - F.shiftrightunsigned(F.xxhash64("doc_id", "text"), 1)).otherwise(F.col("doc_id").cast("long"))
     named = named.withColumn(key, F.when(F.col("doc_id").isNotNull(), number))
     ids = named.where(F.col(key).isNotNull()).select(F.col(key).alias("doc_id"), F.col("doc_id").alias("id")).distinct()
-    found = join(named.select(F.col(key).alias("doc_id"), "text"), **options).select("doc_id", "component_id").distinct()
+    found = join(named.select(F.col(key).alias("doc_id"), "text"), count_links=False, **options).select("doc_id", "component_id").distinct()
     stays = found.join(ids, "doc_id").groupBy("component_id").agg(F.min(F.struct("id", "doc_id")).alias("least")).select(F.col("least.doc_id").alias(key))
     kept = named.join(stays, key, "left_semi")
     once = kept.where(F.col(flag)).dropDuplicates([key])
@@ -448,11 +527,16 @@ def keep_one(docs: DataFrame, **options) -> DataFrame:
 
 def brute_force(texts: dict[int, str | None]) -> dict[int, int]:
     """Components by comparing all pairs, for tests."""
+    return brute_force_links(texts)[0]
+
+
+def brute_force_links(texts: dict[int, str | None]) -> tuple[dict[int, int], dict[int, int]]:
+    """(components, numbers of links) by comparing all pairs, for tests."""
     bags = {}
     for doc_id, text in texts.items():
         words = (text or "").encode().lower().split()
         bags[doc_id] = {tuple(words[i : i + WIDTH]) for i in range(max(len(words) - WIDTH + 1, 1))} if words else set()
-    root = {d: d for d in texts}
+    root, links = {d: d for d in texts}, dict.fromkeys(texts, 0)
 
     def find(d):
         while root[d] != d:
@@ -466,6 +550,7 @@ def brute_force(texts: dict[int, str | None]) -> dict[int, int]:
             if x and y and DEN * min(len(x), len(y)) >= NUM * max(len(x), len(y)):
                 both = len(x & y)
                 if DEN * both >= NUM * (len(x) + len(y) - both):
+                    links[a], links[b] = links[a] + 1, links[b] + 1
                     ra, rb = find(a), find(b)
                     root[max(ra, rb)] = min(ra, rb)
-    return {d: find(d) for d in ids}
+    return {d: find(d) for d in ids}, links

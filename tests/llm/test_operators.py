@@ -111,7 +111,7 @@ def test_windows_come_from_differencing(monkeypatch):
     assert len(packing.fill(sizes, waste=1.0)) > 1.2 * ours
 
 
-def test_jaccard_join(spark, odd, empty):
+def test_jaccard_join(spark, odd, empty, monkeypatch):
     r = np.random.default_rng(7)
     base = [[f"w{x}" for x in r.integers(0, 400, n)] for n in (3, 12, 40, 60, 200, 400)]
     texts, k = {}, 0
@@ -124,11 +124,16 @@ def test_jaccard_join(spark, odd, empty):
             k += 1
     texts |= {k: None, k + 1: "", k + 2: "one", k + 3: "ONE", k + 4: "one two"}
     frame = docs(spark, [(i, t, "a") for i, t in texts.items()])
-    want = jaccard_join.brute_force(texts)
+    want, links = jaccard_join.brute_force_links(texts)
     for frequent in (10, 1):
-        assert {x.doc_id: x.component_id for x in jaccard_join.join(frame, frequent).collect()} == want
-    got = {(x.doc_id, x.n_shingles) for x in jaccard_join.join(odd).collect()}
-    assert {(1, 0), (3, 0), (4, 1), (None, 1)} <= got
+        rows = jaccard_join.join(frame, frequent).collect()
+        assert {x.doc_id: x.component_id for x in rows} == want and {x.doc_id: x.n_links for x in rows} == links
+    assert max(links.values()) > 5
+    monkeypatch.setattr(jaccard_join, "LINK_SHINGLES", 300)  # components in many parts
+    assert {x.doc_id: x.n_links for x in jaccard_join.join(frame).collect()} == links
+    rows = jaccard_join.join(odd).collect()
+    assert {(1, 0), (3, 0), (4, 1), (None, 1)} <= {(x.doc_id, x.n_shingles) for x in rows}
+    assert {(x.doc_id, x.n_links) for x in rows} == {(1, 0), (2, 0), (3, 0), (4, 1), (None, None), (5, 1), (6, 1)}
     assert jaccard_join.join(empty).count() == 0
     kept = jaccard_join.keep_one(frame)
     assert kept.columns == frame.columns and {x.doc_id for x in kept.collect()} == set(want.values())
