@@ -16,9 +16,11 @@ from pyspark.sql import DataFrame, Window, functions as F
 
 from .operators import benchmark, evaluate, rank, search, train
 from .plans import datasets
-from .plans.scratch import materialise
+from .plans.scratch import materialise, stands
 
 TOPICS = ("sci_s", "sci_l")
+#: Words that a single call says of the columns.
+SLOTS = 30
 
 
 @dataclass(frozen=True)
@@ -42,55 +44,71 @@ MODELS = (FULL, Setting("FULL other model", prior=1))
 BASELINES = {"MCB": 0, "MCB other model": 1}
 
 
+_made: dict[tuple, datasets.Dataset] = {}
+_trained: dict[tuple, dict[str, tuple]] = {}
+
+
 def load(spark, sf_dir, name: str) -> datasets.Dataset:
-    """A stand-in, made once: every system and every fold reads it."""
-    data = datasets.SIX[name](spark, sf_dir)
-    return datasets.Dataset(*(materialise(part, f"{name}-{what}") for part, what in ((data.tables, "tables"), (data.queries, "queries"), (data.qrels, "qrels"))))
+    """A stand-in, made once a session: every system, fold and experiment reads it."""
+    key = (spark.sparkContext.applicationId, sf_dir, name)
+    data = _made.get(key)
+    if data is None or not all(map(stands, (data.tables, data.queries, data.qrels))):
+        data = datasets.SIX[name](spark, sf_dir)
+        data = _made[key] = datasets.Dataset(*(materialise(part, f"{name}-{what}") for part, what in ((data.tables, "tables"), (data.queries, "queries"), (data.qrels, "qrels"))))
+    return data
 
 
 def shown(data: datasets.Dataset, expand: bool) -> DataFrame:
-    """(dataset, table_id, prompt, words): what the one call sees, names and context but no rows."""
+    """(dataset, table_id, prompt, words, said): what the one call sees, names and context but no rows.
+
+    A description's overview restates name and context; of the columns it says what is sampled.
+    """
     words = F.col("expanded" if expand else "cryptic")
-    return data.tables.select("dataset", "table_id", F.array_join(F.slice(words, 1, 100), " ").alias("prompt"), words.alias("words"))
+    return data.tables.select("dataset", "table_id", F.array_join(F.slice(F.concat("around", words), 1, 100), " ").alias("prompt"), words.alias("words"), F.col("around").alias("said"))
 
 
 def training_pairs(data: datasets.Dataset, setting: Setting) -> DataFrame:
     """(dataset, table_id, prompt, chosen, rejected) of a dataset's best and worst sampled candidates."""
     tables = shown(data, setting.expand)
     golden = rank.gold(data.qrels).select("dataset", "table_id", F.lit(True).alias("is_gold"))
-    drawn = train.generate(tables, train.base_weights(setting.cfg, setting.prior), setting.cfg, setting.k)
     # one candidate of the other tables
-    cands = drawn.join(golden, ["dataset", "table_id"], "left").withColumn("is_gold", F.coalesce("is_gold", F.lit(False))).where("is_gold OR cand_id = 0")
-    cands = materialise(cands, "candidates")
+    marked = tables.join(golden, ["dataset", "table_id"], "left").withColumn("k", F.when(F.col("is_gold"), setting.k).otherwise(1))
+    drawn = train.generate(marked, train.base_weights(setting.cfg, setting.prior), setting.cfg)
+    cands = materialise(drawn.join(golden, ["dataset", "table_id"], "left").withColumn("is_gold", F.coalesce("is_gold", F.lit(False))), "candidates")
     scores = rank.score(cands, data.queries, data.qrels, k=setting.k)
     body = lambda cand, name: cands.select("dataset", "table_id", F.col("cand_id").alias(cand), F.col("body").alias(name))
     pairs = rank.pairs(scores).join(body("win_cand", "chosen"), ["dataset", "table_id", "win_cand"]).join(body("lose_cand", "rejected"), ["dataset", "table_id", "lose_cand"])
     return pairs.join(tables.select("dataset", "table_id", "prompt"), ["dataset", "table_id"]).select("dataset", "table_id", "prompt", "chosen", "rejected")
 
 
-def adapters(corpora: dict[str, datasets.Dataset], setting: Setting, held_out: list[str]) -> dict[str, tuple]:
-    """The adapter (a, b) trained for each held-out dataset; adapters alone, of fixed size, come to the driver."""
+def adapters(spark, sf_dir, names, setting: Setting, held_out: list[str]) -> dict[str, tuple]:
+    """The adapter (a, b) trained for each held-out dataset, once a session; adapters alone, of fixed size, come to the driver."""
     if not setting.trained:
         return {}
-    pairs = reduce(DataFrame.unionByName, (training_pairs(data, setting) for data in corpora.values()))
-    rows = train.adapters(rank.folds(pairs, held_out), setting.cfg, setting.prior).collect()
-    return {r.held_out: (r.a, r.b) for r in rows}
+    key = (spark.sparkContext.applicationId, sf_dir, tuple(names), replace(setting, name=""), tuple(held_out))
+    if key not in _trained:
+        pairs = reduce(DataFrame.unionByName, (materialise(training_pairs(load(spark, sf_dir, name), setting), "pairs") for name in names))
+        rows = train.adapters(rank.folds(pairs, held_out), setting.cfg, setting.prior).collect()
+        _trained[key] = {r.held_out: (r.a, r.b) for r in rows}
+    return _trained[key]
 
 
 def baseline(data: datasets.Dataset, prior: int = 0) -> DataFrame:
     """(dataset, table_id, body) of the multi-call baseline, which sees names as they are and some rows.
 
-    Topics and column summaries are calls of their own, whose answers are cut to
-    a length; the last call says what these told. The model chooses the words.
+    Statistics, topics and column summaries are calls of their own, whose answers
+    are cut to a length; the last call says what these told, name and context
+    among them, and is about twice as long as the single call's. The model
+    chooses the words.
     """
     rows = data.tables
     counted = rows.select("dataset", "table_id", F.explode("rows").alias("w")).groupBy("dataset", "table_id", "w").agg(F.count("*").alias("n"))
     topics = counted.groupBy("dataset", "table_id").agg(F.transform(F.slice(F.array_sort(F.collect_list(F.struct((-F.col("n")).alias("n"), "w"))), 1, 10), lambda x: x["w"]).alias("topics"))
     told = rows.join(topics, ["dataset", "table_id"], "left")
-    words = F.concat(F.slice("cryptic", 1, 40), F.coalesce("topics", F.array().cast("array<string>")), F.slice("rows", 1, 20))
+    words = F.concat("around", F.slice("cryptic", 1, 40), F.coalesce("topics", F.array().cast("array<string>")), F.slice("rows", 1, 20))
     cfg = train.TrainConfig()
-    tables = told.select("dataset", "table_id", F.array_join(F.slice("cryptic", 1, 40), " ").alias("prompt"), words.alias("words"))
-    return train.generate(tables, train.base_weights(cfg, prior), cfg, n=45).select("dataset", "table_id", "body")
+    tables = told.select("dataset", "table_id", F.array_join(F.slice(F.concat("around", "cryptic"), 1, 40), " ").alias("prompt"), words.alias("words"))
+    return train.generate(tables, train.base_weights(cfg, prior), cfg, n=2 * SLOTS).select("dataset", "table_id", "body")
 
 
 def search_all(data: datasets.Dataset, systems: dict[str, DataFrame], k: int = 100) -> DataFrame:
@@ -108,7 +126,7 @@ def run(spark, sf_dir, settings, baselines=("MCB",), names=tuple(datasets.SIX),
     held_out = list(held_out or names)
     tuned: dict[tuple, dict] = {}
     for s in settings:
-        tuned[s.name] = adapters(corpora, s, held_out)
+        tuned[s.name] = adapters(spark, sf_dir, names, s, held_out)
     out = []
     for name in held_out:
         data, systems = corpora[name], {}
@@ -177,13 +195,13 @@ def exp_expansion(spark, sf_dir):
 def _three_fields(data: datasets.Dataset, weights) -> DataFrame:
     part = lambda rows, name, text: rows.select("dataset", "table_id", F.lit(name).alias("field"), text.alias("text"))
     full = train.generate(shown(data, True), weights, FULL.cfg)
-    return part(full, "description", F.col("body")).unionByName(part(data.tables, "expansion", F.array_join("expanded", " "))).unionByName(part(data.tables, "context", F.coalesce("context", F.lit(""))))
+    return part(full, "description", F.col("body")).unionByName(part(data.tables, "expansion", F.array_join(F.concat("around", "expanded"), " "))).unionByName(part(data.tables, "context", F.coalesce("context", F.lit(""))))
 
 
 def exp_multi_field(spark, sf_dir):
     """All three fields and each left out, against the description alone, where there is context."""
     corpora = {name: load(spark, sf_dir, name) for name in ("gov", "web_a", "web_b")}
-    tuned = adapters(corpora, FULL, list(corpora))
+    tuned = adapters(spark, sf_dir, list(corpora), FULL, list(corpora))
     every = ("description", "expansion", "context")
     runs = {"FULL": (every[:1], 0.1), "MULTI": (every, 0.1), "MULTI-desc": (every[1:], 0.1), "MULTI-exp": (("description", "context"), 0.1), "MULTI-ctx": (every[:2], 0.1)}
     parts = []
@@ -210,7 +228,7 @@ def pair_likelihoods(spark, sf_dir):
 def describe_new_tables(spark, sf_dir):
     """A new corpus described by a generator trained on others: one description a table, no rows read."""
     corpora = {name: load(spark, sf_dir, name) for name in ("sci_l", "ent")}
-    tuned = adapters(corpora, FULL, ["ent"])
+    tuned = adapters(spark, sf_dir, list(corpora), FULL, ["ent"])
     weights = train.trained_weights(*tuned.get("ent", (None, None)), FULL.cfg)
     return train.generate(shown(corpora["ent"], True), weights, FULL.cfg).select("table_id", "body")
 

@@ -200,11 +200,12 @@ def adapters(folds: DataFrame, cfg: TrainConfig = TrainConfig(), prior: int = 0)
 
 def describe_by_sampling(words: list[str], logits: np.ndarray, n: int, seed: int, temperature: float = 0.5, top_p: float = 0.9, top_k: int = 50) -> str:
     """A description of ``n`` slots: words of a table, drawn one after another without repetition by ``sample``."""
-    left, out = np.arange(len(words)), []
-    for slot in range(min(n, len(words))):
-        at = sample(logits[left], temperature, top_p, top_k, seed * 1_000 + slot)
-        out.append(words[left[at]])
-        left = np.delete(left, at)
+    random, out = np.random.default_rng(seed), []
+    order = np.argsort(-logits, kind="stable")
+    for _ in range(min(n, len(words))):
+        at = sample(logits[order[:top_k]], temperature, top_p, top_k, random)
+        out.append(words[order[at]])
+        order = np.delete(order, at)
     return " ".join(out)
 
 
@@ -212,7 +213,8 @@ def generate(tables: DataFrame, weights: np.ndarray, cfg: TrainConfig = TrainCon
     """(dataset, table_id, cand_id, body): ``k`` descriptions of each table, sampled from the generator.
 
     ``tables`` (dataset, table_id, prompt, words): what a description may say are
-    the table's ``words``. The seed of a draw follows from the table and the
+    the table's ``words``; a column ``k``, if there, tells how many each table gets, and words in a
+    column ``said`` open each of its descriptions. The seed of a draw follows from the table and the
     candidate alone, so partitioning does not matter. A table without words gets
     empty descriptions. ``weights`` have the size of ``cfg`` and go with the plan.
     """
@@ -220,13 +222,18 @@ def generate(tables: DataFrame, weights: np.ndarray, cfg: TrainConfig = TrainCon
     def run(frames):
         for frame in frames:
             rows = []
-            for dataset, table_id, prompt, words in zip(frame["dataset"], frame["table_id"], frame["prompt"], frame["words"]):
+            for dataset, table_id, prompt, words, k, said in zip(frame["dataset"], frame["table_id"], frame["prompt"], frame["words"], frame["k"], frame["said"]):
                 words = list(dict.fromkeys(words if words is not None else []))
                 logits = (weights @ features(prompt, cfg.features))[[_bucket(w, cfg.vocabulary) for w in words]] if words else np.zeros(0)
-                rows += [(dataset, table_id, c, describe_by_sampling(words, logits * LOGIT_SCALE, n, _bucket(f"{seed}:{dataset}:{table_id}:{c}", 1 << 31))) for c in range(k)]
+                said = list(said if said is not None else [])
+                rows += [(dataset, table_id, c, " ".join([*said, describe_by_sampling(words, logits * LOGIT_SCALE, n, _bucket(f"{seed}:{dataset}:{table_id}:{c}", 1 << 31))]).strip()) for c in range(k)]
             yield pd.DataFrame(rows, columns=["dataset", "table_id", "cand_id", "body"])
 
-    return tables.select("dataset", "table_id", "prompt", "words").mapInPandas(run, "dataset string, table_id long, cand_id int, body string")
+    wanted = tables if "k" in tables.columns else tables.withColumn("k", F.lit(k))
+    wanted = wanted if "said" in tables.columns else wanted.withColumn("said", F.array().cast("array<string>"))
+    # a description is long work on few bytes, so tables are dealt to all cores
+    spread = wanted.select("dataset", "table_id", "prompt", "words", "k", "said").repartition(tables.sparkSession.sparkContext.defaultParallelism, "dataset", "table_id")
+    return spread.mapInPandas(run, "dataset string, table_id long, cand_id int, body string")
 
 
 def likelihoods(pairs: DataFrame, weights: np.ndarray, cfg: TrainConfig = TrainConfig(), prior: int = 0) -> DataFrame:
@@ -248,7 +255,7 @@ def trained_weights(a, b, cfg: TrainConfig = TrainConfig(), prior: int = 0) -> n
     return base if a is None else LowRank(base, np.reshape(a, (cfg.rank, cfg.features)), np.reshape(b, (cfg.vocabulary, cfg.rank)), cfg.alpha / cfg.rank).weights()
 
 
-def sample(logits: np.ndarray, temperature: float = 0.5, top_p: float = 0.9, top_k: int = 50, seed: int = 42) -> int:
+def sample(logits: np.ndarray, temperature: float = 0.5, top_p: float = 0.9, top_k: int = 50, seed: int | np.random.Generator = 42) -> int:
     """One choice: the best ``top_k``, of those the head of mass ``top_p``; temperature 0 takes the best."""
     if temperature == 0:
         return int(np.argmax(logits))
@@ -257,7 +264,8 @@ def sample(logits: np.ndarray, temperature: float = 0.5, top_p: float = 0.9, top
     p /= p.sum()
     head = int(np.searchsorted(np.cumsum(p), top_p)) + 1
     p = p[:head] / p[:head].sum()
-    return int(np.random.default_rng(seed).choice(order[:head], p=p))
+    at = np.searchsorted(np.cumsum(p), np.random.default_rng(seed).random(), side="right")
+    return int(order[min(at, head - 1)])
 
 
 def export_jsonl(pairs: DataFrame, path: str) -> None:

@@ -114,8 +114,8 @@ def sci(spark: SparkSession, sf_dir: str, large: bool = True) -> Dataset:
 
 
 def abbreviate(word):
-    """A cryptic form of a word, as a column name has it: its first three letters and its last."""
-    return F.when(F.length(word) <= 4, word).otherwise(F.concat(F.substring(word, 1, 3), F.substring(word, -1, 1)))
+    """A cryptic form of a word, as a column name has it: its first four letters and its last two."""
+    return F.when(F.length(word) <= 6, word).otherwise(F.concat(F.substring(word, 1, 4), F.substring(word, -2, 2)))
 
 
 def glossary(words_: DataFrame) -> DataFrame:
@@ -130,7 +130,8 @@ def named(texts: DataFrame, n_names: int = 60) -> DataFrame:
     A table's columns are its first distinct visible words, abbreviated; they are
     expanded by the glossary of all visible words, which picks one word an
     abbreviation and so errs as a model does. ``cryptic`` and ``expanded`` hold
-    the words of name, columns and context that a description may use.
+    the words of columns that a description may use, ``around`` those of name and
+    context, which it restates.
     """
     known = texts.select(F.explode("visible").alias("word")).groupBy("word").agg(F.count("*").alias("n"))
     short = F.transform(F.slice(F.array_distinct("visible"), 1, n_names), abbreviate)
@@ -140,7 +141,7 @@ def named(texts: DataFrame, n_names: int = 60) -> DataFrame:
     none = F.array().cast("array<string>")
     around = F.concat(F.coalesce(words(F.col("table_name")), none), F.coalesce(words(F.col("context")), none))
     joined = rows.join(expanded, ["dataset", "table_id"], "left")
-    return joined.select("*", F.concat(around, "columns").alias("cryptic"), F.concat(around, F.coalesce("meaning", none)).alias("expanded"))
+    return joined.select("*", around.alias("around"), F.col("columns").alias("cryptic"), F.coalesce("meaning", none).alias("expanded"))
 
 
 def gov(spark: SparkSession, sf_dir: str) -> Dataset:
@@ -223,7 +224,7 @@ def ent_named(spark: SparkSession, sf_dir: str) -> Dataset:
     text = names.expansion_field(heads.withColumn("pos", F.col("pos") - 1).unionByName(columns))
     raw = F.flatten(F.transform(F.concat(F.array("table_name"), F.col("columns")), names.split_name))
     tables = data.tables.withColumn("cryptic", raw).join(text, ["dataset", "table_id"], "left").withColumn("expanded", words(F.col("text")))
-    return Dataset(tables.select("dataset", "table_id", "table_name", F.lit(None).cast("string").alias("context"), F.array().cast("array<string>").alias("rows"), "columns", "cryptic", "expanded"), data.queries, data.qrels)
+    return Dataset(tables.select("dataset", "table_id", "table_name", F.lit(None).cast("string").alias("context"), F.array().cast("array<string>").alias("rows"), F.array().cast("array<string>").alias("around"), "columns", "cryptic", "expanded"), data.queries, data.qrels)
 
 
 #: The six stand-ins, by name.

@@ -23,4 +23,13 @@ def materialise(df: DataFrame, name: str) -> DataFrame:
     """``df`` written as Parquet and reread: the lineage is cut, and lost executors cost nothing of what stands before."""
     path = scratch(df.sparkSession, name)
     df.write.parquet(path)
-    return df.sparkSession.read.schema(df.schema).parquet(path)
+    out = df.sparkSession.read.schema(df.schema).parquet(path)
+    out._scratch = path
+    return out
+
+
+def stands(df: DataFrame) -> bool:
+    """Whether what ``materialise`` wrote for ``df`` is still there."""
+    spark = df.sparkSession
+    at = spark._jvm.org.apache.hadoop.fs.Path(df._scratch)
+    return bool(at.getFileSystem(spark._jsc.hadoopConfiguration()).exists(at))
