@@ -193,7 +193,7 @@ def write_token_files(docs: DataFrame, path: str, vocabulary: str | None = None,
     """
     vocabulary = vocabulary or default_vocabulary()
     if not n_shards:
-        size = int(docs._jdf.queryExecution().optimizedPlan().stats().sizeInBytes().toString())
+        size = int(str(docs._jdf.queryExecution().optimizedPlan().stats().sizeInBytes()))
         n_shards = max(int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions")), min(-(-size // SHARD_BYTES), 1 << 20))
 
     def write(batches):
