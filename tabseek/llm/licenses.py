@@ -10,8 +10,9 @@ file and speaks for its directory. Documents without a license of their own
 inherit from the nearest ancestor directory that has one, found by joining paths.
 
 Templates are a fixed list, so weights are literals in the plan: nothing is
-broadcast or collected. A text ``MOST_LONGER`` times as long as the longest
-licence text is no licence text, and a block of more than ``BLOCK_CHARS`` no header. Directories are made distinct before they are joined.
+broadcast or collected. Texts and blocks of any length are compared; a block is
+cut from its lines only while it is compared. Directories are made distinct
+before they are joined.
 
 Defined cases: a null text or path has no license and no directory; equal scores
 go to the template first in the list, equal votes for a directory to the smaller
@@ -73,10 +74,8 @@ HEADERS = [
 ]
 #: Lines before and after a cue that a block takes.
 REACH = [(a, b) for a in range(4) for b in range(4) if a + b] + [(0, 12), (1, 12), (3, 12)]
-BLOCK_CHARS = 4000
 #: A whole text this near a licence text is one.
 TEXT_SCORE = 0.8
-MOST_LONGER = 4
 FILE_NAME = r"(?i)(^|/)(un)?(licen[sc]e|copying)([.-][^/]*)?$"
 #: A licence file's cue lines hold at least this share of its characters.
 FILE_SHARE = 0.5
@@ -115,8 +114,8 @@ def _dot(terms: Column, weights: dict[str, float]) -> Column:
     return F.aggregate(terms, F.lit(0.0), lambda s, t: s + F.coalesce(F.element_at(table, t), F.lit(0.0)))
 
 
-def _nearest(texts: Column, templates: list[tuple[str, str]]) -> Column:
-    """The best (score, order, name) of several texts, null for none; linear in a text's terms."""
+def _nearest(texts: Column, templates: list[tuple[str, str]], text_of=lambda x: x) -> Column:
+    """The best (score, order, name) of several texts, null for none; linear in a text's terms. ``text_of`` makes one from an item of ``texts``."""
     idf, unit = _weights(templates)
     rows = ",".join(f"{t}:{v!r} " + " ".join(repr(round(w.get(t, 0.0) * v, 9)) for _, w in unit) for t, v in idf.items())
     table = F.str_to_map(F.lit(rows), F.lit(","), F.lit(":"))  # a literal in the plan
@@ -137,26 +136,29 @@ def _nearest(texts: Column, templates: list[tuple[str, str]]) -> Column:
         return let(norm, lambda n: F.array_max(F.transform(F.slice(dots, 2, len(unit)), lambda d, i: F.struct(F.round(F.when(n > 0, d / n).otherwise(0.0), 6).alias("score"), (-i).alias("order"), F.get(names, i).alias("name")))))
 
     terms = lambda text: F.array_sort(F.regexp_extract_all(F.lower(text), F.lit(TERM), F.lit(0)))
-    return F.array_max(F.transform(texts, lambda text: let(terms(text), lambda t: let(let(runs(t), lambda r: F.transform(r, vector)), best))))
+    return F.array_max(F.transform(texts, lambda text: let(terms(text_of(text)), lambda t: let(let(runs(t), lambda r: F.transform(r, vector)), best))))
 
 
 def _blocks(lines: Column) -> Column:
-    """Lines around each that holds a cue, joined; each block of two lines or more once."""
+    """Where the lines around each that holds a cue begin and end; each block of two lines or more once."""
     cued = F.filter(F.transform(lines, lambda x, i: F.when(x.rlike(CUE), i)), lambda i: i.isNotNull())
     reach = F.array(*[F.struct(F.lit(a).alias("a"), F.lit(b).alias("b")) for a, b in REACH])
     spans = F.flatten(F.transform(cued, lambda i: F.transform(reach, lambda r: F.struct(F.greatest(i - r["a"], F.lit(0)).alias("s"), F.least(i + r["b"], F.size(lines) - 1).alias("e")))))
-    some = F.filter(F.array_distinct(spans), lambda x: x["e"] > x["s"])
-    return F.filter(F.transform(some, lambda x: F.array_join(F.slice(lines, x["s"] + 1, x["e"] - x["s"] + 1), "\n")), lambda x: F.length(x) <= BLOCK_CHARS)
+    return F.filter(F.array_distinct(spans), lambda x: x["e"] > x["s"])
+
+
+def _nearest_block(lines: Column) -> Column:
+    """``_nearest`` of the blocks, one of which is joined at a time."""
+    return _nearest(_blocks(lines), HEADERS, lambda x: F.array_join(F.slice(lines, x["s"] + 1, x["e"] - x["s"] + 1), "\n"))
 
 
 def own_licenses(docs: DataFrame) -> DataFrame:
     """``docs`` (doc_id, path, text) to doc_id, path, own_license, own_score, is_file."""
     text = F.coalesce(F.col("text"), F.lit(""))
-    longest = MOST_LONGER * max(len(t) for _, t in TEXTS)
     cued = text.rlike(CUE)
     split = F.split(text, "\n", -1)
-    block = F.when(cued, F.transform(F.array(split), lambda x: _nearest(_blocks(x), HEADERS))[0])
-    whole = F.when(cued & (F.length(text) <= longest), _nearest(F.array(text), TEXTS))
+    block = F.when(cued, F.transform(F.array(split), _nearest_block)[0])
+    whole = F.when(cued, _nearest(F.array(text), TEXTS))
     lines = docs.select("doc_id", "path", F.length(text).alias("_chars"), F.filter(split, lambda x: x.rlike(CUE)).alias("_lines"), block.alias("_block"), whole.alias("_whole"))
     terms = lines.select("doc_id", "path", F.aggregate("_lines", F.lit(0), lambda s, x: s + F.length(x)).alias("_cued"), "_chars", "_block", "_whole", F.transform("_lines", lambda x: F.regexp_extract_all(F.lower(x), F.lit(TERM), F.lit(0))).alias("_terms"))
     idf = _map(IDF)
