@@ -39,3 +39,14 @@ def test_runs_train_side_by_side(spark):
         frame = pd.DataFrame(pairs, columns=["dataset", "table_id", "prompt", "chosen", "rejected", "held_out", "run"])
         model, _ = train.fit(frame[(frame.held_out == r.held_out) & (frame.run == r.run)], *runs[r.run])
         assert np.allclose(r.a, model.a.ravel()) and np.allclose(r.b, model.b.ravel())
+
+
+def test_described_words_keep_their_hashes():
+    """Rows without words, without a prompt, and no rows at all, beside others."""
+    frame = pd.DataFrame({"dataset": "d", "table_id": [1, 2, 3], "prompt": ["a b a", None, ""], "words": [["x", "y", "x"], [], None], "said": [None, ["s"], []], "k": [2, 1, 1]})
+    cfg = train.TrainConfig()
+    hashes = train._Hashes()
+    out = train._described(frame, train.base_weights(cfg), cfg, 30, 42, hashes)
+    assert sorted(out.body[0].split()) == ["x", "y"] and list(out.body[2:]) == ["s", ""]
+    assert hashes["x"] == train.zlib.crc32(b"x")
+    assert len(train._described(frame[:0], train.base_weights(cfg), cfg, 30, 42, hashes)) == 0
