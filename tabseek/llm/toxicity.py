@@ -35,6 +35,7 @@ from pyspark.sql import Column, DataFrame, functions as F, types as T
 
 from .store import discard, materialise
 from .words import mix, text_slices, word_hashes
+from .workers import lean
 
 PREFIXES = (4, 5, 6)
 FACTORS = 4
@@ -307,4 +308,4 @@ def keep_clean(docs: DataFrame, corpus: DataFrame, labels: DataFrame, **options)
         for batch in batches:
             yield batch.filter(pa.array(batch_scores(shared.value, batch.column("text")) < THRESHOLD))
 
-    return docs.mapInArrow(run, docs.schema)
+    return docs.mapInArrow(lean(run), docs.schema)
