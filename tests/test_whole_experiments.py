@@ -1,7 +1,9 @@
 """Experiments that compare two systems do so on all six datasets, with the systems named."""
 
+from pyspark.sql import functions as F
+
 from tabseek import experiments
-from tabseek.operators import benchmark
+from tabseek.operators import benchmark, train
 from tabseek.plans import datasets
 
 SF = "/root/testdata/sf0.001"
@@ -21,3 +23,18 @@ def test_a_system_without_hits_counts_with_0(spark):
     values = benchmark.by_query(hits, qrels, configs=("a", "b"))
     assert {(r.dataset, r.config): r.value for r in values.collect()} == {("d", "a"): 1.0, ("d", "b"): 0.0, ("e", "a"): 0.0, ("e", "b"): 0.0}
     assert {(r.dataset, r.low, r.high) for r in benchmark.bootstrap(values, "a", "b", 50).collect()} == {("d", 1.0, 1.0), ("e", 0.0, 0.0)}
+
+
+def test_lengths_are_those_of_trained_descriptions(spark):
+    got = {r.dataset: r.avg_chars for r in experiments.exp_lengths(spark, SF).where("system = 'FULL'").collect()}
+    names, cfg = list(datasets.SIX), experiments.FULL.cfg
+    tuned = experiments.adapters(spark, SF, names, (experiments.FULL,), names)["FULL"]
+    assert set(tuned) == set(names)
+    mean = lambda name, weights: train.generate(experiments.shown(experiments.load(spark, SF, name), True), weights, cfg).agg(F.round(F.avg(F.length("body")), 4)).first()[0]
+    assert got == {name: mean(name, train.trained_weights(*tuned[name], cfg)) for name in names}
+    assert got != {name: mean(name, train.base_weights(cfg)) for name in names}
+
+
+def test_an_empty_description_has_no_words(spark):
+    said = spark.createDataFrame([("d", 1, "FULL", ""), ("d", 2, "FULL", "a bc")], "dataset string, table_id long, field string, text string")
+    assert [tuple(r) for r in experiments.lengths(said).collect()] == [("d", "FULL", 1.0, 2.0)]
